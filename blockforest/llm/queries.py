@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from .decontaminate import OP6_SQL, op6_suffix_search
 from .near_dedup import op4_circulant_minhash
 
 QUERIES = {
     "op4_circulant_minhash": op4_circulant_minhash,
+    "op6_suffix_search": op6_suffix_search,
+}
+ORACLES: dict[str, str] = {
+    "op6_suffix_search": OP6_SQL,
 }
-ORACLES: dict[str, str] = {}
