@@ -4,9 +4,11 @@ from __future__ import annotations
 
 from .decontaminate import OP6_SQL, op6_suffix_search
 from .near_dedup import op4_circulant_minhash
+from .suffix_dedup import op5_induced_suffix_array
 
 QUERIES = {
     "op4_circulant_minhash": op4_circulant_minhash,
+    "op5_induced_suffix_array": op5_induced_suffix_array,
     "op6_suffix_search": op6_suffix_search,
 }
 ORACLES: dict[str, str] = {
