@@ -3,13 +3,17 @@
 from __future__ import annotations
 
 from .decontaminate import OP6_SQL, op6_suffix_search
+from .fingerprints import op7_weighted_sampling
 from .near_dedup import op4_circulant_minhash
 from .suffix_dedup import op5_induced_suffix_array
+from .token_counts import op8_pretoken_counts
 
 QUERIES = {
     "op4_circulant_minhash": op4_circulant_minhash,
     "op5_induced_suffix_array": op5_induced_suffix_array,
     "op6_suffix_search": op6_suffix_search,
+    "op7_weighted_sampling": op7_weighted_sampling,
+    "op8_pretoken_counts": op8_pretoken_counts,
 }
 ORACLES: dict[str, str] = {
     "op6_suffix_search": OP6_SQL,
