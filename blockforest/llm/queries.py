@@ -6,11 +6,13 @@ from .decontaminate import OP6_SQL, op6_suffix_search
 from .fingerprints import op7_weighted_sampling
 from .near_dedup import op4_circulant_minhash
 from .quality import op1_bradley_terry
+from .secrets import op2_random_field
 from .suffix_dedup import op5_induced_suffix_array
 from .token_counts import op8_pretoken_counts
 
 QUERIES = {
     "op1_bradley_terry": op1_bradley_terry,
+    "op2_random_field": op2_random_field,
     "op4_circulant_minhash": op4_circulant_minhash,
     "op5_induced_suffix_array": op5_induced_suffix_array,
     "op6_suffix_search": op6_suffix_search,
