@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .decontaminate import OP6_SQL, op6_suffix_search
 from .fingerprints import op7_weighted_sampling
+from .language import op9_script_viterbi
 from .near_dedup import op4_circulant_minhash
 from .quality import op1_bradley_terry
 from .secrets import op2_random_field
@@ -18,6 +19,7 @@ QUERIES = {
     "op6_suffix_search": op6_suffix_search,
     "op7_weighted_sampling": op7_weighted_sampling,
     "op8_pretoken_counts": op8_pretoken_counts,
+    "op9_script_viterbi": op9_script_viterbi,
 }
 ORACLES: dict[str, str] = {
     "op6_suffix_search": OP6_SQL,
