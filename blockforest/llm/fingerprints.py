@@ -93,7 +93,8 @@ def with_next(docs: DataFrame, id_col: str, text_col: str, buckets: int = 1024)
     ranged = source.withColumn("bucket", _count_not_above(edges, F.col("id")))
     down = Window.partitionBy("bucket").orderBy(F.col("id").desc_nulls_last(), F.col("text").desc())
     here = ranged.select("bucket", F.row_number().over(down).alias("rn"), "id", "text", F.lead(F.struct("id", "text")).over(down).alias("follower"))
-    tops = ranged.groupBy("bucket").agg(F.max("id").alias("id")).join(ranged, ["bucket", "id"]).groupBy("bucket", "id").agg(F.max("text").alias("text"))
+    largest = ranged.groupBy("bucket").agg(F.max("id").alias("id"))  # one row for each range
+    tops = ranged.join(F.broadcast(largest), ["bucket", "id"]).groupBy("bucket", "id").agg(F.max("text").alias("text"))
     if ranged.where("id is null").limit(1).count():
         nulls = ranged.where("id is null").agg(F.max("text").alias("text")).select(F.lit(-1).alias("bucket"), F.lit(None).cast("long").alias("id"), "text")
         tops = tops.unionByName(nulls)
