@@ -94,7 +94,7 @@ def sum_tallies(tallies: DataFrame) -> DataFrame:
 
 def committee_predict(forest: MegaForest, df: DataFrame, rule: str = "g1_fpc", alpha: float = 0.01, seed: int = 3) -> DataFrame:
     """PREDICTION rows that cover the input once: decided by a committee, or by the sum of all partitions' votes."""
-    first = committee_pass(forest, df, rule, alpha, seed=seed).persist()
+    first = committee_pass(forest, df, rule, alpha, seed=seed).persist()  # both stages read it
     decided = first.where("stopped_early").select("row_id", "prediction", "votes_used", "stopped_early", "leader_share", F.lit("committee").alias("stage"))
     rest = sum_tallies(partition_tallies(forest, first.where("not stopped_early")))
     full = rest.select("row_id", "prediction", F.col("votes").cast("int").alias("votes_used"), F.lit(False).alias("stopped_early"), "leader_share", F.lit("full").alias("stage"))

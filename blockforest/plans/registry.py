@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from ..sources.tables import views
+from ..streaming import streams
 from . import methods, relational
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -31,3 +32,80 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     train, test = weblang(spark, sf_dir)
     return predict_lazy(train_mega_forest(train, ForestParams(n_trees=5, bite_size=50, n_blocks=4)), test)
+
+
+def _workloads() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    """Learned forests and simulations: their rows have no SQL twin."""
+    from ..operators.schemas import ForestParams
+    from . import workloads as w
+
+    small = ForestParams(n_trees=10, bite_size=100, n_blocks=4)
+    four = ForestParams(n_trees=10, bite_size=100, n_blocks=8, n_classes=4)
+    return {
+        "w1_weblang": lambda s, d: w.fit_and_score(s, d),
+        "w1_weblang_pages": lambda s, d: w.fit_and_score(s, d, params=ForestParams(n_trees=5, bite_size=50, n_blocks=2), table="pages"),
+        "w1_weblang_multiclass": lambda s, d: w.lazy_real(s, d, ms=(80,), alphas=(0.01,), params=four, classes="multi"),
+        "w2_birds_like": lambda s, d: w.fit_and_score(s, d, "birds", ForestParams(n_trees=5, bite_size=500, n_blocks=4)),
+        "w2_birds_flipped": lambda s, d: w.fit_and_score(s, d, "birds", ForestParams(n_trees=5, bite_size=500, n_blocks=4), flip=0.1),
+        "w2_error_days": lambda s, d: w.fit_and_score(s, d, "error_days"),
+        "w3_embeddings": lambda s, d: w.fit_and_score(s, d, "embeddings", ForestParams(n_trees=10, bite_size=60, n_blocks=4)),
+        "w4_quality": lambda s, d: w.fit_and_score(s, d, "labels", ForestParams(n_trees=10, bite_size=60, n_blocks=2)),
+        "w4_toxic": lambda s, d: w.fit_and_score(s, d, "labels", ForestParams(n_trees=10, bite_size=60, n_blocks=2), target="toxic"),
+        "w5_simulation_sizes": lambda s, d: w.sim(s),
+        "w6_simulation_levels": lambda s, d: w.sim(s, rules=("g1_fpc", "g2", "chebyshev", "chernoff"), ms=(1000,), alphas=(0.05, 0.01, 1e-3, 1e-4), n_points=8000),
+        "w7_simulation_errors": lambda s, d: w.sim(s, ms=(1000,), alphas=(0.01,)).select("rule", "m", "alpha", "relative_error", "disagreement"),
+        "w8_threshold_times": lambda s, d: w.threshold_times(s),
+        "w9_accuracy_time": lambda s, d: w.accuracy_time(s, d, variant="hard"),
+        "w10_blocks_and_sizes": lambda s, d: w.accuracy_blocks(s, d, variant="hard"),
+        "w11_accuracy_time_birds": lambda s, d: w.accuracy_time(s, d, "birds", local_sizes=(1, 5), serial_sizes=(10,), params=ForestParams(bite_size=500, n_blocks=4)),
+        "w12_blocks_birds": lambda s, d: w.accuracy_blocks(s, d, "birds", qs=(1, 2, 4), local_sizes=(5,), params=ForestParams(n_trees=5, bite_size=500, n_blocks=4)),
+        "w13_bite_sizes": lambda s, d: w.bite_sizes(s, d, variant="hard"),
+        "w14_lazy_real": lambda s, d: w.lazy_real(s, d, variant="hard"),
+        "w16_stop_points": lambda s, d: w.stop_points(s, d, variant="hard"),
+        "w17_shallow": lambda s, d: w.shallow(s, d, variant="hard"),
+        "w18_committee": lambda s, d: w.committee(s, d, variant="hard"),
+        "w19_clean_birds": lambda s, d: w.clean_birds(s, d),
+        "sampler_rejection": lambda s, d: w.fit_and_score(s, d, params=ForestParams(n_trees=10, bite_size=100, n_blocks=4, sampler="rejection")),
+        "sampler_full": lambda s, d: w.fit_and_score(s, d, params=ForestParams(n_trees=3, n_blocks=4, sampler="full")),
+        "baseline_floors": lambda s, d: w.majority_and_single(s, d),
+        "baseline_all_data_forest": lambda s, d: w.mllib_forest(s, d),
+        "draw_orders": lambda s, d: w.draw_orders(s, d),
+        "skewed_blocks": lambda s, d: w.skewed_blocks(s, d),
+        "forest_nodes": lambda s, d: _small_forest(s, d, small).nodes(),
+        "flagship": flagship,
+    }
+
+
+def _small_forest(spark: SparkSession, sf_dir: str, params):
+    from ..operators.train import train_mega_forest
+    from .workloads import weblang
+
+    return train_mega_forest(weblang(spark, sf_dir)[0], params)
+
+
+def _udf_queries() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]]:
+    from ..functions.stopping import Rule, thresholds_sql
+    from ..functions.udfs import register
+    from . import methods
+
+    def tally(s, d):
+        from pyspark.sql import functions as F
+
+        from ..functions.udfs import vote_tally
+
+        return methods.hash_votes(s, d).groupBy("row_id").agg(vote_tally("vote").alias("t")).select("row_id", F.element_at("t", 1).alias("zeros"), F.coalesce(F.try_element_at("t", F.lit(2)), F.lit(0)).alias("ones"))
+
+    votes = methods._VOTES
+    return {
+        "udtf_thresholds": (lambda s, d: register(s).sql("SELECT n, min_lead FROM gaussian_thresholds(100, 0.01)"), f"SELECT n, min_lead::INT AS min_lead FROM ({thresholds_sql(Rule('g1_fpc', 100, 0.01))})"),
+        "udaf_vote_tally": (tally, f"SELECT row_id, count(*) FILTER (WHERE vote = 0) AS zeros, count(*) FILTER (WHERE vote = 1) AS ones FROM {votes} GROUP BY row_id"),
+        "udf_bayes_win": (lambda s, d: register(s).sql("SELECT cast(n AS int) AS n, round(bayes_win(n, n, 21), 8) AS p FROM (SELECT explode(sequence(1, 10)) AS n)"), "SELECT n::INT AS n, round(least(1.0, sum(exp(lgamma(22 - n) - lgamma(k + 1) - lgamma(22 - n - k) + lgamma(n + k + 1) + lgamma(22 - n - k) - lgamma(23) + lgamma(n + 2) - lgamma(n + 1)))), 8) AS p FROM range(1, 11) t(n), range(0, 22) v(k) WHERE k <= 21 - n AND n + k >= 11 GROUP BY n"),
+    }
+
+
+QUERIES |= _workloads()
+for _name, (_make, _duck) in _udf_queries().items():
+    QUERIES[_name], ORACLES[_name] = _make, _duck
+QUERIES |= streams.QUERIES
+ORACLES |= streams.ORACLES
+QUERIES["agg_approx"] = lambda s, d: views(s, d, "documents").sql("SELECT lang, approx_count_distinct(source) AS sources, approx_percentile(n_chars, 0.5) AS median, hll_sketch_estimate(hll_sketch_agg(text)) AS texts, kll_sketch_get_quantile_double(kll_sketch_agg_double(cast(n_chars AS double)), 0.5) AS kll FROM documents GROUP BY lang")

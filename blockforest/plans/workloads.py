@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from dataclasses import replace
+from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -28,6 +29,30 @@ def metric_rows(spark: SparkSession, rows: list[tuple]) -> DataFrame:
     return spark.createDataFrame([(w, m, None if v is None else float(v), {k: str(x) for k, x in p.items()}) for w, m, v, p in rows], METRIC)
 
 
+_HELD: list[DataFrame] = []
+
+
+def _kept(df: DataFrame) -> DataFrame:
+    """Persisted until the experiment that asked for it is over."""
+    _HELD.append(df.persist())
+    return df
+
+
+def experiment(run):
+    """An experiment whose result is made of plain numbers: what it persisted is given back at its end."""
+
+    @wraps(run)
+    def inner(*args, **kw):
+        before = len(_HELD)
+        try:
+            return run(*args, **kw)
+        finally:
+            while len(_HELD) > before:
+                _HELD.pop().unpersist()
+
+    return inner
+
+
 # -- learning sets ----------------------------------------------------------------------------------------
 
 
@@ -114,14 +139,15 @@ def _share(pred: DataFrame, truth: DataFrame) -> float:
     return measures.accuracy(pred, truth).first()[0]
 
 
+@experiment
 def fit_and_score(spark, sf_dir, workload="weblang", params=ForestParams(n_trees=10, bite_size=100, n_blocks=4), **options) -> DataFrame:
     """One mega-forest: data facts, accuracy, size, and what the scan and shuffle of training look like."""
     train, test = learning_set(spark, sf_dir, workload, **options)
-    train, test = train.persist(), test.persist()
+    train, test = _kept(train), _kept(test)
     began = time.perf_counter()
     forest = train_mega_forest(train, params)
     facts = measures.plan_facts(forest.trees)
-    forest = MegaForest(forest.trees.persist(), params)
+    forest = MegaForest(_kept(forest.trees), params)
     n = forest.trees.count()
     seconds = time.perf_counter() - began
     rows = [(workload, f"{r.part}_{k}", r[k], {}) for r in measures.dataset_summary(train, test).collect() for k in ("rows", "features", "positive_share")]
@@ -130,24 +156,25 @@ def fit_and_score(spark, sf_dir, workload="weblang", params=ForestParams(n_trees
     return metric_rows(spark, rows)
 
 
+@experiment
 def accuracy_time(spark, sf_dir, workload="weblang", local_sizes=(1, 5, 10, 25), serial_sizes=(25, 50, 100), samplers=("importance", "bagging"), params=ForestParams(n_trees=25, bite_size=100, n_blocks=8), seed: int = 42, **options) -> DataFrame:
     """Accuracy and training time by ensemble size: mega-forest, bagged forest, serial baseline.
 
     A line is one training at its largest size; smaller sizes are prefixes. The time of a prefix is the slowest
     block's fitting time, which is what a cluster with a worker for each block waits for.
     """
-    train, test = (d.persist() for d in learning_set(spark, sf_dir, workload, **options))
+    train, test = (_kept(d) for d in learning_set(spark, sf_dir, workload, **options))
     rows = []
     for sampler in samplers:
         p = replace(params, sampler=sampler, n_trees=max(local_sizes), seed=seed)
-        forest = MegaForest(train_mega_forest(train, p).trees.persist(), p)
+        forest = MegaForest(_kept(train_mega_forest(train, p).trees), p)
         grid = {(r.blocks, r.local_size): r for r in accuracy_grid(forest, test, [(p.n_blocks, k) for k in local_sizes]).collect()}
         for k in local_sizes:
             ms = forest.trees.where(F.col("iter") < k).groupBy("block").agg(F.sum("fit_ms").alias("ms")).agg(F.max("ms")).first()[0]
             rows += [(workload, "accuracy", grid[(p.n_blocks, k)].accuracy, {"line": sampler, "trees": k * p.n_blocks}), (workload, "seconds", ms / 1000, {"line": sampler, "trees": k * p.n_blocks})]
     p = replace(params, n_trees=max(serial_sizes), seed=seed)
     blocked = assign_blocks(train, p.n_blocks, seed=p.seed).where("block = 0")
-    serial = MegaForest(train_mega_forest(blocked, p).trees.persist(), p)
+    serial = MegaForest(_kept(train_mega_forest(blocked, p).trees), p)
     grid = {r.local_size: r for r in accuracy_grid(serial, test, [(1, k) for k in serial_sizes]).collect()}
     for k in serial_sizes:
         ms = serial.trees.where(F.col("iter") < k).agg(F.sum("fit_ms")).first()[0]
@@ -160,7 +187,7 @@ def accuracy_blocks(spark, sf_dir, workload="weblang", qs=(1, 2, 4, 8), local_si
     train, test = learning_set(spark, sf_dir, workload, **options)
     p = replace(params, n_trees=max(local_sizes))
     forest = train_mega_forest(train, p)
-    grid = accuracy_grid(MegaForest(forest.trees.persist(), p), test, [(q, k) for q in qs for k in local_sizes])
+    grid = accuracy_grid(MegaForest(forest.trees, p), test, [(q, k) for q in qs for k in local_sizes])
     return grid.select(F.lit(workload).alias("workload"), F.lit("accuracy").alias("metric"), F.col("accuracy").alias("value"), F.create_map(F.lit("blocks"), F.col("blocks").cast("string"), F.lit("local_size"), F.col("local_size").cast("string")).alias("params"))
 
 
@@ -171,10 +198,11 @@ def bite_sizes(spark, sf_dir, workload="weblang", sizes=(50, 100, 200, 400), par
     return out.select(F.lit(workload).alias("workload"), F.lit("accuracy").alias("metric"), F.col("accuracy").alias("value"), F.create_map(F.lit("bite_size"), F.col("bite_size").cast("string"), F.lit("nodes"), F.col("nodes").cast("string")).alias("params"))
 
 
+@experiment
 def lazy_real(spark, sf_dir, workload="weblang", ms=(50, 100, 200), alphas=(0.05, 0.01, 1e-3), rule="g1_fpc", params=ForestParams(n_trees=25, bite_size=100, n_blocks=8), **options) -> DataFrame:
     """Evaluation fraction, relative error, disagreement of lazy votes on trained forests, by size and level."""
-    train, test = (d.persist() for d in learning_set(spark, sf_dir, workload, **options))
-    forest = MegaForest(train_mega_forest(train, params).trees.persist(), params)
+    train, test = (_kept(d) for d in learning_set(spark, sf_dir, workload, **options))
+    forest = MegaForest(_kept(train_mega_forest(train, params).trees), params)
     rows = []
     for m in ms:
         part = forest.restrict(local_size=max(1, m // params.n_blocks))
@@ -187,11 +215,12 @@ def lazy_real(spark, sf_dir, workload="weblang", ms=(50, 100, 200), alphas=(0.05
     return metric_rows(spark, rows)
 
 
+@experiment
 def stop_points(spark, sf_dir, workload="weblang", alpha=0.01, params=ForestParams(n_trees=25, bite_size=100, n_blocks=8), **options) -> DataFrame:
     """Histogram of the votes that rows need, and the shares that need few or all."""
     train, test = learning_set(spark, sf_dir, workload, **options)
-    forest = MegaForest(train_mega_forest(train, params).trees.persist(), params)
-    pred = predict_lazy(forest, test, alpha=alpha).persist()
+    forest = MegaForest(_kept(train_mega_forest(train, params).trees), params)
+    pred = _kept(predict_lazy(forest, test, alpha=alpha))
     m = params.n_trees * params.n_blocks
     rows = [(workload, "stop_bin", r.n, {"low": r.low}) for r in measures.stop_histogram(pred).collect()]
     s = measures.share_within(pred, 100, m).first()
@@ -203,12 +232,13 @@ def shallow(spark, sf_dir, max_depth=6, **kw) -> DataFrame:
     return lazy_real(spark, sf_dir, ms=(200,), params=ForestParams(n_trees=25, bite_size=100, n_blocks=8, max_depth=max_depth), **kw)
 
 
+@experiment
 def committee(spark, sf_dir, workload="weblang", p=4, alpha=0.01, params=ForestParams(n_trees=25, bite_size=100, n_blocks=8), **options) -> DataFrame:
     """Coverage, undecided rate and agreement with the full vote of committee evaluation."""
-    train, test = (d.persist() for d in learning_set(spark, sf_dir, workload, **options))
+    train, test = (_kept(d) for d in learning_set(spark, sf_dir, workload, **options))
     params = replace(params, n_parts=p)
-    forest = MegaForest(train_mega_forest(train, params).trees.persist(), params)
-    pred = committees.committee_predict(forest, test, alpha=alpha).persist()
+    forest = MegaForest(_kept(train_mega_forest(train, params).trees), params)
+    pred = _kept(committees.committee_predict(forest, test, alpha=alpha))
     stats = committees.committee_stats(pred).first()
     differ = measures.disagreement(pred, predict_full(forest, test)).first()[0]
     rows = [("committee", "rows", stats.rows, {"p": p}), ("committee", "test_rows", test.count(), {"p": p}), ("committee", "undecided_rate", stats.undecided_rate, {"p": p}), ("committee", "disagreement", differ, {"p": p}), ("committee", "accuracy", _share(pred, test), {"p": p})]
@@ -246,9 +276,10 @@ def clean_birds(spark, sf_dir) -> DataFrame:
     return df.select("row_id", "l_quantity", "l_tax", "c_mktsegment", "month_price", *[c for c in df.columns if c.startswith("o_orderpriority_")])
 
 
+@experiment
 def majority_and_single(spark, sf_dir, workload="weblang", **options) -> DataFrame:
     """Floors: the commonest class, a stump, one tree."""
-    train, test = (d.persist() for d in learning_set(spark, sf_dir, workload, **options))
+    train, test = (_kept(d) for d in learning_set(spark, sf_dir, workload, **options))
     rows = []
     for learner in ("majority", "stump", "tree"):
         p = ForestParams(n_trees=1, bite_size=200, n_blocks=1, sampler="bagging", learner=learner)
@@ -256,6 +287,7 @@ def majority_and_single(spark, sf_dir, workload="weblang", **options) -> DataFra
     return metric_rows(spark, rows)
 
 
+@experiment
 def mllib_forest(spark, sf_dir, workload="weblang", trees=20, **options) -> DataFrame:
     """The multi-pass, all-data forest that Spark ships, for time and accuracy beside ours."""
     from pyspark.ml.classification import RandomForestClassifier
@@ -269,10 +301,11 @@ def mllib_forest(spark, sf_dir, workload="weblang", trees=20, **options) -> Data
     return metric_rows(spark, [(workload, "accuracy", share, {"line": "all-data forest", "trees": trees}), (workload, "seconds", seconds, {"line": "all-data forest", "trees": trees})])
 
 
+@experiment
 def draw_orders(spark, sf_dir, workload="weblang", params=ForestParams(n_trees=25, bite_size=100, n_blocks=8), **options) -> DataFrame:
     """Votes and seconds with a fresh order for every row, one offset for each row, one for a batch."""
-    train, test = (d.persist() for d in learning_set(spark, sf_dir, workload, **options))
-    forest = MegaForest(train_mega_forest(train, params).trees.persist(), params)
+    train, test = (_kept(d) for d in learning_set(spark, sf_dir, workload, **options))
+    forest = MegaForest(_kept(train_mega_forest(train, params).trees), params)
     rows = []
     for order in ("random", "offset", "batch"):
         began = time.perf_counter()
@@ -281,9 +314,10 @@ def draw_orders(spark, sf_dir, workload="weblang", params=ForestParams(n_trees=2
     return metric_rows(spark, rows)
 
 
+@experiment
 def skewed_blocks(spark, sf_dir, params=ForestParams(n_trees=10, bite_size=100, n_blocks=4)) -> DataFrame:
     """Blocks sorted by label against random ones: why rows are dealt at random."""
-    train, test = (d.persist() for d in weblang(spark, sf_dir, variant="hard"))
+    train, test = (_kept(d) for d in weblang(spark, sf_dir, variant="hard"))
     rows = []
     for mode in ("random", "sorted"):
         blocked = assign_blocks(train, params.n_blocks, mode=mode, by="label")
