@@ -93,6 +93,21 @@ class Rule:
         out = np.where(np.arange(m + 1) < self.least, never, out)
         return np.where(out > np.arange(m + 1), never, out)
 
+    def longest_by_leader(self) -> np.ndarray:
+        """The table by the leader's votes instead: entry k is the most votes cast at which k leader votes still stop.
+
+        The minimum of votes is left out (it is tested beside the table). Where the finite-population correction
+        switches on, a leader may fail at n and pass at n + 1: this form then stops at the smaller n too.
+        """
+        from dataclasses import replace
+
+        leads = replace(self, min_votes=1).leads()
+        out = np.zeros(self.m + 1, np.int64)
+        n = np.arange(1, self.m + 1)
+        real = leads[1:] <= n
+        np.maximum.at(out, leads[1:][real], n[real])
+        return np.maximum.accumulate(out)
+
     def stops(self, lead: int, n: int) -> bool:
         return bool(lead >= _leads(self)[n])
 

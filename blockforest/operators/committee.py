@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import partial
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -86,17 +88,42 @@ def partition_tallies(forest: MegaForest, undecided: DataFrame, groups: int = 1)
     return pair.applyInArrow(tally, "row_id long, vote int, n long")
 
 
+def _meet(batches, shared, n_classes: int):
+    """Batches of trees meet all undecided rows."""
+    ids, x = shared.value
+    for batch in batches:
+        packed = _pack_rows(batch.to_pylist(), n_classes)
+        votes = full_tallies(packed, x)
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, n_classes), pa.int64()), pa.array(np.tile(np.arange(n_classes), len(ids)), pa.int32()), pa.array(votes.ravel(), pa.int64())], names=["row_id", "vote", "n"])
+
+
+def tallies_by_broadcast(forest: MegaForest, undecided: DataFrame, max_rows: int = 50_000) -> DataFrame:
+    """The same tallies for few undecided rows: these are broadcast, and the trees stay where they are.
+
+    Above ``max_rows`` rows the tallies come from ``partition_tallies``.
+    """
+    some = undecided.select("row_id", "features").limit(max_rows + 1).collect()
+    if len(some) > max_rows:
+        return partition_tallies(forest, undecided)
+    ids = np.array([r.row_id for r in some], np.int64)
+    x = np.array([r.features for r in some], float).reshape(len(some), -1)
+    shared = forest.trees.sparkSession.sparkContext.broadcast((ids, x))
+    trees = forest.trees.select("ens_part", "block", "iter", "tree_id", "feature", "threshold", "left", "right", "leaf_class")
+    return trees.mapInArrow(partial(_meet, shared=shared, n_classes=forest.params.n_classes), "row_id long, vote int, n long")
+
+
 def sum_tallies(tallies: DataFrame) -> DataFrame:
     """``row_id, prediction, votes, leader_share`` over all partitions; partial sums before the shuffle."""
     summed = tallies.groupBy("row_id", "vote").agg(F.sum("n").alias("n"))
     return summed.groupBy("row_id").agg(F.max_by("vote", F.struct("n", -F.col("vote"))).alias("prediction"), F.sum("n").alias("votes"), (F.max("n") / F.sum("n")).alias("leader_share"))
 
 
-def committee_predict(forest: MegaForest, df: DataFrame, rule: str = "g1_fpc", alpha: float = 0.01, seed: int = 3) -> DataFrame:
+def committee_predict(forest: MegaForest, df: DataFrame, rule: str = "g1_fpc", alpha: float = 0.01, seed: int = 3, strategy: str = "replicate") -> DataFrame:
     """PREDICTION rows that cover the input once: decided by a committee, or by the sum of all partitions' votes."""
     first = committee_pass(forest, df, rule, alpha, seed=seed).persist()  # both stages read it
     decided = first.where("stopped_early").select("row_id", "prediction", "votes_used", "stopped_early", "leader_share", F.lit("committee").alias("stage"))
-    rest = sum_tallies(partition_tallies(forest, first.where("not stopped_early")))
+    ask = tallies_by_broadcast if strategy == "broadcast_rows" else partition_tallies
+    rest = sum_tallies(ask(forest, first.where("not stopped_early")))
     full = rest.select("row_id", "prediction", F.col("votes").cast("int").alias("votes_used"), F.lit(False).alias("stopped_early"), "leader_share", F.lit("full").alias("stage"))
     return decided.unionByName(full)
 

@@ -120,6 +120,8 @@ def test_full_lazy_and_committee_agree(rows, forest):
     voted = committee.committee_predict(forest, rows, rule="certain")
     got = voted.collect()
     assert {r.row_id: r.prediction for r in got} == full and len(got) == len(full)
+    near = committee.committee_predict(forest, rows, rule="certain", strategy="broadcast_rows")
+    assert {r.row_id: r.prediction for r in near.collect()} == full
     half = committee.committee_predict(forest, rows, alpha=0.05, rule="g1_fpc").collect()
     assert sorted(r.row_id for r in half) == sorted(full)
     accuracy = np.mean([full[r.row_id] == r.label for r in rows.select("row_id", "label").collect()])

@@ -52,6 +52,15 @@ def test_bayes_forms_agree():
         st.bayes_multi_exact([1, 1, 1, 1, 1], 500)
 
 
+def test_table_by_leader():
+    for name, m in (("g1", 200), ("g2", 77)):  # exact where no correction switches on
+        rule = st.Rule(name, m, 0.01, min_votes=1)
+        leads, longest = rule.leads(), rule.longest_by_leader()
+        assert all((n <= longest[k]) == (leads[n] <= k) for n in range(1, m + 1) for k in range(1, n + 1) if leads[n] <= n)
+    rule = st.Rule("g1_fpc", 10_000, 1e-4)
+    assert rule.longest_by_leader()[291] >= 501 and rule.leads()[500] == 292  # the known exception
+
+
 def test_orders_and_limits():
     for m in (50, 300):
         t = {n: st.Rule(n, m, 0.01).leads() for n in ("g1_fpc", "g1", "g2", "g2_fpc")}
