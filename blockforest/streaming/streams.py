@@ -65,21 +65,19 @@ def label_arrivals(predictions: DataFrame, labels: DataFrame, within: str = "1 h
 
 
 def _error_rate(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-    if state.hasTimedOut:
-        seen, errors = state.get
-        state.remove()
-    else:
-        seen, errors = state.get if state.exists else (0, 0)
-        for b in batches:
-            seen, errors = seen + len(b), errors + int((b.event_type == "error").sum())
-        state.update((seen, errors))
-        state.setTimeoutDuration(3_600_000)
+    seen, errors = state.get if state.exists else (0, 0)
+    for b in batches:
+        seen, errors = seen + len(b), errors + int((b.event_type == "error").sum())
+    state.update((seen, errors))
     yield pd.DataFrame({"user_id": [key[0]], "seen": [seen], "errors": [errors]})
 
 
 def running_errors(events: DataFrame) -> DataFrame:
-    """``user_id, seen, errors``: counts kept as state for each user, dropped an hour after the last batch."""
-    return events.groupBy("user_id").applyInPandasWithState(_error_rate, "user_id long, seen long, errors long", "seen long, errors long", "update", GroupStateTimeout.ProcessingTimeTimeout)
+    """``user_id, seen, errors``: two counts kept as state for each user.
+
+    There is no timeout: a processing-time one would keep an ``availableNow`` run going for ever.
+    """
+    return events.groupBy("user_id").applyInPandasWithState(_error_rate, "user_id long, seen long, errors long", "seen long, errors long", "update", GroupStateTimeout.NoTimeout)
 
 
 def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
