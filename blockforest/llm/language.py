@@ -14,10 +14,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._sample import sample_rows
 from ._text import RollingHash, chunks, lower_ascii
 
-#: Documents of one language that a model is trained on at most.
+#: Documents of one language that a model is trained on (the hash keeps close to this number).
 PER_LANGUAGE_BOUND = 2000
 #: Cost, in log score, of changing the language between two words.
 SWITCH_PENALTY = 12.0
@@ -156,15 +155,17 @@ def _count(batches):
 
 
 def fit_model(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", bound: int = PER_LANGUAGE_BOUND) -> Model:
-    """A model from at most ``bound`` documents of each language (rows without language or text are passed over)."""
+    """A model from about ``bound`` documents of each language, chosen by hash in one scan.
+
+    The 500 commonest languages are learned; rows without language or text are passed over.
+    """
     source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang")).where("lang is not null and text is not null")
-    languages = [r.lang for r in source.groupBy("lang").count().orderBy(F.desc("count"), "lang").select("lang").limit(500).collect()]
+    sizes = source.groupBy("lang").agg(F.count(F.lit(1)).alias("size")).orderBy(F.desc("size"), "lang").limit(500)
+    languages = [r.lang for r in sizes.collect()]
     counts, scripts = {}, {}
     if languages:
-        rows = None
-        for lang in languages:
-            part = sample_rows(source.where(F.col("lang") == lang), "id", bound)
-            rows = part if rows is None else rows.unionAll(part)
+        share = F.pmod(F.xxhash64("id"), F.lit(1 << 30)) / float(1 << 30)
+        rows = source.join(F.broadcast(sizes), "lang").where(share < float(bound) / F.col("size"))
         found = rows.select("text", "lang").mapInArrow(_count, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).collect()
         for lang in languages:
             counts[lang], scripts[lang] = np.zeros(len(_RUNS) * _SLOTS), np.zeros(len(SCRIPTS))
