@@ -81,7 +81,7 @@ def likeness(a: Column, b: Column, size: int = SIZE) -> Column:
     return F.when((a == "") | (b == ""), (a == b).cast("double")).otherwise(same / float(size))
 
 
-def with_next(docs: DataFrame, id_col: str, text_col: str, buckets: int = 1024) -> DataFrame:
+def with_next(docs: DataFrame, id_col: str, text_col: str, buckets: int = 512) -> DataFrame:
     """Each document with the next one in descending id (after the last: the first): ``bucket, rn, id, text, next_id, next_text``.
 
     Ids are cut into ranges of about equal counts; order is by (id, text), ``rn`` is the place in the range. A
@@ -106,15 +106,13 @@ def with_next(docs: DataFrame, id_col: str, text_col: str, buckets: int = 1024)
 
 
 def _count_not_above(edges: list[int], x: Column) -> Column:
-    """How many of the sorted edges are <= x (-1 for null): a search tree of comparisons."""
-
-    def tree(lo: int, hi: int) -> Column:
-        if lo == hi:
-            return F.lit(lo)
-        mid = (lo + hi) // 2
-        return F.when(x >= F.lit(edges[mid]), tree(mid + 1, hi)).otherwise(tree(lo, mid))
-
-    return F.when(x.isNull(), F.lit(-1)).otherwise(tree(0, len(edges)))
+    """How many of the sorted edges are <= x (-1 for null): a binary search in one array literal."""
+    if not edges:
+        return F.when(x.isNull(), F.lit(-1)).otherwise(F.lit(0))
+    array = F.array(*[F.lit(e).cast("long") for e in edges])
+    steps = [1 << k for k in range(len(edges).bit_length() - 1, -1, -1)]
+    halve = lambda at, step: F.when(F.try_element_at(array, at + step) <= x, at + step).otherwise(at)  # noqa: E731  behind the end: null
+    return F.when(x.isNull(), F.lit(-1)).otherwise(F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), halve))
 
 
 def edited_text(text: Column, following: Column) -> Column:
