@@ -112,7 +112,8 @@ def _count_not_above(edges: list[int], x: Column) -> Column:
     array = F.array(*[F.lit(e).cast("long") for e in edges])
     steps = [1 << k for k in range(len(edges).bit_length() - 1, -1, -1)]
     halve = lambda at, step: F.when(F.try_element_at(array, at + step) <= x, at + step).otherwise(at)  # noqa: E731  behind the end: null
-    return F.when(x.isNull(), F.lit(-1)).otherwise(F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), halve))
+    # Never null, and Spark knows it: a filter for nulls would keep the shuffle of the texts from being reused.
+    return F.coalesce(F.when(x.isNull(), F.lit(-1)).otherwise(F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), halve)), F.lit(0))
 
 
 def edited_text(text: Column, following: Column) -> Column:
