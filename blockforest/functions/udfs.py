@@ -36,11 +36,21 @@ class GaussianThresholds:
             yield n, None if leads[n] > n else int(leads[n])
 
 
+@F.udtf(returnType="node int, feature int, threshold double, lft int, rgt int, cls int")
+class TreeNodes:
+    """``tree_nodes(features, thresholds, lefts, rights, classes)``: one row for each node of a tree's arrays."""
+
+    def eval(self, features: list[int], thresholds: list[float], lefts: list[int], rights: list[int], classes: list[int]) -> Iterator[tuple]:
+        for node, rest in enumerate(zip(features, thresholds, lefts, rights, classes, strict=True)):
+            yield node, *rest
+
+
 def register(spark: SparkSession) -> SparkSession:
-    """Names for SQL: ``bayes_win``, ``vote_tally``, ``gaussian_thresholds``, ``accept_probability``."""
+    """Names for SQL: ``bayes_win``, ``vote_tally``, ``gaussian_thresholds``, ``tree_nodes``, ``accept_probability``."""
     spark.udf.register("bayes_win", bayes_win)
     spark.udf.register("vote_tally", vote_tally)
     spark.udtf.register("gaussian_thresholds", GaussianThresholds)
+    spark.udtf.register("tree_nodes", TreeNodes)
     from ..operators.sampling import accept_probability
 
     spark.udf.register("accept_probability", accept_probability, T.DoubleType())

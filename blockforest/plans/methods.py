@@ -315,3 +315,37 @@ run AS (SELECT row_id, label, pos, sum(vote) OVER (PARTITION BY row_id ORDER BY
 stops AS (SELECT row_id, label, min(CASE WHEN pos >= 20 OR (CASE WHEN 2 * ones > pos THEN ones ELSE pos - ones END) > 10 THEN pos END) AS used FROM run GROUP BY row_id, label)
 SELECT stops.row_id, stops.label, used, CASE WHEN 2 * run.ones > run.pos THEN 1 ELSE 0 END AS prediction FROM stops JOIN run ON stops.row_id = run.row_id AND run.pos = used""")
 both("stump_forest_metrics", _STUMPS + "SELECT count(*) AS n, round(avg(CASE WHEN prediction = label THEN 1.0E0 ELSE 0.0E0 END), 6) AS accuracy FROM full_vote")
+
+# -- stumps on importance bites: three rounds, each bite drawn from the out-of-bag pools of the stumps before it ---------
+
+_ROUNDS = 3
+
+
+def _round(k: int) -> str:
+    """Bite k (10 slots from either pool, an empty pool falls back to the other), its stump, and the votes after it."""
+    pred = "CASE WHEN v1 > v0 THEN 1 ELSE 0 END"
+    slot = f"concat('{k}:', cast(block as varchar(9)), ':', cast(pool as varchar(9)), ':', cast(s as varchar(9)))"
+    return f""",
+split{k} AS (SELECT *, CASE WHEN v0 + v1 = 0 OR {pred} = label THEN 1 ELSE 0 END AS is_right, CASE WHEN v0 + v1 = 0 OR {pred} <> label THEN 1 ELSE 0 END AS is_wrong FROM state{k - 1}),
+full{k} AS (SELECT *, max(is_right) OVER (PARTITION BY block) AS any_right, max(is_wrong) OVER (PARTITION BY block) AS any_wrong FROM split{k}),
+both{k} AS (SELECT *, {{r[0;1]}} AS pool FROM full{k}),
+member{k} AS (SELECT *, CASE WHEN pool = 0 AND (is_right = 1 OR any_right = 0) OR pool = 1 AND (is_wrong = 1 OR any_wrong = 0) THEN 1 ELSE 0 END AS inside FROM both{k}),
+rank{k} AS (SELECT *, sum(inside) OVER (PARTITION BY block, pool ORDER BY {{h[ord|row_id]}}, row_id) - 1 AS rk, sum(inside) OVER (PARTITION BY block, pool) AS size FROM member{k}),
+slot{k} AS (SELECT block, pool, {{h[imp|{slot}]}} AS draw FROM (SELECT block, pool, {{r[0;9]}} AS s FROM (SELECT block, {{r[0;1]}} AS pool FROM (SELECT DISTINCT block FROM ids) t) u) v),
+size{k} AS (SELECT DISTINCT block, pool, size FROM rank{k}),
+hits{k} AS (SELECT slot{k}.block, slot{k}.pool, draw % size AS rk, count(*) AS copies FROM slot{k} JOIN size{k} ON slot{k}.block = size{k}.block AND slot{k}.pool = size{k}.pool GROUP BY slot{k}.block, slot{k}.pool, draw % size),
+bite{k} AS (SELECT m.block, m.row_id, m.label, m.v0, m.v1, cast(sum(CASE WHEN m.inside = 1 THEN coalesce(copies, 0) ELSE 0 END) AS bigint) AS copies FROM rank{k} m LEFT JOIN hits{k} ON m.block = hits{k}.block AND m.pool = hits{k}.pool AND m.rk = hits{k}.rk GROUP BY m.block, m.row_id, m.label, m.v0, m.v1),
+count{k} AS (SELECT bite{k}.block, feature, value, sum(copies * bite{k}.label) AS p, sum(copies) AS n FROM bite{k} JOIN train ON bite{k}.row_id = train.row_id WHERE copies > 0 GROUP BY bite{k}.block, feature, value),
+run{k} AS (SELECT block, feature, value, lead(value) OVER w AS nxt, sum(p) OVER w AS lp, sum(n) OVER w AS ln_, sum(p) OVER t AS tp, sum(n) OVER t AS tn FROM count{k} WINDOW w AS (PARTITION BY block, feature ORDER BY value), t AS (PARTITION BY block, feature)),
+gain{k} AS (SELECT *, round((value + nxt) / 2, 7) AS threshold, round({_ent('tp', '(tn - tp)')} - (ln_ * {_ent('lp', '(ln_ - lp)')} + (tn - ln_) * {_ent('(tp - lp)', '(tn - ln_ - tp + lp)')}) / tn, 8) AS gain FROM run{k} WHERE nxt IS NOT NULL),
+stump{k} AS (SELECT block, feature, threshold, CASE WHEN 2 * lp > ln_ THEN 1 ELSE 0 END AS lcls, CASE WHEN 2 * (tp - lp) > tn - ln_ THEN 1 ELSE 0 END AS rcls FROM (SELECT *, row_number() OVER (PARTITION BY block ORDER BY gain DESC, feature, threshold) AS rn FROM gain{k}) q WHERE rn = 1),
+said{k} AS (SELECT bite{k}.*, CASE WHEN value <= threshold THEN lcls ELSE rcls END AS vote FROM bite{k} JOIN stump{k} ON bite{k}.block = stump{k}.block JOIN train ON train.row_id = bite{k}.row_id AND train.feature = stump{k}.feature),
+state{k} AS (SELECT block, row_id, label, cast(v0 + CASE WHEN copies = 0 AND vote = 0 THEN 1 ELSE 0 END AS bigint) AS v0, cast(v1 + CASE WHEN copies = 0 AND vote = 1 THEN 1 ELSE 0 END AS bigint) AS v1 FROM said{k})"""
+
+
+_CHAIN = _LONG + """, train AS (SELECT * FROM x WHERE {h[split|row_id]} % 5 <> 0), test AS (SELECT * FROM x WHERE {h[split|row_id]} % 5 = 0),
+ids AS (SELECT DISTINCT block, row_id, label FROM train),
+state0 AS (SELECT block, row_id, label, cast(0 AS bigint) AS v0, cast(0 AS bigint) AS v1 FROM ids)""" + "".join(_round(k) for k in range(1, _ROUNDS + 1))
+both("stump_forest_importance", _CHAIN + ", stump AS (" + " UNION ALL ".join(f"SELECT block, {k} AS i, feature, threshold, lcls, rcls FROM stump{k}" for k in range(1, _ROUNDS + 1)) + """)
+SELECT test.row_id, test.label, cast(sum(CASE WHEN value <= threshold THEN lcls ELSE rcls END) AS bigint) AS ones, count(*) AS m FROM test JOIN stump ON test.feature = stump.feature GROUP BY test.row_id, test.label""")
+both("stump_importance_oob", _CHAIN + f" SELECT block, row_id, v0, v1 FROM state{_ROUNDS}")

@@ -96,7 +96,12 @@ def _udf_queries() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame],
         return methods.hash_votes(s, d).groupBy("row_id").agg(vote_tally("vote").alias("t")).select("row_id", F.element_at("t", 1).alias("zeros"), F.coalesce(F.try_element_at("t", F.lit(2)), F.lit(0)).alias("ones"))
 
     votes = methods._VOTES
+    arrays = ", ".join(f"transform(a, x -> x.{c}) AS {c}" for c in ("feature", "threshold", "lft", "rgt", "cls"))
+    nodes = f"""WITH {methods._NODES}, trees AS (SELECT tree_id, {arrays} FROM (SELECT tree_id, array_sort(collect_list(struct(node, feature, cast(threshold AS double) AS threshold, lft, rgt, cls))) AS a FROM nodes GROUP BY tree_id) t)
+SELECT trees.tree_id, n.* FROM trees, LATERAL tree_nodes(trees.feature, trees.threshold, trees.lft, trees.rgt, trees.cls) n"""
     return {
+        "udf_scalar": (lambda s, d: views(register(s), d, "documents").sql("SELECT doc_id, round(accept_probability(cast(pmod(doc_id, 60) AS double) / 100), 8) AS p FROM documents"), "SELECT doc_id, round(CASE WHEN doc_id % 60 >= 50 THEN 1.0 ELSE (doc_id % 60)::DOUBLE / 100 / (1 - (doc_id % 60)::DOUBLE / 100) END, 8) AS p FROM documents"),
+        "udtf_tree_nodes": (lambda s, d: register(s).sql(nodes), f"WITH {methods._NODES} SELECT tree_id, node, feature, threshold::DOUBLE AS threshold, lft, rgt, cls FROM nodes"),
         "udtf_thresholds": (lambda s, d: register(s).sql("SELECT n, min_lead FROM gaussian_thresholds(100, 0.01)"), f"SELECT n, min_lead::INT AS min_lead FROM ({thresholds_sql(Rule('g1_fpc', 100, 0.01))})"),
         "udaf_vote_tally": (tally, f"SELECT row_id, count(*) FILTER (WHERE vote = 0) AS zeros, count(*) FILTER (WHERE vote = 1) AS ones FROM {votes} GROUP BY row_id"),
         "udf_bayes_win": (lambda s, d: register(s).sql("SELECT cast(n AS int) AS n, round(bayes_win(n, n, 21), 8) AS p FROM (SELECT explode(sequence(1, 10)) AS n)"), "SELECT n::INT AS n, round(least(1.0, sum(exp(lgamma(22 - n) - lgamma(k + 1) - lgamma(22 - n - k) + lgamma(n + k + 1) + lgamma(22 - n - k) - lgamma(23) + lgamma(n + 2) - lgamma(n + 1)))), 8) AS p FROM range(1, 11) t(n), range(0, 22) v(k) WHERE k <= 21 - n AND n + k >= 11 GROUP BY n"),

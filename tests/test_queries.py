@@ -5,7 +5,7 @@ from blockforest.plans import methods, registry, relational
 duckdb = pytest.importorskip("duckdb")
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: A share of the queries keeps this quick; the driver holds all of them against DuckDB.
-SOME = [*list(relational.Q)[::6], *list(methods.Q)[::6], "udtf_thresholds", "stream_sessions", "stream_running_errors"]
+SOME = [*list(relational.Q)[::6], *list(methods.Q)[::6], "udtf_thresholds", "udtf_tree_nodes", "udf_scalar", "stump_forest_importance", "stream_sessions", "stream_running_errors"]
 
 
 @pytest.mark.parametrize("name", SOME)
