@@ -29,12 +29,12 @@ def _uniform(h: Column, shift: int) -> Column:
     return (F.shiftrightunsigned(h, shift).bitwiseAND((1 << 21) - 1) + 0.5) / float(1 << 21)
 
 
-def _draws(term: Column, sample: Column) -> Column:
-    """The draws of (term, sample), the same in every document: grid step r, grid offset beta, ln of c."""
+def _draws(term: Column, sample: Column, j: int) -> list[Column]:
+    """The draws of (term, sample), the same in every document: grid step r, grid offset beta, ln of c. Plain columns, since structs would box each number."""
     h = F.xxhash64(term, sample)
     h2 = F.xxhash64(h)
     r = -F.ln(_uniform(h, 0) * _uniform(h, 21))
-    return F.struct(h.alias("h"), r.alias("r"), _uniform(h2, 42).alias("beta"), F.ln(-F.ln(_uniform(h2, 0) * _uniform(h2, 21))).alias("lnc"))
+    return [h.alias(f"h{j}"), r.alias(f"r{j}"), _uniform(h2, 42).alias(f"beta{j}"), F.ln(-F.ln(_uniform(h2, 0) * _uniform(h2, 21))).alias(f"lnc{j}")]
 
 
 def _ranked(h: Column, r: Column, beta: Column, lnc: Column, ln_weight: Column) -> Column:
@@ -65,8 +65,8 @@ def fingerprints(texts: DataFrame, keys: list[str], bodies: dict[str, str], size
     counted = words.select(*keys, "kind", F.xxhash64("word").alias("term")).groupBy(*keys, "term").agg(*weights)
     steps = -(-size // SAMPLES_PER_ROW)
     dealt = counted.select("*", F.explode(F.sequence(F.lit(0), F.lit(steps - 1))).alias("g"))
-    drawn = dealt.select(*keys, "g", *[f"w{i}" for i in range(len(names))], *[_draws(F.col("term"), F.col("g") * SAMPLES_PER_ROW + j).alias(f"d{j}") for j in range(SAMPLES_PER_ROW)])
-    mins = [F.min(_ranked(F.col(f"d{j}.h"), F.col(f"d{j}.r"), F.col(f"d{j}.beta"), F.col(f"d{j}.lnc"), F.col(f"w{i}"))).alias(f"m{i}_{j}") for i in range(len(names)) for j in range(SAMPLES_PER_ROW)]
+    drawn = dealt.select(*keys, "g", *[f"w{i}" for i in range(len(names))], *[c for j in range(SAMPLES_PER_ROW) for c in _draws(F.col("term"), F.col("g") * SAMPLES_PER_ROW + j, j)])
+    mins = [F.min(_ranked(F.col(f"h{j}"), F.col(f"r{j}"), F.col(f"beta{j}"), F.col(f"lnc{j}"), F.col(f"w{i}"))).alias(f"m{i}_{j}") for i in range(len(names)) for j in range(SAMPLES_PER_ROW)]
     best = drawn.groupBy(*keys, "g").agg(*mins)
     pieces = best.select(*keys, F.struct("g", *[F.concat(*[_code(F.col(f"m{i}_{j}")) for j in range(SAMPLES_PER_ROW)]).alias(f"f{i}") for i in range(len(names))]).alias("piece"))
     whole = pieces.groupBy(*keys).agg(F.array_sort(F.collect_list("piece")).alias("pieces"))
