@@ -17,16 +17,46 @@ from pyspark.sql import functions as F
 
 from ._text import ALPHANUMERIC, RollingHash, chunks, lower_ascii, mix64, word_bounds
 
-#: Short statements of common licenses, by name.
+#: Statements of common licenses, by name; a further form of a license has a suffix.
 TEMPLATES = {
+    "agpl-3.0": "licensed under the GNU Affero General Public License, version 3",
+    "agpl-3.0-text": "it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License",
+    "all-rights-reserved": "All rights reserved",
     "apache-2.0": "Licensed under the Apache License, Version 2.0",
+    "apache-2.0-short": "Licensed under the Apache 2.0 License",
+    "bsd-2-clause-name": "Licensed under the BSD 2-Clause License",
     "bsd-3-clause": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met",
+    "bsd-3-clause-name": "Licensed under the BSD 3-Clause License",
     "cc-by-4.0": "This work is licensed under a Creative Commons Attribution 4.0 International License",
+    "cc-by-4.0-short": "Licensed under CC BY 4.0",
+    "cc-by-nc-4.0": "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License",
+    "cc-by-nc-4.0-short": "Licensed under CC BY-NC 4.0",
+    "cc-by-nc-nd-4.0": "This work is licensed under a Creative Commons Attribution-NonCommercial-NoDerivatives 4.0 International License",
+    "cc-by-nc-nd-4.0-short": "Licensed under CC BY-NC-ND 4.0",
+    "cc-by-nc-sa-4.0": "This work is licensed under a Creative Commons Attribution-NonCommercial-ShareAlike 4.0 International License",
+    "cc-by-nc-sa-4.0-short": "Licensed under CC BY-NC-SA 4.0",
+    "cc-by-nd-4.0": "This work is licensed under a Creative Commons Attribution-NoDerivatives 4.0 International License",
+    "cc-by-nd-4.0-short": "Licensed under CC BY-ND 4.0",
+    "cc-by-sa-4.0": "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License",
+    "cc-by-sa-4.0-short": "Licensed under CC BY-SA 4.0",
+    "cc0-1.0": "Licensed under CC0 1.0",
+    "cc0-1.0-text": "has waived all copyright and related or neighboring rights to this work",
+    "epl-2.0": "made available under the terms of the Eclipse Public License 2.0",
+    "gpl-2.0": "licensed under the GNU General Public License, version 2",
+    "gpl-2.0-text": "it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License",
     "gpl-3.0": "licensed under the GNU General Public License, version 3",
+    "gpl-3.0-text": "it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License",
+    "isc-text": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted",
     "lgpl-2.1": "licensed under the GNU Lesser General Public License, version 2.1",
+    "lgpl-2.1-text": "terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License",
+    "lgpl-3.0": "licensed under the GNU Lesser General Public License, version 3",
+    "lgpl-3.0-text": "terms of the GNU Lesser General Public License as published by the Free Software Foundation, either version 3 of the License",
     "mit": "Released under the MIT License",
+    "mit-name": "Licensed under the MIT License",
     "mit-text": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files",
     "mpl-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0",
+    "mpl-2.0-name": "Licensed under the Mozilla Public License, version 2.0",
+    "unlicense": "This is free and unencumbered software released into the public domain",
 }
 #: Words of a shingle, bands, and the share of a template's shingles that must be there, in percent.
 SHINGLE, BANDS, CONTAINED = 3, 32, 80
@@ -60,6 +90,7 @@ class Templates:
             while half < len(words):
                 half *= 2  # few window lengths serve all templates
             self.by_window.setdefault(half, []).append(i)
+        self.known = [set(s.tolist()) for s in self.sets]
         self.bands = np.stack([np.array([mix64(s, 60 + b).min() for b in range(BANDS)], np.uint64) for s in self.sets])
 
 
@@ -74,10 +105,10 @@ def _segment_min(values: np.ndarray, width: int, step: int) -> np.ndarray:
 
 def matches(words: np.ndarray, bound: np.ndarray, templates: Templates, percent: int = CONTAINED) -> set[tuple[int, int]]:
     """(row, template) of a run of rows: retrieved by bands, verified by containment."""
-    found: set[tuple[int, int]] = set()
+    found: dict[tuple[int, int], set[int]] = {}
     sh = _shingles(words, SHINGLE)
     if not len(sh):
-        return found
+        return set()
     n = len(words)
     row = np.repeat(np.arange(len(bound) - 1), np.diff(bound))
     inside = row[: len(sh)] == row[SHINGLE - 1 : n]  # a shingle never spans two documents
@@ -94,9 +125,19 @@ def matches(words: np.ndarray, bound: np.ndarray, templates: Templates, percent:
             seen, owner = sh[a:z][inside[a:z]], row[a:z][inside[a:z]]
             hit = np.isin(seen, templates.sets[i])
             for r in np.unique(owner[hit]).tolist():
-                if 100 * len(np.unique(seen[hit & (owner == r)])) >= percent * len(templates.sets[i]):
-                    found.add((r, i))
-    return found
+                have = set(seen[hit & (owner == r)].tolist())
+                if 100 * len(have) >= percent * len(templates.sets[i]):
+                    found[r, i] = have | found.get((r, i), set())
+    return _nearest(found, templates)
+
+
+def _nearest(found: dict[tuple[int, int], set[int]], templates: Templates) -> set[tuple[int, int]]:
+    """Without the templates that only share the words of a closer one: version 2 in a statement of version 3."""
+    share = {(r, i): len(have) / len(templates.sets[i]) for (r, i), have in found.items()}
+    rows: dict[int, list[int]] = {}
+    for r, i in found:
+        rows.setdefault(r, []).append(i)
+    return {(r, i) for (r, i), have in found.items() if not any(share[r, j] > share[r, i] and have <= templates.known[j] for j in rows[r])}
 
 
 def _scan(batches, templates: Templates, percent: int):
@@ -115,7 +156,7 @@ def _scan(batches, templates: Templates, percent: int):
 def find_licenses(docs: DataFrame, templates: dict[str, str] | None = None, id_col: str = "doc_id", text_col: str = "text", percent: int = CONTAINED) -> DataFrame:
     """``id_col, licenses array<string>``: templates of which a stretch of text holds ``percent`` of the shingles.
 
-    The names are sorted. Null and empty texts have none; ids are passed through, repeated rows get equal results,
+    A template whose shingles there all belong to another template that is held to a larger share is left out. The names are sorted. Null and empty texts have none; ids are passed through, repeated rows get equal results,
     extra columns are ignored.
     """
     kind = docs.schema[id_col].dataType.simpleString()

@@ -35,3 +35,17 @@ def test_edges(spark):
     got = [(r.doc_id, r.licenses) for r in find_licenses(df).collect()]
     assert got == [(1, []), (2, []), (3, ["bsd-3-clause"]), (4, ["bsd-3-clause"]), (5, []), (None, ["mit"]), (6, ["mit"]), (6, ["mit"]), (7, []), (8, [])]
     assert find_licenses(df.limit(0)).count() == 0
+
+
+def test_every_statement_of_the_documents_has_a_template(spark, sf):
+    statements = {"This work is licensed under the GNU General Public License, version 3.": "gpl-3.0", "All rights reserved.": "all-rights-reserved", "Licensed under CC BY-NC 4.0.": "cc-by-nc-4.0-short", "Released under the MIT License.": "mit", "Licensed under the Apache License, Version 2.0.": "apache-2.0"}
+    got = {r.doc_id: r.licenses.split(",") for r in op3_license_bands(spark, sf).collect()}
+    texts = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    for statement, name in statements.items():
+        holders = {i for i, t in texts.items() if statement in t}
+        assert holders and holders == {i for i, names in got.items() if name in names}
+
+
+def test_each_template_names_itself_alone(spark):
+    df = spark.createDataFrame(sorted(TEMPLATES.items()), "doc_id string, text string").coalesce(1)
+    assert {r.doc_id: r.licenses for r in find_licenses(df).collect()} == {n: [n] for n in TEMPLATES}
