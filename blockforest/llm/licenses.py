@@ -1,13 +1,16 @@
 """License scans: MinHash bands over overlapping windows retrieve templates, exact shingle containment verifies.
 
-Words are cut at everything but ASCII letters and digits and other alphabets. A template of n words is looked for in windows of
-2n words that overlap by half, so every occurrence lies whole in some window. Bands have one coordinate: a window
-that holds a template shares each coordinate with probability of at least about 1/3, so 32 bands miss one time in
-400,000. Every retrieved (window, template) is then verified on the template's whole shingle set.
+Words are cut at everything but ASCII letters and digits and other alphabets. A template of s shingles is looked for in windows
+of four cells of half of s, one from each cell of a document on, so every stretch of up to 1.5 s shingles lies whole in some
+window, and no window spans two documents. Bands have one coordinate: a window that holds the required share of a template agrees in
+each with a probability of at least what the lengths allow (about 1/3), and every template has as many bands as make a miss
+rarer than 1 in 400,000. Windows without any shingle of a template can't agree and are not hashed. Every retrieved (window, template)
+is then verified on the template's whole shingle set.
 """
 
 from __future__ import annotations
 
+import math
 from functools import partial
 
 import numpy as np
@@ -58,8 +61,12 @@ TEMPLATES = {
     "mpl-2.0-name": "Licensed under the Mozilla Public License, version 2.0",
     "unlicense": "This is free and unencumbered software released into the public domain",
 }
-#: Words of a shingle, bands, and the share of a template's shingles that must be there, in percent.
+#: Words of a shingle, least number of bands, and the share of a template's shingles that must be there, in percent.
 SHINGLE, BANDS, CONTAINED = 3, 32, 80
+#: A window is so many cells; a template in a window is missed by all bands at most once in so many times.
+CELLS, MISS = 4, 400_000
+#: Windows that one numpy pass works on.
+_WINDOWS = 1 << 14
 
 
 def _shingles(words: np.ndarray, k: int) -> np.ndarray:
@@ -71,63 +78,74 @@ def _shingles(words: np.ndarray, k: int) -> np.ndarray:
     return acc
 
 
+def bands_needed(n: int, cell: int, percent: int) -> int:
+    """Bands for n shingles, of which ``percent`` are in a window that is full of other ones besides."""
+    held = max(1, -(-n * percent // 100))
+    agree = held / (n + max(0, CELLS * cell - held))
+    return max(BANDS, math.ceil(math.log(MISS) / -math.log1p(-agree))) if agree < 1 else BANDS
+
+
 class Templates:
-    """Shingle sets of the templates, grouped by window length, with their band coordinates."""
+    """Shingle sets of the templates, grouped by cell length, with their band coordinates."""
 
-    def __init__(self, texts: dict[str, str]):
+    def __init__(self, texts: dict[str, str], percent: int = CONTAINED):
         self.names = sorted(texts)
-        self.sets, self.by_window = [], {}
+        self.percent, self.sets, self.by_cell, self.bands = percent, [], {}, []
         for i, name in enumerate(self.names):
             for _, _, data, offsets in chunks(pa.array([texts[name]])):
                 data = lower_ascii(data)
                 start, end, _ = word_bounds(data, offsets, ALPHANUMERIC)
                 words = RollingHash(data, 2).of(start, end)
-            s = np.unique(_shingles(words, SHINGLE))
-            if not len(s):
+            sh = _shingles(words, SHINGLE)
+            if not len(sh):
                 raise ValueError(f"template {name} has fewer than {SHINGLE} words")
+            s, cell = np.unique(sh), -(-len(sh) // 2)
             self.sets.append(s)
-            half = 4
-            while half < len(words):
-                half *= 2  # few window lengths serve all templates
-            self.by_window.setdefault(half, []).append(i)
+            self.by_cell.setdefault(cell, []).append(i)
+            self.bands.append(np.array([mix64(s, 60 + b).min() for b in range(bands_needed(len(s), cell, percent))], np.uint64))
         self.known = [set(s.tolist()) for s in self.sets]
-        self.bands = np.stack([np.array([mix64(s, 60 + b).min() for b in range(BANDS)], np.uint64) for s in self.sets])
+        self.openers = {cell: np.unique(np.concatenate([self.sets[i] for i in members])) for cell, members in self.by_cell.items()}
+        self.all = np.unique(np.concatenate([*self.sets, np.zeros(0, np.uint64)]))
 
 
-def _segment_min(values: np.ndarray, width: int, step: int) -> np.ndarray:
-    """Minimum of windows of ``width = 2 * step`` values that begin at every ``step``-th one."""
-    full = -(-len(values) // step) * step
-    padded = np.full(full + step, np.uint64(0xFFFFFFFFFFFFFFFF))
-    padded[: len(values)] = values
-    cells = padded.reshape(-1, step).min(axis=1)
-    return np.minimum(cells[:-1], cells[1:])
+def _windows(at: np.ndarray, first: np.ndarray, cell: int) -> np.ndarray:
+    """Starts of the windows that hold one of the shingles ``at``; ``first``: the first shingle of its document."""
+    own = (at - first) // cell
+    back = np.minimum(own[:, None], np.arange(CELLS))
+    return np.unique(first[:, None] + (own[:, None] - back) * cell)
 
 
-def matches(words: np.ndarray, bound: np.ndarray, templates: Templates, percent: int = CONTAINED) -> set[tuple[int, int]]:
+def matches(words: np.ndarray, bound: np.ndarray, templates: Templates) -> set[tuple[int, int]]:
     """(row, template) of a run of rows: retrieved by bands, verified by containment."""
     found: dict[tuple[int, int], set[int]] = {}
     sh = _shingles(words, SHINGLE)
-    if not len(sh):
+    hits = np.flatnonzero(np.isin(sh, templates.all))
+    row = np.searchsorted(bound, hits, "right") - 1
+    inside = hits + SHINGLE <= bound[row + 1]  # a shingle never spans two documents
+    hits, row = hits[inside], row[inside]
+    if not len(hits):
         return set()
-    n = len(words)
-    row = np.repeat(np.arange(len(bound) - 1), np.diff(bound))
-    inside = row[: len(sh)] == row[SHINGLE - 1 : n]  # a shingle never spans two documents
-    hashed = [np.where(inside, mix64(sh, 60 + b), np.uint64(0xFFFFFFFFFFFFFFFF)) for b in range(BANDS)]
-    for half, members in templates.by_window.items():
-        candidates = set()
-        for b in range(BANDS):
-            low = _segment_min(hashed[b], 2 * half, half)
-            known = templates.bands[members, b]
-            for w in np.flatnonzero(np.isin(low, known)).tolist():
-                candidates.update((w, i) for i in members if templates.bands[i, b] == low[w])
-        for w, i in candidates:
-            a, z = w * half, min(len(sh), (w + 2) * half)
-            seen, owner = sh[a:z][inside[a:z]], row[a:z][inside[a:z]]
-            hit = np.isin(seen, templates.sets[i])
-            for r in np.unique(owner[hit]).tolist():
-                have = set(seen[hit & (owner == r)].tolist())
-                if 100 * len(have) >= percent * len(templates.sets[i]):
-                    found[r, i] = have | found.get((r, i), set())
+    for cell, members in templates.by_cell.items():
+        here = np.isin(sh[hits], templates.openers[cell])
+        starts = _windows(hits[here], bound[row[here]], cell)
+        for a in range(0, len(starts), _WINDOWS):
+            start = starts[a : a + _WINDOWS]
+            owner = np.searchsorted(bound, start, "right") - 1
+            at = start[:, None] + np.arange(CELLS * cell)
+            real = at + SHINGLE <= bound[owner + 1][:, None]
+            values = sh[np.where(real, at, start[:, None])]  # behind the document's end: the first shingle again
+            candidates = {i: np.zeros(len(start), bool) for i in members}
+            for b in range(max(len(templates.bands[i]) for i in members)):
+                low = mix64(values, 60 + b).min(axis=1)
+                for i in members:
+                    if b < len(templates.bands[i]):
+                        candidates[i] |= low == templates.bands[i][b]
+            for i, windows in candidates.items():
+                for w in np.flatnonzero(windows).tolist():
+                    have = templates.known[i].intersection(values[w].tolist())
+                    if 100 * len(have) >= templates.percent * len(templates.sets[i]):
+                        key = (int(owner[w]), i)
+                        found[key] = have | found.get(key, set())
     return _nearest(found, templates)
 
 
@@ -140,14 +158,14 @@ def _nearest(found: dict[tuple[int, int], set[int]], templates: Templates) -> se
     return {(r, i) for (r, i), have in found.items() if not any(share[r, j] > share[r, i] and have <= templates.known[j] for j in rows[r])}
 
 
-def _scan(batches, templates: Templates, percent: int):
+def _scan(batches, templates: Templates):
     for batch in batches:
         names = []
         for first, end, data, offsets in chunks(batch.column(1)):
             data = lower_ascii(data)
             start, stop, bound = word_bounds(data, offsets, ALPHANUMERIC)
             per: dict[int, list[str]] = {}
-            for r, i in matches(RollingHash(data, 2).of(start, stop), bound, templates, percent):
+            for r, i in matches(RollingHash(data, 2).of(start, stop), bound, templates):
                 per.setdefault(r, []).append(templates.names[i])
             names.extend(sorted(per.get(r, [])) for r in range(end - first))
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.list_(pa.string()))], names=["id", "licenses"])
@@ -161,8 +179,8 @@ def find_licenses(docs: DataFrame, templates: dict[str, str] | None = None, id_c
     """
     kind = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    known = Templates(TEMPLATES if templates is None else templates)
-    return rows.mapInArrow(partial(_scan, templates=known, percent=percent), f"id {kind}, licenses array<string>").withColumnRenamed("id", id_col)
+    known = Templates(TEMPLATES if templates is None else templates, percent)
+    return rows.mapInArrow(partial(_scan, templates=known), f"id {kind}, licenses array<string>").withColumnRenamed("id", id_col)
 
 
 def op3_license_bands(spark, sf_dir: str) -> DataFrame:
