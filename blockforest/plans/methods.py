@@ -266,7 +266,7 @@ both("bite_rejection", _REJECT + "SELECT split.block, row_id FROM split JOIN odd
 # -- splits and trees -------------------------------------------------------------------------------------------
 
 _LETTERS = "ehntu"
-_LONG = "WITH x AS (" + " UNION ALL ".join(f"SELECT doc_id AS row_id, {{h[block|doc_id]}} % 4 AS block, CASE WHEN lang = 'en' THEN 1 ELSE 0 END AS label, '{c}' AS feature, round((length(substr(text, 1, 400)) - length(replace(substr(text, 1, 400), '{c}', ''))) * 1.0E0 / length(substr(text, 1, 400)), 6) AS value FROM documents" for c in _LETTERS) + ")"
+_LONG = "WITH x AS (" + " UNION ALL ".join(f"SELECT doc_id AS row_id, {{h[block|doc_id]}} % 4 AS block, CASE WHEN lang = 'en' THEN 1 ELSE 0 END AS label, '{c}' AS feature, CASE WHEN length(text) > 0 THEN round((length(text) - length(replace(text, '{c}', ''))) * 1.0E0 / length(text), 6) ELSE 0.0E0 END AS value FROM documents" for c in _LETTERS) + ")"
 
 
 def _ent(a: str, b: str) -> str:

@@ -34,3 +34,11 @@ def test_pushdown_and_broadcast(spark, sf):
     assert "PushedFilters: [IsNotNull(l_discount)" in plan and "l_comment" not in plan
     star = registry.QUERIES["join_inner_star"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" in star
+
+
+def test_letter_shares_are_of_whole_texts(spark, tmp_path):
+    rows = [(1, "x" * 600 + "e" * 200, "en"), (2, "", "de"), (3, "e" * 400 + "x" * 400, "de")]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.feature: r["mean"] for r in registry.QUERIES["entropy_by_feature"](spark, str(tmp_path)).collect()}
+    assert got == {"e": 0.25, "h": 0.0, "n": 0.0, "t": 0.0, "u": 0.0}
+    assert registry.QUERIES["best_split_root"](spark, str(tmp_path)).count() == 1
