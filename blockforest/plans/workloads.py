@@ -56,8 +56,13 @@ def experiment(run):
 # -- learning sets ----------------------------------------------------------------------------------------
 
 
-def weblang(spark: SparkSession, sf_dir: str, table: str = "documents", variant: str = "plain", classes: str = "binary") -> tuple[DataFrame, DataFrame]:
-    """(train, test): 63 character proportions, English or not (or the language); equal texts stay on one side."""
+def weblang(spark: SparkSession, sf_dir: str, table: str = "documents", variant: str = "plain", classes: str = "binary", flip: float = 0.0) -> tuple[DataFrame, DataFrame]:
+    """(train, test): 63 character proportions, English or not (or the language); equal texts stay on one side.
+
+    A share of the labels of two classes may be flipped, chosen by hash.
+    """
+    if flip and classes != "binary":
+        raise ValueError("only labels of two classes can be flipped")
     if table == "documents":
         df = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("row_id"), "text", "lang")
     else:
@@ -65,6 +70,8 @@ def weblang(spark: SparkSession, sf_dir: str, table: str = "documents", variant:
     if variant == "hard":
         df = df.withColumn("text", F.substring("text", 1, 40))
     label = (F.col("lang") == "en").cast("int") if classes == "binary" else (F.array_position(F.array(*map(F.lit, ("de", "en", "es", "fr"))), F.col("lang")) - 1).cast("int")
+    if flip:
+        label = F.when(portable_hash("flip", F.col("row_id")) < flip * 2**32, 1 - label).otherwise(label)
     train, test = fx.split_grouped(df, F.md5("text"))
     shape = lambda d: d.select("row_id", fx.char_vector(F.col("text")).alias("features"), label.alias("label"))
     return shape(train), shape(test)
@@ -317,7 +324,7 @@ def draw_orders(spark, sf_dir, workload="weblang", params=ForestParams(n_trees=2
 @experiment
 def skewed_blocks(spark, sf_dir, params=ForestParams(n_trees=10, bite_size=100, n_blocks=4)) -> DataFrame:
     """Blocks sorted by label against random ones: why rows are dealt at random."""
-    train, test = (_kept(d) for d in weblang(spark, sf_dir, variant="hard"))
+    train, test = (_kept(d) for d in weblang(spark, sf_dir, flip=0.1))
     rows = []
     for mode in ("random", "sorted"):
         blocked = assign_blocks(train, params.n_blocks, mode=mode, by="label")

@@ -42,3 +42,32 @@ def test_letter_shares_are_of_whole_texts(spark, tmp_path):
     got = {r.feature: r["mean"] for r in registry.QUERIES["entropy_by_feature"](spark, str(tmp_path)).collect()}
     assert got == {"e": 0.25, "h": 0.0, "n": 0.0, "t": 0.0, "u": 0.0}
     assert registry.QUERIES["best_split_root"](spark, str(tmp_path)).count() == 1
+
+
+def test_experiments_read_whole_texts(spark, tiny, monkeypatch):
+    from blockforest.plans import workloads
+
+    asked = []
+
+    class Seen(Exception):
+        pass
+
+    def seen(*args, **options):
+        asked.append(options)
+        raise Seen
+
+    monkeypatch.setattr(workloads, "weblang", seen)
+    names = [n for n in registry.QUERIES if n.startswith(("w9_", "w10_", "w13_bite_sizes", "w14_lazy_real", "w16_", "w17_", "w18_", "skewed_blocks")) and not n.endswith("_birds")]
+    for name in names:
+        with pytest.raises(Seen):
+            registry.QUERIES[name](spark, tiny)
+    assert len(names) == 8 and all(o.get("variant", "plain") == "plain" and o["flip"] == 0.1 for o in asked)
+
+
+def test_flipped_labels(spark, tiny):
+    from blockforest.plans.workloads import weblang
+
+    label = lambda flip: {r.row_id: (r.label, r.features) for d in weblang(spark, tiny, flip=flip) for r in d.collect()}
+    plain, flipped = label(0.0), label(0.1)
+    assert plain.keys() == flipped.keys() and all(plain[i][1] == flipped[i][1] for i in plain)
+    assert 0.04 < sum(plain[i][0] != flipped[i][0] for i in plain) / len(plain) < 0.18
