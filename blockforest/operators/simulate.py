@@ -15,9 +15,9 @@ from ..functions.stopping import Rule, threshold_table
 _STEP = 64
 
 
-def draw_points(rng: np.random.Generator, n: int, rule: Rule) -> tuple[np.ndarray, ...]:
+def draw_points(rng: np.random.Generator, n: int, rule: Rule, leads: np.ndarray | None = None) -> tuple[np.ndarray, ...]:
     """(p, votes used, lazy class, full class): votes are drawn only until a point stops, the rest as one binomial."""
-    m, leads = rule.m, threshold_table(rule)
+    m, leads = rule.m, threshold_table(rule) if leads is None else leads
     p = rng.random(n)
     ones, used = np.zeros(n, np.int64), np.full(n, m)
     lazy = np.full(n, -1)
@@ -44,13 +44,13 @@ def draw_points(rng: np.random.Generator, n: int, rule: Rule) -> tuple[np.ndarra
     return p, used, lazy, (2 * total > m).astype(int)
 
 
-def _simulate(batches, rules: list[Rule], seed: int):
+def _simulate(batches, tables: list[tuple[Rule, np.ndarray]], seed: int):
     for batch in batches:
         ids = batch.column(0).to_numpy()
         rows = []
-        for rule in rules:
+        for rule, leads in tables:
             rng = np.random.default_rng(derive_seed(seed, rule, int(ids[0]) if len(ids) else 0))
-            p, used, lazy, full = draw_points(rng, len(ids), rule)
+            p, used, lazy, full = draw_points(rng, len(ids), rule, leads)
             truth = p >= 0.5
             rows.append((rule.name, rule.m, rule.alpha, len(ids), int(used.sum()), int((lazy == truth).sum()), int((full == truth).sum()), int((lazy != full).sum())))
         names = ["rule", "m", "alpha", "points", "votes", "lazy_right", "full_right", "differ"]
@@ -58,7 +58,11 @@ def _simulate(batches, rules: list[Rule], seed: int):
 
 
 def simulate(spark: SparkSession, n_points: int, rules: list[Rule], seed: int = 42, parts: int = 8) -> DataFrame:
-    """``rule, m, alpha, points, eval_fraction, relative_error, disagreement`` for every rule."""
-    raw = spark.range(0, n_points, 1, parts).mapInArrow(partial(_simulate, rules=rules, seed=seed), "rule string, m int, alpha double, points long, votes long, lazy_right long, full_right long, differ long")
+    """``rule, m, alpha, points, eval_fraction, relative_error, disagreement`` for every rule.
+
+    The tables of thresholds are built once, on the driver: a Bayesian one is quadratic in m.
+    """
+    tables = [(r, threshold_table(r)) for r in rules]
+    raw = spark.range(0, n_points, 1, parts).mapInArrow(partial(_simulate, tables=tables, seed=seed), "rule string, m int, alpha double, points long, votes long, lazy_right long, full_right long, differ long")
     total = raw.groupBy("rule", "m", "alpha").agg(*[F.sum(c).alias(c) for c in ("points", "votes", "lazy_right", "full_right", "differ")])
     return total.select("rule", "m", "alpha", "points", (F.col("votes") / F.col("points") / F.col("m")).alias("eval_fraction"), (1 - F.col("lazy_right") / F.col("full_right")).alias("relative_error"), (F.col("differ") / F.col("points")).alias("disagreement"))

@@ -52,14 +52,16 @@ def _workloads() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "w4_quality": lambda s, d: w.fit_and_score(s, d, "labels", ForestParams(n_trees=10, bite_size=60, n_blocks=2)),
         "w4_toxic": lambda s, d: w.fit_and_score(s, d, "labels", ForestParams(n_trees=10, bite_size=60, n_blocks=2), target="toxic"),
         "w5_simulation_sizes": lambda s, d: w.sim(s),
-        "w6_simulation_levels": lambda s, d: w.sim(s, rules=("g1_fpc", "g2", "chebyshev", "chernoff"), ms=(1000,), alphas=(0.05, 0.01, 1e-3, 1e-4), n_points=8000),
-        "w7_simulation_errors": lambda s, d: w.sim(s, ms=(1000,), alphas=(0.01,)).select("rule", "m", "alpha", "relative_error", "disagreement"),
+        "w6_simulation_levels": lambda s, d: w.sim(s, ms=(10_000,), alphas=w.LEVELS),
+        "w7_simulation_errors": lambda s, d: w.sim(s, ms=(10_000,), alphas=w.LEVELS).select("rule", "m", "alpha", "relative_error", "disagreement"),
         "w8_threshold_times": lambda s, d: w.threshold_times(s),
         "w9_accuracy_time": lambda s, d: w.accuracy_time(s, d, flip=0.1),
         "w10_blocks_and_sizes": lambda s, d: w.accuracy_blocks(s, d, flip=0.1),
         "w11_accuracy_time_birds": lambda s, d: w.accuracy_time(s, d, "birds", local_sizes=(1, 5), serial_sizes=(10,), params=ForestParams(bite_size=500, n_blocks=4)),
         "w12_blocks_birds": lambda s, d: w.accuracy_blocks(s, d, "birds", qs=(1, 2, 4), local_sizes=(5,), params=ForestParams(n_trees=5, bite_size=500, n_blocks=4)),
         "w13_bite_sizes": lambda s, d: w.bite_sizes(s, d, flip=0.1),
+        "w13_bite_sizes_birds": lambda s, d: w.bite_sizes(s, d, "birds", sizes=(100, 500, 1000, 5000)),
+        "w14_lazy_real_birds": lambda s, d: w.lazy_real(s, d, "birds", alphas=w.LEVELS, params=ForestParams(n_trees=25, bite_size=500, n_blocks=8)),
         "w14_lazy_real": lambda s, d: w.lazy_real(s, d, flip=0.1),
         "w16_stop_points": lambda s, d: w.stop_points(s, d, flip=0.1),
         "w17_shallow": lambda s, d: w.shallow(s, d, flip=0.1),

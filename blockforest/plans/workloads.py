@@ -22,6 +22,8 @@ from ..operators.simulate import simulate
 from ..operators.train import train_mega_forest, tune_bite_size
 from ..sources.tables import load
 
+#: Levels of disagreement that the simulations compare.
+LEVELS = (0.05, 0.01, 1e-3, 1e-4)
 FIVE_RULES = ("g1_fpc", "g1", "g2_fpc", "g2", "bayes")
 
 
@@ -252,12 +254,12 @@ def committee(spark, sf_dir, workload="weblang", p=4, alpha=0.01, params=ForestP
     return metric_rows(spark, rows)
 
 
-def sim(spark, rules=FIVE_RULES, ms=(100, 500, 1000), alphas=(1e-4,), n_points=20_000, seed=42) -> DataFrame:
+def sim(spark, rules=FIVE_RULES, ms=(100, 500, 1000, 5000, 10_000), alphas=(1e-4,), n_points=1_000_000, seed=42) -> DataFrame:
     """Simulated votes: evaluation fraction and errors by rule, size and level."""
     return simulate(spark, n_points, [Rule(r, m, a) for r in rules for m in ms for a in alphas], seed)
 
 
-def threshold_times(spark, ms=(100, 1000, 10_000), bayes_ms=(100, 1000), prime_ms=(30,)) -> DataFrame:
+def threshold_times(spark, ms=(100, 1000, 10_000, 100_000, 200_000, 1_000_000), bayes_ms=(100, 1000, 10_000), prime_ms=(30, 100)) -> DataFrame:
     """Milliseconds to build a table of thresholds, by rule and size."""
     def timed(f):
         began = time.perf_counter()

@@ -71,3 +71,24 @@ def test_flipped_labels(spark, tiny):
     plain, flipped = label(0.0), label(0.1)
     assert plain.keys() == flipped.keys() and all(plain[i][1] == flipped[i][1] for i in plain)
     assert 0.04 < sum(plain[i][0] != flipped[i][0] for i in plain) / len(plain) < 0.18
+
+
+def test_simulations_are_whole(spark, tiny, monkeypatch):
+    from blockforest.functions.stopping import Rule
+    from blockforest.plans import workloads
+
+    asked = []
+    monkeypatch.setattr(workloads, "simulate", lambda s, n, rules, seed: asked.append((n, rules)) or s.createDataFrame([], "rule string, m int, alpha double, relative_error double, disagreement double"))
+    for name in ("w6_simulation_levels", "w7_simulation_errors"):
+        registry.QUERIES[name](spark, tiny)
+    for n, rules in asked:
+        assert n == 1_000_000 and set(rules) == {Rule(r, 10_000, a) for r in ("g1_fpc", "g1", "g2_fpc", "g2", "bayes") for a in (0.05, 0.01, 1e-3, 1e-4)}
+    assert len(asked) == 2 and {"w13_bite_sizes_birds", "w14_lazy_real_birds"} <= set(registry.QUERIES)
+
+
+def test_simulated_tables_come_from_the_driver(spark):
+    from blockforest.functions.stopping import Rule
+    from blockforest.operators.simulate import simulate
+
+    rows = simulate(spark, 2000, [Rule("bayes", 200, 0.01), Rule("g1_fpc", 200, 0.01)]).collect()
+    assert sorted(r.rule for r in rows) == ["bayes", "g1_fpc"] and all(r.points == 2000 and r.eval_fraction < 0.5 for r in rows)
