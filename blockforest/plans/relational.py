@@ -53,8 +53,8 @@ add("agg_pivot",
     f"SELECT * FROM (SELECT {h('block', 'doc_id')} % 4 AS block, lang FROM documents) PIVOT (count(*) FOR lang IN ('de' AS de, 'en' AS en, 'es' AS es, 'fr' AS fr))",
     f"SELECT {portable_sql('block', 'doc_id')} % 4 AS block, count(*) FILTER (WHERE lang = 'de') AS de, count(*) FILTER (WHERE lang = 'en') AS en, count(*) FILTER (WHERE lang = 'es') AS es, count(*) FILTER (WHERE lang = 'fr') AS fr FROM documents GROUP BY 1")
 add("agg_unpivot",
-    "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, feature, value FROM (SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_discount, l_tax FROM lineitem WHERE l_orderkey < 200) UNPIVOT (value FOR feature IN (l_quantity, l_discount, l_tax))",
-    "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, feature, value FROM (SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, unnest(['l_quantity', 'l_discount', 'l_tax']) AS feature, unnest([l_quantity, l_discount, l_tax]) AS value FROM lineitem WHERE l_orderkey < 200)")
+    "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, feature, value FROM (SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_discount, l_tax FROM lineitem) UNPIVOT (value FOR feature IN (l_quantity, l_discount, l_tax))",
+    "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, feature, value FROM (SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, unnest(['l_quantity', 'l_discount', 'l_tax']) AS feature, unnest([l_quantity, l_discount, l_tax]) AS value FROM lineitem)")
 add("agg_percentile", "SELECT lang, percentile(n_chars, 0.5) AS median, percentile(n_chars, 0.9) AS p90 FROM documents GROUP BY lang", "SELECT lang, quantile_cont(n_chars, 0.5) AS median, quantile_cont(n_chars, 0.9) AS p90 FROM documents GROUP BY lang")
 add("agg_having", "SELECT user_id, count(*) AS errors FROM events WHERE event_type = 'error' GROUP BY user_id HAVING count(*) > 12")
 add("agg_bool_mode", "SELECT lang, bool_and(n_chars > 0) AS all_long, bool_or(n_chars > 20000) AS any_huge, count(*) AS n FROM documents GROUP BY lang")

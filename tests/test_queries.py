@@ -92,3 +92,8 @@ def test_simulated_tables_come_from_the_driver(spark):
 
     rows = simulate(spark, 2000, [Rule("bayes", 200, 0.01), Rule("g1_fpc", 200, 0.01)]).collect()
     assert sorted(r.rule for r in rows) == ["bayes", "g1_fpc"] and all(r.points == 2000 and r.eval_fraction < 0.5 for r in rows)
+
+
+def test_unpivot_takes_all_line_items(spark, tiny):
+    lines = spark.read.parquet(f"{tiny}/lineitem.parquet").count()
+    assert registry.QUERIES["agg_unpivot"](spark, tiny).count() == 3 * lines
