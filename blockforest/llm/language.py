@@ -154,14 +154,17 @@ def _count(batches):
         yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate((pa.string(), pa.int32(), pa.int64()))], names=["lang", "slot", "n"])
 
 
-def fit_model(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", bound: int = PER_LANGUAGE_BOUND) -> Model:
+def fit_model(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", bound: int = PER_LANGUAGE_BOUND, max_languages: int = 500) -> Model:
     """A model from about ``bound`` documents of each language, chosen by hash in one scan.
 
-    The 500 commonest languages are learned; rows without language or text are passed over.
+    Every language is learned; more than ``max_languages``, which bounds the model's memory, are an error. Rows without language or
+    text are passed over.
     """
     source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang")).where("lang is not null and text is not null")
-    sizes = source.groupBy("lang").agg(F.count(F.lit(1)).alias("size")).orderBy(F.desc("size"), "lang").limit(500)
-    languages = [r.lang for r in sizes.collect()]
+    sizes = source.groupBy("lang").agg(F.count(F.lit(1)).alias("size")).orderBy(F.desc("size"), "lang")
+    languages = [r.lang for r in sizes.limit(max_languages + 1).collect()]
+    if len(languages) > max_languages:
+        raise ValueError(f"there are more than {max_languages} languages: raise max_languages, the model grows with it")
     counts, scripts = {}, {}
     if languages:
         share = F.pmod(F.xxhash64("id"), F.lit(1 << 30)) / float(1 << 30)

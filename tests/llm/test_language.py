@@ -43,3 +43,13 @@ def test_mixed_text_and_edges(spark, sf):
     assert {r.lang_pred for r in label_languages(df, nothing).collect()} == {UNKNOWN}
     text = "aΩж中".encode()
     assert len(set(script_of(np.frombuffer(text, np.uint8), np.array([0, 1, 3, 5])).tolist())) == 4
+
+
+def test_no_language_is_dropped(spark):
+    import pytest
+
+    rows = [(i, f"word{chr(97 + i % 26)} text", f"l{i:03d}") for i in range(6)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert sorted(fit_model(df, max_languages=6).languages) == [r[2] for r in rows]
+    with pytest.raises(ValueError, match="max_languages"):
+        fit_model(df, max_languages=5)
