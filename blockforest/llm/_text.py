@@ -2,14 +2,20 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
+from functools import lru_cache, partial
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import DataFrame
 
 #: Bytes of text that one numpy pass works on; it bounds the memory of a worker.
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 19
+#: Bytes of the rows that a worker gets at once (a single longer row comes alone).
+BATCH_BYTES = 8 << 20
+_BATCH_CONF = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 _U = np.uint64
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -27,34 +33,32 @@ def mix64(x: np.ndarray, salt: int = 0) -> np.ndarray:
     return z
 
 
-class RollingHash:
-    """Hashes of arbitrary byte ranges in O(1) each, after one prefix sum over the buffer."""
+def _power_tables(size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of the base and of its inverse."""
+    tables = []
+    for b in (_BASE, pow(_BASE, -1, 1 << 64)):
+        steps = np.full(size, b, np.uint64)
+        steps[0] = 1
+        tables.append(np.multiply.accumulate(steps))
+    return tables[0], tables[1]
+
+
+#: The tables that a worker keeps: those of one chunk. Longer texts make their own and let them go.
+_kept_tables = lru_cache(1)(partial(_power_tables, 2 * CHUNK_BYTES + 64))
 
-    _powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+class RollingHash:
+    """Hashes of arbitrary byte ranges in O(1) each, after one prefix sum over the buffer; salts share the base."""
 
     def __init__(self, data: np.ndarray, salt: int):
         self.salt = salt
         table = mix64(np.arange(256, dtype=np.uint64), 1000 + salt)
-        power, self._inverse = self._tables(len(data), salt)
+        power, self._inverse = _kept_tables()
+        if len(data) >= len(power):
+            power, self._inverse = _power_tables(len(data) + 1)
         self._prefix = np.zeros(len(data) + 1, np.uint64)
         np.cumsum(table[data] * power[: len(data)], out=self._prefix[1:])
 
-    @classmethod
-    def _tables(cls, n: int, salt: int) -> tuple[np.ndarray, np.ndarray]:
-        have = cls._powers.get(salt)
-        if have is None or len(have[0]) < n + 1:
-            size = max(n + 1, CHUNK_BYTES + 1)
-            base = (_BASE + 2 * int(mix64(np.array([salt], np.uint64))[0] >> _U(8))) & 0xFFFFFFFFFFFFFFFF
-            tables = []
-            for b in (base, pow(base, -1, 1 << 64)):
-                steps = np.full(size, b, np.uint64)
-                steps[0] = 1
-                tables.append(np.multiply.accumulate(steps))
-            have = (tables[0], tables[1])
-            if size <= 16 * CHUNK_BYTES:
-                cls._powers[salt] = have
-        return have
-
     def of(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         raw = (self._prefix[end] - self._prefix[start]) * self._inverse[start]
         return mix64(raw + (end - start).astype(np.uint64) * _U(0xD6E8FEB86659FD93), self.salt)
@@ -64,7 +68,10 @@ def utf8(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string column; null is empty."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
-    column = pc.fill_null(column.cast(pa.large_string()), "")
+    if pa.types.is_binary(column.type):
+        column = column.cast(pa.large_binary())
+    else:
+        column = pc.fill_null(column.cast(pa.large_string()), "")
     offsets = np.frombuffer(column.buffers()[1], np.int64)[column.offset : column.offset + len(column) + 1]
     raw = column.buffers()[2]
     data = np.frombuffer(raw, np.uint8) if raw is not None else np.zeros(0, np.uint8)
@@ -105,5 +112,27 @@ def word_bounds(data: np.ndarray, offsets: np.ndarray, is_word: np.ndarray) -> t
     return start, end, np.searchsorted(start, offsets)
 
 
+def map_batches(rows: DataFrame, function: Callable, schema: str) -> DataFrame:
+    """``rows.mapInArrow`` in batches bounded by bytes; a worker gives its free memory back after each partition.
+
+    Workers live through many stages of a session and otherwise keep what the largest batch of any of them took.
+    The bound is a runtime setting; one that the session has set lower is left alone.
+    """
+    conf = rows.sparkSession.conf
+    if not conf.get(_BATCH_CONF).rstrip("b").isdigit() or int(conf.get(_BATCH_CONF).rstrip("b")) > BATCH_BYTES:
+        conf.set(_BATCH_CONF, f"{BATCH_BYTES}b")
+    return rows.mapInArrow(partial(_with_release, function=function), schema)
+
+
+def _with_release(batches, function: Callable):
+    try:
+        yield from function(batches)
+    finally:
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim:
+            trim(0)
+
+
 def signed(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64)

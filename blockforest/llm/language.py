@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._text import RollingHash, chunks, lower_ascii
+from ._text import RollingHash, chunks, lower_ascii, map_batches
 
 #: Documents of one language that a model is trained on (the hash keeps close to this number).
 PER_LANGUAGE_BOUND = 2000
@@ -169,7 +169,7 @@ def fit_model(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     if languages:
         share = F.pmod(F.xxhash64("id"), F.lit(1 << 30)) / float(1 << 30)
         rows = source.join(F.broadcast(sizes), "lang").where(share < float(bound) / F.col("size"))
-        found = rows.select("text", "lang").mapInArrow(_count, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).collect()
+        found = map_batches(rows.select("text", "lang"), _count, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).collect()
         for lang in languages:
             counts[lang], scripts[lang] = np.zeros(len(_RUNS) * _SLOTS), np.zeros(len(SCRIPTS))
         for r in found:
@@ -225,7 +225,7 @@ def label_languages(docs: DataFrame, model: Model, id_col: str = "doc_id", text_
     shared = docs.sparkSession.sparkContext.broadcast(model)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     schema = f"id {kind}, lang_pred string, score double" + (", spans array<struct<lang:string,start:int,end:int>>" if with_spans else "")
-    return rows.mapInArrow(partial(_label, model=shared, penalty=penalty, with_spans=with_spans), schema).withColumnRenamed("id", id_col)
+    return map_batches(rows, partial(_label, model=shared, penalty=penalty, with_spans=with_spans), schema).withColumnRenamed("id", id_col)
 
 
 def op9_script_viterbi(spark, sf_dir: str) -> DataFrame:

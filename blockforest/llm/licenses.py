@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._text import ALPHANUMERIC, RollingHash, chunks, lower_ascii, mix64, word_bounds
+from ._text import ALPHANUMERIC, RollingHash, chunks, lower_ascii, map_batches, mix64, word_bounds
 
 #: Statements of common licenses, by name; a further form of a license has a suffix.
 TEMPLATES = {
@@ -180,7 +180,7 @@ def find_licenses(docs: DataFrame, templates: dict[str, str] | None = None, id_c
     kind = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     known = Templates(TEMPLATES if templates is None else templates, percent)
-    return rows.mapInArrow(partial(_scan, templates=known), f"id {kind}, licenses array<string>").withColumnRenamed("id", id_col)
+    return map_batches(rows, partial(_scan, templates=known), f"id {kind}, licenses array<string>").withColumnRenamed("id", id_col)
 
 
 def op3_license_bands(spark, sf_dir: str) -> DataFrame:

@@ -1,6 +1,6 @@
 """Near-duplicate groups by circulant MinHash, with every link confirmed on whole shingle sets.
 
-Steps, all proportional to the input:
+Steps; all but the fourth are proportional to the input:
 
 1. One pass makes each document's shingle set, its 128-bit digest and its band keys. All coordinates of
    the signature come from two permutations of a 32-bit universe: the first scatters the shingles, the
@@ -8,7 +8,8 @@ Steps, all proportional to the input:
 2. Documents with equal sets collapse to the one with the smallest id.
 3. A bucket (band, key) of several such documents links them to two pivots; sets are compared exactly.
 4. Buckets that still hold more than one component after that are compared across components, in blocks
-   of bounded size, so a large bucket is dealt over many tasks and never meets itself pair by pair.
+   of bounded size, so a large bucket is dealt over many tasks. Documents outside the bucket's largest component meet
+   every block: where many documents share a band by chance and are not alike, that is their number times the blocks.
 5. Links make components; the smallest id of a component is kept.
 
 With the defaults (30 bands of 4) a pair at similarity 0.8 is missed with probability below 2e-7.
@@ -24,8 +25,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._tables import components, cut
-from ._text import BLANK_SEPARATED, RollingHash, chunks, lower_ascii, mix64, signed, word_bounds
+from ._tables import components, cut, drop_cut
+from ._text import BLANK_SEPARATED, RollingHash, chunks, lower_ascii, map_batches, mix64, signed, word_bounds
 
 #: Shingles that the indexed side of one comparison block holds.
 BLOCK_SHINGLES = 1 << 20
@@ -153,7 +154,7 @@ def _compare(batches, percent: int):
 def confirmed_links(rows: DataFrame, percent: int) -> DataFrame:
     """Links (a, b) among rows ``(grp, blk, role, doc, comp, shingles)`` whose similarity reaches ``percent``."""
     rows = rows.select("grp", "blk", "role", "doc", "comp", "shingles").repartition("grp", "blk").sortWithinPartitions("grp", "blk", "role", "doc")
-    return rows.mapInArrow(partial(_compare, percent=percent), "a long, b long")
+    return map_batches(rows, partial(_compare, percent=percent), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, percent: int = 80, bands: int = 30, rows: int = 4) -> DataFrame:
@@ -165,7 +166,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     Other columns are ignored, whatever their names. An empty table gives an empty result.
     """
     source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    signed_docs = cut(source.mapInArrow(partial(_sign, k=k, bands=bands, rows=rows), "id long, n_shingles long, d1 long, d2 long, bands array<long>"))
+    signed_docs = cut(map_batches(source, partial(_sign, k=k, bands=bands, rows=rows), "id long, n_shingles long, d1 long, d2 long, bands array<long>"))
     known = signed_docs.where("id is not null and n_shingles > 0")
     reps = known.groupBy("d1", "d2", "n_shingles").agg(F.min("id").alias("id"))
     nodes = known.join(reps, ["d1", "d2", "n_shingles", "id"], "left_semi").dropDuplicates(["id", "d1", "d2"])
@@ -179,7 +180,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     stars = stars.select(F.greatest("id", "pivot").alias("member"), F.least("id", "pivot").alias("pivot")).distinct()
     stars = cut(stars)
     wanted = shared.select("id").distinct()
-    sets = cut(source.join(wanted, "id", "left_semi").mapInArrow(partial(_sets, k=k), "id long, shingles array<long>"))
+    sets = cut(map_batches(source.join(wanted, "id", "left_semi"), partial(_sets, k=k), "id long, shingles array<long>"))
 
     # 1st comparison: members against their pivots; a pivot of many members is copied to several tasks.
     load = stars.groupBy("pivot").agg(F.ceil(F.count(F.lit(1)) / 256).alias("blocks"))
@@ -201,7 +202,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     links = first.union(confirmed_links(both, percent)).distinct()
     final = components(links)
 
-    classes = reps.join(final, reps.id == final.node, "left").select("d1", "d2", F.col("n_shingles").alias("n"), F.coalesce("component", "id").alias("component"))
+    classes = cut(reps.join(final, reps.id == final.node, "left").select("d1", "d2", F.col("n_shingles").alias("n"), F.coalesce("component", "id").alias("component")))
+    for table in (shared, stars, sets, first, found, rest, final):
+        drop_cut(table)
     s = signed_docs.drop("bands")
     out = s.join(classes, (s.d1 == classes.d1) & (s.d2 == classes.d2) & (s.n_shingles == classes.n) & (s.n_shingles > 0), "left")
     component = F.when(s.id.isNotNull(), F.coalesce("component", s.id))

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._text import RollingHash, chunks
+from ._text import RollingHash, chunks, map_batches
 from .token_counts import vocabulary_path
 
 MARKER = "▁"
@@ -279,7 +279,7 @@ def encode_pieces(docs: DataFrame, model: PieceModel, id_col: str = "doc_id", te
     kind = docs.schema[id_col].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(model)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(partial(_encode, model=shared, checks=False), f"id {kind}, pieces array<int>").withColumnRenamed("id", id_col)
+    return map_batches(rows, partial(_encode, model=shared, checks=False), f"id {kind}, pieces array<int>").withColumnRenamed("id", id_col)
 
 
 def decode_pieces(encoded: DataFrame, model: PieceModel, id_col: str = "doc_id", pieces_col: str = "pieces") -> DataFrame:
@@ -287,7 +287,7 @@ def decode_pieces(encoded: DataFrame, model: PieceModel, id_col: str = "doc_id",
     kind = encoded.schema[id_col].dataType.simpleString()
     shared = encoded.sparkSession.sparkContext.broadcast(model)
     rows = encoded.select(F.col(id_col).alias("id"), F.col(pieces_col).cast("array<int>").alias("pieces"))
-    return rows.mapInArrow(partial(_decode, model=shared), f"id {kind}, text string").withColumnRenamed("id", id_col)
+    return map_batches(rows, partial(_decode, model=shared), f"id {kind}, text string").withColumnRenamed("id", id_col)
 
 
 def piece_facts(docs: DataFrame, model: PieceModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -295,7 +295,7 @@ def piece_facts(docs: DataFrame, model: PieceModel, id_col: str = "doc_id", text
     kind = docs.schema[id_col].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(model)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(partial(_encode, model=shared, checks=True), f"id {kind}, n_pieces long, n_byte_pieces long, ids_sha256 string, round_trip boolean").withColumnRenamed("id", id_col)
+    return map_batches(rows, partial(_encode, model=shared, checks=True), f"id {kind}, n_pieces long, n_byte_pieces long, ids_sha256 string, round_trip boolean").withColumnRenamed("id", id_col)
 
 
 def op10_unigram_pieces(spark, sf_dir: str, vocabulary: str = "piece_bpe_32k.model") -> DataFrame:

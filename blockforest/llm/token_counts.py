@@ -17,6 +17,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._text import map_batches
+
 #: Pre-tokens whose piece counts a worker remembers.
 CACHE_ENTRIES = 500_000
 
@@ -105,7 +107,7 @@ def token_counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     kind = docs.schema[id_col].dataType.simpleString()
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     rows = docs.select(F.col(id_col).alias("id"), F.octet_length(text).cast("long").alias("n_bytes"), text.alias("text"))
-    return rows.mapInArrow(partial(_count, name=vocabulary), f"id {kind}, n_bytes long, n_tokens long").withColumnRenamed("id", id_col)
+    return map_batches(rows, partial(_count, name=vocabulary), f"id {kind}, n_bytes long, n_tokens long").withColumnRenamed("id", id_col)
 
 
 def op8_pretoken_counts(spark, sf_dir: str, vocabulary: str = "byte_bpe_50k.json") -> DataFrame:
