@@ -1,30 +1,30 @@
 """Benchmark decontamination: every test suffix is binary-searched in suffix arrays over shards of training text.
 
-A shard is a run of whole documents. Its suffix array holds the suffixes that can match at all: those whose
-first words start some test suffix too (any other suffix loses against every test suffix within those words).
-Words are compared by their rank in the sorted test vocabulary; rank 0 is a word that no test item has.
-Ranges of equal suffixes give all verbatim occurrences of every test window, runs of them on one diagonal the
-longest verbatim matches. No row is shuffled: the cost is one scan, and only the test side is sent to tasks.
-Test sides above ``max_test_bytes`` are taken in slices of items, one scan each.
+A shard is a run of whole documents. Its suffix array holds the suffixes of all words that some test item has (one that
+begins with any other word sorts before every test suffix). Words are compared by their rank in the sorted test vocabulary;
+rank 0 is a word that no test item has. Suffixes are ordered by as many words as a test window has: ranges of equal ones give
+all verbatim occurrences of every window, and windows that follow each other in a document and in an item make up the longest
+verbatim matches with their places. No row is shuffled: the cost is one scan, and only the test side is sent to tasks.
+A test side above ``max_test_bytes`` is taken in slices of items, one scan and one broadcast at a time; what they find is
+united row by row.
 """
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
 from functools import partial
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
-from ._text import ALPHANUMERIC, RollingHash, chunks, lower_ascii, mix64, word_bounds
+from ._tables import cut, drop_cut
+from ._text import ALPHANUMERIC, RollingHash, chunks, lower_ascii, map_batches, word_bounds
 
 #: Bytes of training text whose suffixes make one sorted shard.
-SHARD_BYTES = 4 << 20
-_PER_KEY = 3  # ranks of 21 bits in one 64-bit key
-_BITS = np.uint64(21)
+SHARD_BYTES = 1 << 20
 
 
 def hashed_words(column: pa.Array, limit: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
@@ -36,7 +36,7 @@ def hashed_words(column: pa.Array, limit: int) -> Iterator[tuple[int, int, np.nd
 
 
 class TestSide:
-    """Windows of the test items, sorted vocabulary, and the opening word runs that any match must have."""
+    """Windows of the test items as sorted keys' bounds, and the sorted vocabulary."""
 
     __test__ = False
 
@@ -48,22 +48,19 @@ class TestSide:
                 words.append(hashes[bound[row - first] : bound[row - first + 1]])
                 items.append(row)
         self.vocabulary = np.unique(np.concatenate([*words, np.zeros(0, np.uint64)]))
-        if len(self.vocabulary) + 1 >= 1 << 21:
-            raise ValueError("a slice of the test side has over two million distinct words: lower max_test_bytes")
+        self.bits = 21 if len(self.vocabulary) + 1 < 1 << 21 else 32  # ranks of so many bits, as many as fit in 64
         ranks = [self.rank(w) for w in words]
         spans = [(i, at, min(window, len(r))) for i, r in zip(items, ranks, strict=True) if len(r) for at in range(len(r) - min(window, len(r)) + 1)]
         self.item = np.array([x[0] for x in spans], np.int64)
         self.start = np.array([x[1] for x in spans], np.int64)
         self.length = np.array([x[2] for x in spans], np.int64)
-        self.lead = int(min([3, *self.length]))
-        padded = np.zeros((len(spans), window), np.uint64)
+        padded = np.zeros((window, len(spans)), np.uint64)
         for n, (i, at, length) in enumerate(spans):
-            padded[n, :length] = ranks[i][at : at + length]
-        self.low = pack(padded)
+            padded[:length, n] = ranks[i][at : at + length]
+        self.low = pack(padded, self.bits)
         for n, length in enumerate(self.length):
-            padded[n, length:] = (1 << 21) - 1
-        self.high = pack(padded)
-        self.openings = np.unique(opening(padded.T.copy(), self.lead)) if len(spans) else np.zeros(0, np.uint64)
+            padded[length:, n] = (1 << self.bits) - 1
+        self.high = pack(padded, self.bits)
 
     def rank(self, hashes: np.ndarray) -> np.ndarray:
         if not len(self.vocabulary):
@@ -72,20 +69,14 @@ class TestSide:
         return np.where(self.vocabulary[at] == hashes, at + 1, 0).astype(np.uint64)
 
 
-def opening(columns: np.ndarray, lead: int) -> np.ndarray:
-    acc = columns[0].copy()
-    for i in range(1, lead):
-        acc = mix64(acc) + columns[i]
-    return acc
-
-
-def pack(ranks: np.ndarray) -> np.ndarray:
-    """Rows of ranks as rows of 64-bit keys with the same order."""
-    n, w = ranks.shape
-    out = np.zeros((n, -(-w // _PER_KEY)), np.uint64)
-    for j in range(w):
-        out[:, j // _PER_KEY] |= ranks[:, j] << (_BITS * np.uint64(_PER_KEY - 1 - j % _PER_KEY))
-    return out
+def pack(columns, bits: int) -> np.ndarray:
+    """Columns of ranks as rows of 64-bit keys with the same order."""
+    per_key, out = 64 // bits, []
+    for j, column in enumerate(columns):
+        if j % per_key == 0:
+            out.append(np.zeros(len(column), np.uint64))
+        out[-1] |= column << np.uint64(bits * (per_key - 1 - j % per_key))
+    return np.stack(out, axis=1)
 
 
 def _below(keys: np.ndarray, at: np.ndarray, wanted: np.ndarray, or_equal: bool) -> np.ndarray:
@@ -118,145 +109,150 @@ def shard_occurrences(hashes: np.ndarray, bound: np.ndarray, test: TestSide) ->
     if not len(test.item) or not len(hashes):
         return none, none
     ranks = test.rank(hashes)
-    n = len(ranks)
-    row_end = np.repeat(bound[1:], np.diff(bound))
-    padded = np.concatenate([ranks, np.zeros(test.window, np.uint64)])
-    # 1. suffixes that open like a test suffix
-    may = ranks > 0
-    for i in range(1, test.lead):
-        may &= padded[i : n + i] > 0
-    at = np.flatnonzero(may & (np.arange(n) + test.lead <= row_end))
-    opens = opening(np.stack([padded[at + i] for i in range(test.lead)]), test.lead)
-    at = at[np.isin(opens, test.openings)]
+    at = np.flatnonzero(ranks > 0)
     if not len(at):
         return none, none
-    # 2. their suffix array: ranks behind the document's end are 0
-    columns = np.stack([np.where(at + i < row_end[at], padded[at + i], np.uint64(0)) for i in range(test.window)], axis=1)
-    keys = pack(columns)
+    # the suffix array; ranks behind the document's end are 0
+    end = np.repeat(bound[1:], np.diff(bound))[at]
+    padded = np.concatenate([ranks, np.zeros(test.window, np.uint64)])
+    keys = pack((np.where(at + i < end, padded[at + i], np.uint64(0)) for i in range(test.window)), test.bits)
     order = np.lexsort(keys.T[::-1])
     keys, suffix = keys[order], at[order]
-    # 3. binary search of every test suffix
+    # binary search of every test suffix
     lo, hi = search(keys, test.low, False), search(keys, test.high, True)
     count = np.maximum(hi - lo, 0)
     where = np.repeat(lo - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())
     return suffix[where], np.repeat(np.arange(len(test.item)), count)
 
 
-def _scan(batches, test_side, ids_as: pa.DataType, matches: bool):
+def _maximal(row: np.ndarray, pos: np.ndarray, win: np.ndarray, test: TestSide) -> list[np.ndarray]:
+    """Windows that follow each other in a document and in an item, as one match: row, item, its start, the document's, words."""
+    item, start = test.item[win], test.start[win]
+    order = np.lexsort((pos, pos - start, item, row))
+    row, item, start, pos, length = row[order], item[order], start[order], pos[order], test.length[win][order]
+    follows = (row[1:] == row[:-1]) & (item[1:] == item[:-1]) & (pos[1:] == pos[:-1] + 1) & (start[1:] == start[:-1] + 1)
+    head = np.flatnonzero(np.concatenate([[True], ~follows])) if len(row) else np.zeros(0, np.int64)
+    return [row[head], item[head], start[head], pos[head], np.diff(np.append(head, len(row))) + length[head] - 1]
+
+
+def _scan(batches, test_side, ids_as: pa.DataType):
     test: TestSide = test_side.value
+    ids = pa.array(test.ids, ids_as)
     for batch in batches:
-        rows, counts, hits, items, found = batch.num_rows, [], [], [], []
-        for first, end, hashes, bound in hashed_words(batch.column(1), SHARD_BYTES):
+        counts, hits, found = [], [], []
+        for first, _, hashes, bound in hashed_words(batch.column(batch.num_columns - 1), SHARD_BYTES):
             pos, win = shard_occurrences(hashes, bound, test)
             row = np.searchsorted(bound, pos, "right") - 1
             mark = np.zeros(len(hashes) + 1, np.int64)
             np.add.at(mark, pos, 1)
             np.add.at(mark, pos + test.length[win], -1)
             hit = np.concatenate([[0], np.cumsum(np.cumsum(mark)[:-1] > 0)])
-            counts.extend(np.diff(bound).tolist())
-            hits.extend((hit[bound[1:]] - hit[bound[:-1]]).tolist())
-            pairs = np.unique(np.stack([row, test.item[win]], axis=1), axis=0)
-            per_row: dict[int, list] = {}
-            for r, i in pairs.tolist():
-                per_row.setdefault(r, []).append(test.ids[i])
-            items.extend(per_row.get(r, []) for r in range(end - first))
-            if matches and len(pos):
-                found.extend((first + r, test.ids[i], int(q), int(p), int(n)) for r, i, q, p, n in _maximal(row, pos - bound[row], win, test))
-        if matches:
-            row_ids = batch.column(0)
-            yield pa.RecordBatch.from_arrays([row_ids.take(pa.array([f[0] for f in found], pa.int64())), pa.array([f[1] for f in found], ids_as), *(pa.array([f[k] for f in found], pa.int64()) for k in (2, 3, 4))], names=["id", "item_id", "item_start", "doc_start", "n_words"])
-        else:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(counts, pa.int64()), pa.array(hits, pa.int64()), pa.array(items, pa.list_(ids_as))], names=["id", "n_words", "n_hit", "items"])
-        assert matches or len(counts) == rows
-
-
-def _maximal(row: np.ndarray, pos: np.ndarray, win: np.ndarray, test: TestSide):
-    """Windows that follow each other in a document and in an item, as one match."""
-    item, start, length = test.item[win], test.start[win], test.length[win]
-    order = np.lexsort((pos, pos - start, item, row))
-    last = None
-    for o in order.tolist():
-        key = (row[o], item[o], pos[o] - start[o])
-        if last and last[0] == key and pos[o] == last[2] + last[3] - length[o] + 1:
-            last[3] += 1
-        else:
-            if last:
-                yield last[0][0], last[0][1], last[1], last[2], last[3]
-            last = [key, start[o], pos[o], length[o]]
-    if last:
-        yield last[0][0], last[0][1], last[1], last[2], last[3]
+            counts.append(np.diff(bound))
+            hits.append(hit[bound[1:]] - hit[bound[:-1]])
+            runs = _maximal(row, pos - bound[row], win, test)
+            runs[0] += first
+            found.append(runs)
+        nothing = np.zeros(0, np.int64)
+        row, item, *places = (np.concatenate([f[k] for f in found] or [nothing]) for k in range(5))
+        offsets = np.searchsorted(row, np.arange(batch.num_rows + 1))
+        runs = pa.StructArray.from_arrays([ids.take(pa.array(item)), *(pa.array(x, pa.int64()) for x in places)], ["item_id", "item_start", "doc_start", "n_words"])
+        columns = [pa.array(np.concatenate([*x, nothing]), pa.int64()) for x in (counts, hits)]
+        yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *columns, pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), runs)], names=[*batch.schema.names[:-1], "n_words", "n_hit", "matches"])
 
 
 def _slices(bench: DataFrame, item_id: str, item_text: str, max_test_bytes: int) -> Iterator[tuple[list, list]]:
     """The test items in slices whose texts are within the limit, each collected by itself."""
-    items = bench.select(F.col(item_id).alias("i"), F.col(item_text).cast("string").alias("t")).where("i is not null and t is not null")
+    items = bench.select(F.col(item_id).alias("i"), F.col(item_text).cast("string").alias("t")).where("i is not null and t is not null").distinct()
     size = items.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0))).first()[0]
     n = max(1, -(-2 * size // max_test_bytes) if size > max_test_bytes else 1)
     for k in range(n):
         part = items if n == 1 else items.where(F.pmod(F.xxhash64("i", "t"), F.lit(n)) == k)
         rows = part.sort("i", "t").collect()
-        yield [r.i for r in rows], [r.t for r in rows]
+        if rows or k == n - 1:
+            yield [r.i for r in rows], [r.t for r in rows]
 
 
-def _each_slice(docs, bench, id_col, text_col, item_id, item_text, window, max_test_bytes, matches):
-    spark = docs.sparkSession
-    kind = bench.schema[item_id].dataType.simpleString()
-    arrow = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[kind]
-    doc_kind = docs.schema[id_col].dataType.simpleString()
-    schema = f"id {doc_kind}, " + (f"item_id {kind}, item_start long, doc_start long, n_words long" if matches else f"n_words long, n_hit long, items array<{kind}>")
-    source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    for ids, texts in _slices(bench, item_id, item_text, max_test_bytes):
-        test = spark.sparkContext.broadcast(TestSide(ids, texts, window))
-        yield source.mapInArrow(partial(_scan, test_side=test, ids_as=arrow, matches=matches), schema)
+def _covered(matches: Column) -> Column:
+    """Words inside any of the matches."""
+    spans = F.array_sort(F.transform(matches, lambda m: F.struct(m["doc_start"].alias("a"), (m["doc_start"] + m["n_words"]).alias("b"))))
+    begin = F.struct(F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("to"))
+    step = lambda acc, s: F.struct((acc["n"] + F.greatest(s["b"] - F.greatest(s["a"], acc["to"]), F.lit(0))).alias("n"), F.greatest(acc["to"], s["b"]).alias("to"))
+    return F.aggregate(spans, begin, step, lambda acc: acc["n"])
 
 
 def contamination(docs: DataFrame, bench: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = 10, max_test_bytes: int = 32 << 20) -> DataFrame:
-    """One row per document: ``id_col, n_words, n_hit, items``.
+    """One row per document: ``id_col, n_words, n_hit, items, matches``.
 
     A window is ``window`` consecutive words of an item, or a shorter item as a whole. ``n_hit`` counts the
-    document's words inside any occurrence of a window, ``items`` lists the items with one (distinct ids,
-    unsorted). Null and empty texts have no words; items with a null id or text are no items; repeated rows
-    are judged one by one; a null ``id_col`` is passed through. Other columns are ignored.
+    document's words inside any occurrence of a window, ``items`` lists the distinct ids of items with one (unsorted), and
+    ``matches`` every verbatim match that can't be made longer: ``item_id, item_start, doc_start, n_words`` (in words).
+    Null and empty texts have no words; items with a null id or text are no items, and repeated ones count once. Rows of
+    documents are judged one by one, repeated ids and rows too; a null ``id_col`` is passed through. Empty tables
+    and very long texts need no care. Other columns are ignored, whatever their names. The result does not depend
+    on ``max_test_bytes``.
     """
-    parts = list(_each_slice(docs, bench, id_col, text_col, item_id, item_text, window, max_test_bytes, False))
-    if len(parts) == 1:
-        return parts[0].withColumnRenamed("id", id_col)
-    # Hits of several slices overlap within a document: count them on the union of the matched runs.
-    runs = longest_matches(docs, bench, id_col, text_col, item_id, item_text, window, max_test_bytes)
-    covered = runs.select(id_col, "item_id", F.explode(F.sequence("doc_start", F.col("doc_start") + F.col("n_words") - 1)).alias("w"))
-    hits = covered.groupBy(id_col).agg(F.countDistinct("w").alias("n_hit"), F.collect_set("item_id").alias("items"))
-    words = parts[0].select(F.col("id").alias(id_col), "n_words")
-    empty = F.array().cast(hits.schema["items"].dataType)
-    return words.join(hits, id_col, "left").select(id_col, "n_words", F.coalesce("n_hit", F.lit(0)).alias("n_hit"), F.coalesce("items", empty).alias("items"))
-
-
-def longest_matches(docs: DataFrame, bench: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = 10, max_test_bytes: int = 32 << 20) -> DataFrame:
-    """Every verbatim match that can't be made longer: ``id_col, item_id, item_start, doc_start, n_words`` (in words)."""
-    parts = list(_each_slice(docs, bench, id_col, text_col, item_id, item_text, window, max_test_bytes, True))
-    out = parts[0]
-    for part in parts[1:]:
-        out = out.unionByName(part)
-    return out.withColumnRenamed("id", id_col)
+    spark = docs.sparkSession
+    ids_as = to_arrow_type(bench.schema[item_id].dataType)
+    kinds = bench.schema[item_id].dataType.simpleString(), docs.schema[id_col].dataType.simpleString()
+    found = f"n_words long, n_hit long, matches array<struct<item_id:{kinds[0]},item_start:long,doc_start:long,n_words:long>>"
+    source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+    numbered, base, more = None, None, []
+    slices = _slices(bench, item_id, item_text, max_test_bytes)
+    ahead = next(slices)
+    while ahead:
+        ids, texts = ahead
+        ahead = next(slices, None)
+        test = spark.sparkContext.broadcast(TestSide(ids, texts, window))
+        scan = partial(_scan, test_side=test, ids_as=ids_as)
+        if numbered is None and ahead is None:
+            base = map_batches(source, scan, f"id {kinds[1]}, {found}")
+            break
+        # Rows get numbers once, so that what slices find meets row by row.
+        numbered = numbered or cut(source.select("id", F.monotonically_increasing_id().alias("rn"), "text"))
+        part = map_batches(numbered, scan, f"id {kinds[1]}, rn long, {found}")
+        if base is None:
+            base = cut(part)
+        else:
+            more.append(cut(part.where("n_hit > 0").select("rn", F.col("matches").alias("also"))))
+        test.destroy()
+    if more:
+        drop_cut(numbered)
+        rest = more[0]
+        for part in more[1:]:
+            rest = rest.unionAll(part)
+        rest = rest.groupBy("rn").agg(F.flatten(F.collect_list("also")).alias("also"))
+        base = base.join(rest, "rn", "left").withColumn("matches", F.when(F.col("also").isNull(), F.col("matches")).otherwise(F.concat("matches", "also")))
+        base = base.withColumn("n_hit", F.when(F.col("also").isNull(), F.col("n_hit")).otherwise(_covered(F.col("matches"))))
+    return base.select(F.col("id").alias(id_col), "n_words", "n_hit", F.array_distinct(F.col("matches.item_id")).alias("items"), "matches")
+
+
+def longest_matches(docs: DataFrame, bench: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
+    """Every verbatim match that can't be made longer, a row each: ``id_col, item_id, item_start, doc_start, n_words`` (in words)."""
+    return contamination(docs, bench, id_col, **options).select(id_col, F.explode("matches").alias("m")).select(id_col, "m.*")
 
 
 def op6_suffix_search(spark, sf_dir: str) -> DataFrame:
     docs, bench = spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/benchmark.parquet")
     out = contamination(docs, bench)
     names = F.array_sort(F.transform("items", lambda i: i.cast("string")))
-    return out.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join(names, ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
+    longest = F.coalesce(F.array_max(F.col("matches.n_words")), F.lit(0).cast("long"))
+    return out.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join(names, ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"), longest.alias("longest_match"))
 
 
 OP6_SQL = r"""
 WITH d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
 b AS (SELECT item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
 bw AS (SELECT item_id, least(10, len(w)) AS n, unnest(range(1, len(w) - least(10, len(w)) + 2)) AS i, w FROM b WHERE len(w) > 0),
-win AS (SELECT DISTINCT item_id, n, list_slice(w, i, i + n - 1) AS g FROM bw),
+win AS (SELECT DISTINCT item_id, n, i AS s, list_slice(w, i, i + n - 1) AS g FROM bw),
 dw AS (SELECT doc_id, n, unnest(range(1, len(w) - n + 2)) AS i, w FROM d, (SELECT DISTINCT n FROM win) WHERE len(w) >= n),
 dg AS (SELECT doc_id, n, i, list_slice(w, i, i + n - 1) AS g FROM dw),
-hit AS (SELECT dg.doc_id, dg.i, dg.n, win.item_id FROM dg JOIN win ON dg.n = win.n AND dg.g = win.g),
+hit AS (SELECT dg.doc_id, dg.i, dg.n, win.item_id, dg.i - win.s AS diagonal FROM dg JOIN win ON dg.n = win.n AND dg.g = win.g),
+islands AS (SELECT doc_id, item_id, n, diagonal, i - row_number() OVER (PARTITION BY doc_id, item_id, diagonal ORDER BY i) AS island FROM hit),
+longest AS (SELECT doc_id, max(words)::BIGINT AS longest_match FROM (SELECT doc_id, count(*) + max(n) - 1 AS words FROM islands GROUP BY doc_id, item_id, diagonal, island) GROUP BY doc_id),
 covered AS (SELECT doc_id, count(DISTINCT p)::BIGINT AS n_hit FROM (SELECT doc_id, unnest(range(i, i + n)) AS p FROM hit) GROUP BY doc_id),
 items AS (SELECT doc_id, count(*)::BIGINT AS n_items, string_agg(s, ',' ORDER BY s) AS names FROM (SELECT DISTINCT doc_id, item_id::VARCHAR AS s FROM hit) GROUP BY doc_id)
 SELECT d.doc_id, len(d.w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items,
-       sha256(coalesce(names, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
-FROM d LEFT JOIN covered USING (doc_id) LEFT JOIN items USING (doc_id)
+       sha256(coalesce(names, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated,
+       coalesce(longest_match, 0)::BIGINT AS longest_match
+FROM d LEFT JOIN covered USING (doc_id) LEFT JOIN items USING (doc_id) LEFT JOIN longest USING (doc_id)
 """

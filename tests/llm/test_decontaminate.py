@@ -1,4 +1,6 @@
-from blockforest.llm.decontaminate import OP6_SQL, contamination, longest_matches, op6_suffix_search
+import numpy as np
+
+from blockforest.llm.decontaminate import OP6_SQL, TestSide, contamination, longest_matches, op6_suffix_search, pack, search
 
 from .oracle import assert_same
 
@@ -21,8 +23,27 @@ def test_edges(spark):
     assert got == [(0, 14, 14, (1,)), (1, 16, 14, (1,)), (2, 0, 0, ()), (3, 0, 0, ()), (4, 6, 4, (2,)), (5, 9, 0, ()), (6, 2, 0, ()), (7, 50_014, 14, (1,)), (7, 50_014, 14, (1,))]
     runs = {tuple(r)[1:] for r in longest_matches(docs, bench).where("doc_id in (1, 4)").collect()}
     assert runs == {(1, 0, 1, 14), (2, 0, 1, 2), (2, 0, 3, 2)}
-    unique = docs.where("doc_id in (1, 4, 6)")
-    sliced = {(r.doc_id, r.n_hit, tuple(r["items"])) for r in contamination(unique, bench, max_test_bytes=20).collect()}
-    assert sliced == {(1, 14, (1,)), (4, 4, (2,)), (6, 0, ())}
+    everything = lambda **o: sorted((repr(r.doc_id), r.n_words, r.n_hit, sorted(r["items"]), sorted(map(tuple, r.matches))) for r in contamination(docs, bench, **o).collect())
+    assert everything(max_test_bytes=20) == everything()
     assert contamination(docs.limit(0), bench).count() == 0
     assert {r.n_hit for r in contamination(docs, bench.limit(0)).collect()} == {0}
+
+
+def test_slices_and_clashing_names(spark, tiny):
+    docs, bench = spark.read.parquet(f"{tiny}/documents.parquet"), spark.read.parquet(f"{tiny}/benchmark.parquet")
+    odd = docs.selectExpr("doc_id", "text", "lang as id", "source as items", "n_chars as n_words", "'m' as matches", "1L as rn")
+    odd = odd.unionAll(odd.where("doc_id % 3 = 0")).unionAll(odd.selectExpr("cast(null as long)", "text", "id", "items", "n_words", "matches", "rn"))
+    rows = lambda n: sorted((repr(r.doc_id), r.n_words, r.n_hit, sorted(r["items"]), sorted(map(tuple, r.matches))) for r in contamination(odd, bench.unionAll(bench), max_test_bytes=n).collect())
+    whole = rows(32 << 20)
+    assert rows(6000) == whole and sum(r[2] for r in whole) > 0
+
+
+def test_keys_of_many_words_keep_the_order():
+    rng = np.random.default_rng(2)
+    rows = rng.integers(0, 4, (300, 10)).astype(np.uint64)
+    for bits in (21, 32):
+        keys = pack(rows.T, bits)
+        order = np.lexsort(keys.T[::-1])
+        assert rows[order].tolist() == sorted(rows.tolist())
+        assert search(keys[order], keys, False).tolist() == [sum(o < r for o in rows.tolist()) for r in rows.tolist()]
+    assert TestSide([1], ["a b c d e f g h i j k"], 10).length.tolist() == [10, 10]
