@@ -2,8 +2,9 @@
 
 Tokens are tagged B (a secret begins), I (it goes on) or O. A token's score comes from its own word and shape,
 its neighbours' words and shapes, and what the file looks like; neighbouring tags have transition scores.
-The field is trained on spans that the patterns find in a bounded sample of documents, and then adds spans in
-places that no pattern covers (secrets named otherwise, or in other alphabets of characters).
+The field is trained on a bounded sample of documents: on the spans that the patterns find there, and on assignments put
+into the same texts, of made secrets under names of every kind and of plain values beside them. So it learns what a secret
+looks like and where one stands rather than the patterns' few names, and adds spans that no pattern covers.
 
 Scoring is vectorised over all tokens. A token whose O score leads by more than any transitions could make up is
 O in every best tagging, so Viterbi runs exactly on the few stretches between such tokens.
@@ -20,11 +21,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._sample import sample_rows
-from ._text import RollingHash, chunks, lower_ascii, mix64
+from ._tables import cut, drop_cut
+from ._text import RollingHash, chunks, lower_ascii, map_batches, mix64
 
 #: Documents with a pattern match, and as many without, that the field is trained on at most.
-SAMPLE_BOUND = 3000
+SAMPLE_BOUND = 2000
 #: Tokens on each side of a training secret.
 _AROUND = 8
 _SLOTS = 1 << 14
@@ -112,11 +113,13 @@ def token_features(data: np.ndarray, offsets: np.ndarray, start: np.ndarray, end
     sign = np.concatenate([[0], np.cumsum((_CLASS[data] == 3) | ((data >= 48) & (data <= 57)))])
     file = mix64((8 * (sign[offsets[1:]] - sign[offsets[:-1]]) // size).astype(one) << one(8) | _bucket(size) // one(4), 3)[row] if rows else np.zeros(0, np.uint64)
     kind = np.where(long_word, one(1), one(0))
+    coarse = mix64(np.minimum(changes, 6).astype(one) << one(8) | parts << one(1) | kind, 7)
     columns = [
         kind, shape, mixed, np.where(long_word, one(7), word), near(word, -1), near(word, -2), near(word, -3),
         near(word, 1), near(shape, -1), near(shape, 1), file + kind, mix64(near(word, -1) + shape, 4), mix64(near(word, -2) + near(word, -1) + kind, 5),
+        coarse, mix64(near(coarse, -2) + near(word, -1) + kind, 6), mix64(mix64(near(coarse, -1), 8) + near(coarse, 1) + np.where(long_word, one(7), word), 9),
     ]
-    return np.stack([(mix64(c, 40 + j) >> one(64 - 14)).astype(np.int32) for j, c in enumerate(columns)], axis=1) if len(start) else np.zeros((0, 13), np.int32)
+    return np.stack([(mix64(c, 40 + j) >> one(64 - 14)).astype(np.int32) for j, c in enumerate(columns)], axis=1) if len(start) else np.zeros((0, len(columns)), np.int32)
 
 
 # -- the field ------------------------------------------------------------------------------------------
@@ -172,34 +175,32 @@ def train(windows: list[tuple[np.ndarray, np.ndarray]], epochs: int = 40, rate:
     slots, tags, mask = np.zeros((n, width, j), np.int64), np.full((n, width), _O), np.zeros((n, width), bool)
     for i, (x, y) in enumerate(windows):
         slots[i, : len(y)], tags[i, : len(y)], mask[i, : len(y)] = x, y, True
-    flat = slots[mask]
+    flat = slots[mask].ravel()
     memory, tmemory = np.full((_SLOTS, 3), 1e-3), np.full((3, 3), 1e-3)
     weights = np.zeros((_SLOTS, 3))
-    lse = np.logaddexp.reduce
     for _ in range(epochs):
         e = np.zeros((n, width, 3)) + field.bias
         for c in range(j):
             e += weights[slots[:, :, c]]
         t = field.transitions
-        alpha = np.zeros((n, width, 3))
-        alpha[:, 0] = e[:, 0]
+        # Forward and backward in scaled probabilities.
+        odds, step = np.exp(np.maximum(e - e.max(axis=2, keepdims=True), -60.0)), np.exp(t)
+        alpha, beta = np.empty((n, width, 3)), np.ones((n, width, 3))
+        alpha[:, 0] = odds[:, 0] / odds[:, 0].sum(axis=1, keepdims=True)
         for k in range(1, width):
-            step = lse(alpha[:, k - 1, :, None] + t[None], axis=1) + e[:, k]
-            alpha[:, k] = np.where(mask[:, k, None], step, alpha[:, k - 1])
-        z = lse(alpha[:, -1], axis=1)
-        beta = np.zeros((n, width, 3))
+            here = (alpha[:, k - 1] @ step) * odds[:, k]
+            alpha[:, k] = np.where(mask[:, k, None], here / here.sum(axis=1, keepdims=True), alpha[:, k - 1])
         pairs = np.zeros((3, 3))
         for k in range(width - 2, -1, -1):
-            ahead = t[None] + (e[:, k + 1] + beta[:, k + 1])[:, None, :]
-            live = mask[:, k + 1]
-            p = np.exp(alpha[:, k, :, None] + ahead - z[:, None, None])
-            pairs += p[live].sum(axis=0)
-            beta[:, k] = np.where(live[:, None], lse(ahead, axis=2), 0.0)
-        marginal = np.exp(alpha + beta - z[:, None, None])
+            ahead, live = odds[:, k + 1] * beta[:, k + 1], mask[:, k + 1]
+            p = alpha[:, k, :, None] * step * ahead[:, None, :]
+            pairs += (p / p.sum(axis=(1, 2), keepdims=True))[live].sum(axis=0)
+            back = ahead @ step.T
+            beta[:, k] = np.where(live[:, None], back / back.sum(axis=1, keepdims=True), 1.0)
+        marginal = alpha * beta
+        marginal /= marginal.sum(axis=2, keepdims=True)
         gap = (np.eye(3)[tags] - marginal)[mask]
-        gradient = -ridge * weights
-        for c in range(j):
-            np.add.at(gradient, flat[:, c], gap)
+        gradient = np.stack([np.bincount(flat, np.repeat(gap[:, y], j), _SLOTS) for y in range(3)], axis=1) - ridge * weights
         seen = np.zeros((3, 3))
         both = mask[:, 1:]
         np.add.at(seen, (tags[:, :-1][both], tags[:, 1:][both]), 1)
@@ -224,36 +225,101 @@ def _tag_base(spans, start, end, first, last):
     return tags
 
 
+#: Names for made assignments (half of them take a word of the text instead), and what may stand between.
+MADE_NAMES = (b"auth", b"credential", b"access_code", b"private_key", b"client_id", b"license", b"session", b"login", b"db_url", b"key")
+SEPARATORS = (b" = ", b"=", b": ", b":", b" := ", b" => ")
+_QUOTES = (b'"', b"'", b"")
+_ALNUM = np.frombuffer(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789", np.uint8)
+_LOWER = _ALNUM[26:52]
+
+
+def made_value(rng: np.random.Generator, words: list[bytes], secret: bool) -> bytes:
+    """A random secret (mixed characters, base 64, with signs, dotted parts, prefixed), or a plain value (words, numbers, hosts, paths, dates)."""
+    some = lambda n, of=_ALNUM: of[rng.integers(0, len(of), n)].tobytes()
+    word = lambda: words[int(rng.integers(len(words)))] if words else some(7, _LOWER)
+    n, way = int(rng.integers(16, 49)), int(rng.integers(5))
+    if secret:
+        signs = np.concatenate([_ALNUM, np.frombuffer(b"+/" if way == 1 else b"-_", np.uint8)])
+        return (some(n), some(n, signs) + b"=" * int(rng.integers(3)), some(n, signs), b".".join(some(int(k)) for k in rng.integers(10, 30, 3)), some(int(rng.integers(2, 6)), _LOWER) + b"_" + some(n))[way]
+    number = lambda k: str(int(rng.integers(10**k))).zfill(k).encode()
+    return (word() + word() + word(), number(int(rng.integers(4, 15))), word() + b"." + word() + b".com", b"/".join(word() for _ in range(4)), (b"_".join(word() for _ in range(3)), number(4) + b"-" + number(2) + b"-" + number(2))[n % 2])[way]
+
+
+def with_made_assignment(raw: bytes, rng: np.random.Generator, secret: bool, names: tuple[bytes, ...] = MADE_NAMES) -> tuple[bytes, int, int]:
+    """A text with an assignment behind one of its blanks: (new text, start and end of the value)."""
+    words = [w for w in raw.split()[:2000] if w.isalpha()]
+    blanks = np.flatnonzero(np.frombuffer(raw, np.uint8) == 32)
+    at = int(blanks[rng.integers(len(blanks))]) + 1 if len(blanks) else 0
+    name = words[int(rng.integers(len(words)))] if words and names is MADE_NAMES and rng.random() < 0.5 else names[int(rng.integers(len(names)))]
+    name = (name, name.upper(), name.title())[int(rng.integers(3))]
+    quote, value = _QUOTES[int(rng.integers(3))], made_value(rng, words, secret)
+    lead = name + SEPARATORS[int(rng.integers(len(SEPARATORS)))] + quote
+    return raw[:at] + lead + value + quote + b" " + raw[at:], at + len(lead), at + len(lead) + len(value)
+
+
 def _training_windows(batches):
-    """Stretches around pattern spans, and one stretch from every document."""
+    """Stretches around pattern spans, around a made secret and a plain value, and one from elsewhere, of every document."""
     for batch in batches:
         slots, tags = [], []
         for first, end_row, data, offsets in chunks(batch.column(0)):
-            start, end, bound = tokenize(data, offsets)
-            x = token_features(data, offsets, start, end, bound)
-            low, raw = lower_ascii(data).tobytes(), data.tobytes()
+            raw, texts, made = data.tobytes(), [], []
             for r in range(end_row - first):
-                a, b, p, q = bound[r], bound[r + 1], offsets[r], offsets[r + 1]
-                if a == b:
-                    continue
-                spans = [(s + p, k, e + p, c + p) for s, k, e, c in base_spans(raw[p:q], low[p:q])]
-                y = _tag_base(spans, start, end, a, b)
-                begins = np.flatnonzero(y == _B)[:4]
-                middle = int(mix64(np.array([b - a], np.uint64))[0] % np.uint64(b - a))
-                for at in [*begins.tolist(), middle, (middle * 7 + 3) % (b - a)]:
-                    u, v = max(0, at - _AROUND), min(b - a, at + _AROUND)
-                    slots.append(x[a + u : a + v].ravel())
-                    tags.append(y[u:v])
+                own = raw[offsets[r] : offsets[r + 1]]
+                rng = np.random.default_rng([len(own), int(RollingHash(data[offsets[r] : offsets[r + 1]], 8).of(np.zeros(1, int), np.array([len(own)]))[0])])
+                texts.append(own)
+                made.append(None)
+                for secret in (True, False) if own else ():
+                    text, a, b = with_made_assignment(own, rng, secret)
+                    texts.append(text)
+                    made.append((a, b, secret))
+            for row, end_of, part, place in chunks(pa.array(texts, pa.binary())):
+                start, end, bound = tokenize(part, place)
+                x = token_features(part, place, start, end, bound)
+                low, whole = lower_ascii(part).tobytes(), part.tobytes()
+                for r in range(end_of - row):
+                    a, b, p, q = bound[r], bound[r + 1], int(place[r]), int(place[r + 1])
+                    if a == b:
+                        continue
+                    spans = [(s + p, k, e + p, c + p) for s, k, e, c in base_spans(whole[p:q], low[p:q])]
+                    known = made[row + r]
+                    if known:
+                        near = int(np.searchsorted(end[a:b], known[0] + p, "right"))
+                        spans += [(known[0] + p, 3, known[1] + p, known[0] + p)] * known[2]
+                        centres = [near]
+                    y = _tag_base(spans, start, end, a, b)
+                    if not known:
+                        centres = [*np.flatnonzero(y == _B)[:3].tolist(), int(mix64(np.array([b - a], np.uint64))[0] % np.uint64(b - a))]
+                    for at in centres:
+                        u, v = max(0, at - _AROUND), min(b - a, at + _AROUND)
+                        slots.append(x[a + u : a + v].ravel())
+                        tags.append(y[u:v])
         lists = [pa.array([s.tolist() for s in k], pa.list_(pa.int32())) for k in (slots, tags)]
         yield pa.RecordBatch.from_arrays(lists, names=["slots", "tags"])
 
 
+def _flag(batches):
+    """Does a pattern match in the text?"""
+    for batch in batches:
+        has = []
+        for first, end_row, data, offsets in chunks(batch.column(1)):
+            raw, low = data.tobytes(), lower_ascii(data).tobytes()
+            has.extend(bool(base_spans(raw[offsets[r] : offsets[r + 1]], low[offsets[r] : offsets[r + 1]])) for r in range(end_row - first))
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(has, pa.bool_())], names=["id", "has"])
+
+
 def fit_field(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bound: int = SAMPLE_BOUND) -> Field:
-    """A field trained on at most ``bound`` documents in which a pattern may match, and as many others."""
-    source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    hint = F.col("text").rlike("(?i)(password|passwd|secret|token|api_?key)[\"']? *[:=]|AKIA|[0-9a-f]{16}")
-    rows = sample_rows(source.where(hint), "id", bound).unionAll(sample_rows(source.where(~hint), "id", bound // 2))
-    got = rows.select("text").mapInArrow(_training_windows, "slots array<int>, tags array<int>").collect()
+    """A field trained on at most ``bound`` documents in which a pattern matches, and half as many others.
+
+    Documents are chosen by the hash of their ids in one scan, and read in a second; rows without id or text are passed
+    over, and of rows that share an id one is taken.
+    """
+    source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).where("id is not null and text is not null")
+    flags = cut(map_batches(source, _flag, "id long, has boolean").groupBy("id").agg(F.max("has").alias("has")))
+    by_hash = lambda rows, n: rows.orderBy(F.xxhash64("id"), "id").limit(n).select(F.col("id").alias("sample_id"))
+    chosen = by_hash(flags.where("has"), bound).unionAll(by_hash(flags.where("not has"), bound // 2))
+    rows = source.join(F.broadcast(chosen), F.col("id") == F.col("sample_id"), "left_semi").groupBy("id").agg(F.min("text").alias("text"))
+    got = map_batches(rows.select("text"), _training_windows, "slots array<int>, tags array<int>").collect()
+    drop_cut(flags)
     order = sorted(got, key=lambda r: (r.tags, r.slots))
     return train([(np.array(r.slots).reshape(len(r.tags), -1), np.array(r.tags)) for r in order if r.tags])
 
@@ -312,13 +378,14 @@ def find_secrets(docs: DataFrame, field: Field, id_col: str = "doc_id", text_col
 
     ``base`` lists the pattern matches (whole matches; code points, end exclusive) by start, then kind;
     ``spans`` has these and, as kind ``field``, what the field adds where no pattern matches. Null and empty texts
-    have none. Ids are passed through; repeated rows get equal results; extra columns are ignored.
+    have none. Ids are passed through; repeated rows get equal results; extra columns are ignored, whatever their names. An
+    empty table gives an empty result; texts of any length are scanned whole.
     """
     kind = docs.schema[id_col].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(field)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     span = "array<struct<kind:string,start:int,end:int>>"
-    return rows.mapInArrow(partial(_scan, field=shared), f"id {kind}, n_assign long, n_access long, n_hex long, base {span}, spans {span}").withColumnRenamed("id", id_col)
+    return map_batches(rows, partial(_scan, field=shared), f"id {kind}, n_assign long, n_access long, n_hex long, base {span}, spans {span}").withColumnRenamed("id", id_col)
 
 
 def redact(text, spans, mark: str = "[secret]"):

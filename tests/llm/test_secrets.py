@@ -1,4 +1,5 @@
 import hashlib
+import itertools
 import re
 
 import numpy as np
@@ -33,13 +34,52 @@ def test_base_against_patterns(spark, sf):
     assert added < 0.02 * len(out)
 
 
+HELD_OUT_NAMES = (b"passphrase", b"signing_key", b"webhook", b"pwd", b"bearer")
+
+
+def held_out_cases(spark, sf, n=300):
+    """Texts with one made assignment under a name that training never sees, and that no pattern matches."""
+    rng = np.random.default_rng(17)
+    out = []
+    for r in spark.read.parquet(f"{sf}/documents.parquet").where("doc_id % 3 = 0").orderBy("doc_id").limit(2 * n).collect():
+        raw = (r.text or "").encode()
+        if len(raw) < 200 or se.base_spans(raw, raw.lower()):
+            continue
+        text, a, b = se.with_made_assignment(raw, rng, True, HELD_OUT_NAMES)
+        if not se.base_spans(text, text.lower()):
+            out.append((len(out), text.decode(), len(text[:a].decode()), len(text[:b].decode())))
+    return out[:n]
+
+
 def test_field_finds_what_patterns_miss(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
-    field = se.fit_field(docs)
-    raw = 'the of token = "Zm9vYmFyYmF6cXV4Zm9vYmFyYmF6" and, the token "9f8Ab3e1077c4d52a9e6b3f00d15c7e8" of words only'
-    plain = "the of and that token of the words are here, nothing to see."
-    got = {r.doc_id: [s.kind for s in r.spans] for r in se.find_secrets(spark.createDataFrame([(1, raw), (2, plain)], "doc_id long, text string"), field).collect()}
-    assert got[1][0] == "assign" and got[2] == []
+    field = se.fit_field(docs.where("doc_id % 3 <> 0"))
+    cases = held_out_cases(spark, sf)
+    df = spark.createDataFrame(cases, "doc_id long, text string, a int, b int")
+    want = {i: (a, b) for i, _, a, b in cases}
+    found = {r.doc_id: [(s.start, s.end) for s in r.spans] for r in se.find_secrets(df, field).collect()}
+    recall = np.mean([any(s < b and a < e and s <= a + 2 and e >= b - 3 for s, e in found[i]) for i, (a, b) in want.items()])
+    beside = sum(not (s < want[i][1] and want[i][0] < e) for i, spans in found.items() for s, e in spans)
+    print("recall on unseen names", recall, "spans elsewhere", beside, "of", len(cases))
+    assert len(cases) > 100 and recall > 0.85 and beside < 0.05 * len(cases)
+    assert not any(r.spans for r in se.find_secrets(df, se.Field()).collect())  # without the field nothing is found
+    plain = "the of and that token of the words are here: nothing = to see, 2024-05-17 under path/to/some/file."
+    assert se.find_secrets(spark.createDataFrame([(1, plain)], "doc_id long, text string"), field).first().spans == []
+
+
+def test_viterbi_against_enumeration():
+    rng = np.random.default_rng(4)
+    for n in (1, 2, 4, 6):
+        for _ in range(20):
+            f, e = se.Field(), rng.normal(size=(n, 3)) * 3
+            f.transitions = rng.normal(size=(3, 3)) * 2
+            for left, right in ((False, False), (True, False), (False, True), (True, True)):
+                def score(tags):
+                    first = f.transitions[se._O, tags[0]] if left else (-1e9 if tags[0] == se._I else 0.0)
+                    last = f.transitions[tags[-1], se._O] if right else 0.0
+                    return first + last + sum(e[k, y] for k, y in enumerate(tags)) + sum(f.transitions[a, b] for a, b in zip(tags, tags[1:], strict=False))
+                best = max(itertools.product(range(3), repeat=n), key=score)
+                assert np.isclose(score(f.viterbi(e, left, right)), score(best))
 
 
 def test_viterbi_stretches_equal_whole_search():
