@@ -22,8 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._tables import cut
-from ._text import RollingHash, chunks, signed, utf8
+from ._tables import cut, drop_cut
+from ._text import RollingHash, chunks, map_batches, signed, utf8
 
 #: Bytes of an anchor's short run.
 ANCHOR_BYTES = 24
@@ -31,6 +31,8 @@ ANCHOR_BYTES = 24
 SHARD_BYTES = 1 << 20
 #: Different segments of one anchor in a shard.
 SEGMENTS_PER_SHARD = 2000
+#: Windows of one text that are cut into segments at once (below 2^28).
+SLICE_BYTES = 16 << 20
 
 
 # -- suffix array ---------------------------------------------------------------------------------------
@@ -47,99 +49,86 @@ def _types(s: np.ndarray) -> np.ndarray:
     return out
 
 
-def _append(sa: np.ndarray, place: np.ndarray, chars: np.ndarray, suffixes: np.ndarray, step: int) -> None:
-    """Put suffixes into their characters' buckets in the given order, from each bucket's pointer on."""
-    order = np.argsort(chars, kind="stable")
-    c, v = chars[order], suffixes[order]
-    first = np.flatnonzero(np.concatenate([[True], c[1:] != c[:-1]]))
-    size = np.diff(np.append(first, len(c)))
-    rank = np.arange(len(c)) - np.repeat(first, size)
-    sa[place[c] + step * rank] = v
-    place[c[first]] += step * size
+def _by_bucket(buckets: np.ndarray) -> np.ndarray:
+    """Stable order by bucket number, linear: counting passes over 16 bits each (numpy's stable sort of such numbers)."""
+    if buckets.dtype == np.uint16:
+        return np.argsort(buckets, kind="stable")
+    order = np.argsort(buckets.astype(np.uint16), kind="stable")
+    return order[np.argsort((buckets[order] >> 16).astype(np.uint16), kind="stable")]
 
 
-def _induce(s: np.ndarray, is_s: np.ndarray, lms: np.ndarray, count: np.ndarray) -> np.ndarray:
-    """All suffixes from the leftmost-smaller ones: larger types forward, then smaller types backward.
+def _fill(buckets: np.ndarray, place: np.ndarray, step: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(places, order, buckets in order) of suffixes put into their buckets one after another, from each one's pointer on."""
+    order = _by_bucket(buckets)
+    b = buckets[order]
+    first = np.flatnonzero(b[1:] != b[:-1]) + 1
+    rank = np.arange(len(b))
+    rank[first[0] if len(first) else len(b) :] -= np.repeat(first, np.diff(first, append=len(b)))
+    return place[b] + (rank if step > 0 else -rank), order, b
+
+
+def _sweep(s: np.ndarray, sa: np.ndarray, place: np.ndarray, wanted: np.ndarray, step: int) -> None:
+    """One pass over the array: each suffix met puts the one before it, if of the wanted type, into its bucket.
 
-    Buckets are taken in order; within one, all suffixes known so far are induced at once, and those that
-    fall into the same bucket make the next turn.
+    Suffixes are taken in stretches. A suffix lands behind the one that it comes from; where one lands inside the stretch,
+    the stretch ends there, so every place is filled before it is read. Where stretches get short (in runs of one
+    character the suffixes follow each other place by place), some places are taken one by one.
     """
-    n, sigma = len(s), len(count)
-    end = np.cumsum(count)
-    start = end - count
-    sa = np.full(n, -1, np.int64)
-    large = np.bincount(s[~is_s], minlength=sigma)
-    marks = np.bincount(s[lms], minlength=sigma)
-    put = end - marks
-    _append(sa, put, s[lms], lms, 1)
-    used = np.flatnonzero(count)
-    head = start.copy()
-    for c in used:
-        at = start[c]
-        while at < head[c]:
-            upto = head[c]
-            pred = sa[at:upto] - 1
-            at = upto
-            pred = pred[pred >= 0]
-            pred = pred[~is_s[pred]]
-            if len(pred):
-                _append(sa, head, s[pred], pred, 1)
-        if marks[c]:
-            pred = sa[end[c] - marks[c] : end[c]] - 1
-            pred = pred[pred >= 0]
-            pred = pred[~is_s[pred]]
-            if len(pred):
-                _append(sa, head, s[pred], pred, 1)
-    tail = end - 1
-    for c in used[::-1]:
-        at = end[c] - 1
-        while at > tail[c]:
-            upto = tail[c]
-            pred = sa[upto + 1 : at + 1][::-1] - 1
-            at = upto
-            pred = pred[pred >= 0]
-            pred = pred[is_s[pred]]
-            if len(pred):
-                _append(sa, tail, s[pred], pred, -1)
-        if large[c]:
-            pred = sa[start[c] : start[c] + large[c]][::-1] - 1
-            pred = pred[pred >= 0]
-            pred = pred[is_s[pred]]
-            if len(pred):
-                _append(sa, tail, s[pred], pred, -1)
-    sa[0] = n - 1
-    return sa
+    n, at, width = len(sa), 0 if step > 0 else len(sa) - 1, 1024
+    while 0 <= at < n:
+        if width < 32:
+            stop = min(max(at + step * 512, -1), n)
+            for p in range(at, stop, step):
+                j = sa[p] - 1
+                if j >= 0 and wanted[j]:
+                    c = s[j]
+                    sa[place[c]] = j
+                    place[c] += step
+            at, width = stop, 256
+            continue
+        size = min(width, n - at if step > 0 else at + 1)
+        met = sa[at : at + size] if step > 0 else sa[at - size + 1 : at + 1][::-1]
+        source = np.flatnonzero(met > 0)
+        pred = met[source] - 1
+        right = wanted[pred]
+        source, pred = source[right], pred[right]
+        reach = size
+        if len(pred):
+            where, order, buckets = _fill(s[pred], place, step)
+            reach = min(size, int(where.min()) - at if step > 0 else at - int(where.max()))
+            if reach < size:
+                now = source[order] < reach
+                where, order, buckets = where[now], order[now], buckets[now]
+            sa[where] = pred[order]
+            place[buckets] = where + step  # the last one of each bucket stays
+        width = min(2 * width, 1 << 16) if reach == size else 2 * reach
+        at += step * reach
 
 
-def _rank_doubling(s: np.ndarray) -> np.ndarray:
-    """Suffix array of a string over a large alphabet (a reduced string), by doubling the compared length."""
+def _induce(s: np.ndarray, is_s: np.ndarray, lms: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """All suffixes from the leftmost-smaller ones: larger types forward, then smaller types backward."""
     n = len(s)
-    rank = np.unique(s, return_inverse=True)[1].astype(np.int64)
-    width = 1
-    while True:
-        key = rank * (n + 1)
-        key[: n - width] += rank[width:] + 1
-        order = np.argsort(key, kind="stable")
-        new = np.concatenate([[0], np.cumsum(np.diff(key[order]) != 0)])
-        rank[order] = new
-        width *= 2
-        if new[-1] == n - 1 or width >= n:
-            return order
+    end = np.cumsum(count)
+    sa = np.full(n, -1, np.int32)
+    where, order, _ = _fill(s[lms], end - np.bincount(s[lms], minlength=len(count)), 1)
+    sa[where] = lms[order]
+    _sweep(s, sa, end - count, ~is_s, 1)
+    sa[(sa >= 0) & is_s[sa]] = -1  # these come again, in their final order
+    _sweep(s, sa, end - 1, is_s, -1)
+    sa[0] = n - 1
+    return sa
 
 
 def suffix_array(s: np.ndarray) -> np.ndarray:
-    """Suffix array of integers that end with a 0 found nowhere else, by induced sorting.
+    """Suffix array of integers that end with a 0 found nowhere else, by induced sorting; linear for any alphabet.
 
     Suffixes are classified; the leftmost-smaller (LMS) substrings are sorted by a first induction and named;
     the string of names is sorted recursively; a second induction from the LMS suffixes gives the array.
-    A reduced string with many names is sorted by rank doubling instead, since its buckets hold too few
-    suffixes each to be worth a turn.
     """
     n = len(s)
     if n == 1:
-        return np.zeros(1, np.int64)
-    if int(s.max()) > 1024:
-        return _rank_doubling(s)
+        return np.zeros(1, np.int32)
+    s = s.astype(np.uint16 if s.max() < 1 << 16 else np.int32, copy=False)
     is_s = _types(s)
     count = np.bincount(s)
     lms = np.flatnonzero(is_s[1:] & ~is_s[:-1]) + 1
@@ -166,8 +155,7 @@ def suffix_array(s: np.ndarray) -> np.ndarray:
     reduced = np.empty(len(lms), np.int64)
     reduced[nth[ordered]] = name
     if name[-1] + 1 < len(lms):
-        order = suffix_array(reduced)
-        ordered = lms[order]
+        ordered = lms[suffix_array(reduced)]
     return _induce(s, is_s, ordered, count)
 
 
@@ -217,16 +205,29 @@ def _sliding_min(v: np.ndarray, width: int) -> np.ndarray:
 
 
 def chunk_segments(data: np.ndarray, offsets: np.ndarray, width: int):
-    """(row, start in the row, windows, anchor, segment hash) of the segments of a run of rows."""
+    """(row, start in the row, windows, anchor, segment hash) of the segments of a run of rows.
+
+    A very long text is taken in slices of ``SLICE_BYTES`` windows: a segment across a border is two segments.
+    """
+    if len(data) <= SLICE_BYTES + width:
+        return _slice_segments(data, offsets, width)
+    parts = []
+    for at in range(0, len(data), SLICE_BYTES):
+        stop = min(at + SLICE_BYTES + width - 1, len(data))
+        own = np.clip(offsets, at, stop) - at
+        row, start, size, anchor, whole = _slice_segments(data[at:stop], own, width)
+        parts.append((row, start + np.maximum(at - offsets[row], 0), size, anchor, whole))
+    return tuple(np.concatenate(p) for p in zip(*parts, strict=True))
+
+
+def _slice_segments(data: np.ndarray, offsets: np.ndarray, width: int):
     n = len(data)
     if n < width:
         return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),) * 2
     reach = width - ANCHOR_BYTES + 1
     at = np.arange(n - ANCHOR_BYTES + 1)
     gram = RollingHash(data, 3).of(at, at + ANCHOR_BYTES)
-    bits = np.uint64(28)
-    if n >= 1 << 28:
-        raise ValueError("a text of 256 MB or more")
+    bits = np.uint64(28)  # places inside a slice are smaller
     low = _sliding_min((gram >> bits << bits) | at.astype(np.uint64), reach)
     place = (low & np.uint64((1 << 28) - 1)).astype(np.int64)
     windows = n - width + 1
@@ -362,14 +363,17 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     smaller id, or in the same one further left. Matches stay inside documents; all are judged on the input.
     Null and empty texts have no bytes. Ids are meant to be unique: rows with equal id and text get equal
     results, rows that share an id but not the text get the ranges of either. Rows with a null id are left
-    as they are, and are no earlier copy of others. Other columns are ignored.
+    as they are, and are no earlier copy of others. Other columns are ignored, whatever their names. An empty table
+    gives an empty result. Texts of any length are taken whole; a very long one passes through a worker in slices.
     """
     if not 64 <= width <= 4096:
         raise ValueError("width must be 64 to 4096 bytes")
     source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
     long_enough = source.where(F.col("id").isNotNull() & (F.octet_length("text") >= width))
-    anchors = long_enough.mapInArrow(partial(_segments, width=width, anchors_only=True), "anchor long").groupBy("anchor").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("anchor")
-    segments = long_enough.mapInArrow(partial(_segments, width=width, anchors_only=False), "id long, start int, n int, anchor long, whole long")
+    # Tables that joins meet by a hot key are written first: both sides are then plain exchanges, which adaptive execution splits.
+    anchors = map_batches(long_enough, partial(_segments, width=width, anchors_only=True), "anchor long").groupBy("anchor").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("anchor")
+    anchors = cut(anchors)
+    segments = map_batches(long_enough, partial(_segments, width=width, anchors_only=False), "id long, start int, n int, anchor long, whole long")
     repeated = cut(segments.join(anchors, "anchor"))
     # Segments by content, the first in corpus order first.
     contents = repeated.groupBy("anchor", "whole").agg(F.min(F.struct("id", "start", "n")).alias("first"))
@@ -377,18 +381,21 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     later = repeated.join(contents.select("anchor", "whole", F.col("id").alias("fid"), F.col("start").alias("fstart")), ["anchor", "whole"]).where("id <> fid or start <> fstart").select("id", "start", "n")
     # Different segments of one anchor go to shards.
     load = contents.groupBy("anchor").agg(F.ceil(F.count(F.lit(1)) / SEGMENTS_PER_SHARD).alias("parts"), F.count(F.lit(1)).alias("c")).where("c > 1").select("anchor", "parts")
+    load = cut(load)
     mixed = contents.join(load, "anchor").select("id", F.struct("start", "n", "anchor", F.pmod("whole", "parts").cast("int").alias("part"), (F.col("parts") > 1).alias("shared")).alias("s"))
     listed = mixed.groupBy("id").agg(F.collect_list("s").alias("list"))
-    pieces = source.join(listed, "id").select("id", "text", "list").mapInArrow(partial(_cut_out, width=width), "id long, start int, anchor long, part int, shared boolean, bytes binary")
+    pieces = map_batches(source.join(listed, "id").select("id", "text", "list"), partial(_cut_out, width=width), "id long, start int, anchor long, part int, shared boolean, bytes binary")
     dealt = pieces.repartition("anchor", "part").sortWithinPartitions("anchor", "part")
-    found = cut(dealt.mapInArrow(partial(_shards, width=width), "id long, start int, n int, repeat boolean, w1 long, w2 long"))
+    found = cut(map_batches(dealt, partial(_shards, width=width), "id long, start int, n int, repeat boolean, w1 long, w2 long"))
     inside = found.where("repeat").select("id", "start", "n")
     across = found.where("not repeat")
     earliest = across.groupBy("w1", "w2").agg(F.min(F.struct("id", "start")).alias("first"), F.count(F.lit(1)).alias("c")).where("c > 1")
     met = across.join(earliest, ["w1", "w2"]).where("id <> first.id or start <> first.start").select("id", "start", F.lit(1).alias("n"))
-    ranges = later.unionAll(inside).unionAll(met).groupBy("id").agg(F.collect_list(F.struct("start", "n")).alias("ranges"))
+    ranges = cut(later.unionAll(inside).unionAll(met).groupBy("id").agg(F.collect_list(F.struct("start", "n")).alias("ranges")))
+    for table in (anchors, repeated, contents, load, found):
+        drop_cut(table)
     out = source.join(ranges, "id", "left").select("id", "text", "ranges")
-    out = out.mapInArrow(partial(_keep, width=width), "id long, n_bytes long, removed array<struct<start:long,end:long>>, kept binary")
+    out = map_batches(out, partial(_keep, width=width), "id long, n_bytes long, removed array<struct<start:long,end:long>>, kept binary")
     return out.withColumnRenamed("id", id_col)
 
 

@@ -25,7 +25,7 @@ def brute(rows, width=100):
 def test_suffix_array_and_lcp():
     rng = np.random.default_rng(5)
     for n in (1, 2, 3, 10, 200, 3000):
-        for sigma in (1, 2, 4, 200):
+        for sigma in (1, 2, 4, 200, 2500):
             s = np.append(rng.integers(1, sigma + 1, n), 0)
             if n == 3000:
                 s[1000:2000] = s[:1000]
@@ -40,6 +40,32 @@ def test_suffix_array_and_lcp():
                 assert lcp[b] == k
 
 
+def test_large_alphabets_recurse():
+    """Reduced strings of far over 1,024 names, at several levels, and names beyond 16 bits."""
+    rng = np.random.default_rng(6)
+    for top in (3000, 90_000):
+        s = np.append(rng.integers(1, top + 1, 20_000), 0)
+        s[9000:15_000] = s[:6000]
+        sa = sd.suffix_array(s)
+        rank = np.empty(len(s), np.int64)
+        rank[sa] = np.arange(len(s))
+        a, b = sa[:-1].astype(np.int64), sa[1:].astype(np.int64)
+        follow = np.append(rank, -1)
+        assert sorted(sa.tolist()) == list(range(len(s))) and ((s[a] < s[b]) | (s[a] == s[b]) & (follow[a + 1] < follow[b + 1])).all()
+
+
+def test_long_texts_in_slices(monkeypatch):
+    rng = np.random.default_rng(8)
+    data = rng.integers(97, 101, 5000).astype(np.uint8)
+    data[3000:3400] = data[500:900]
+    covered = lambda parts: {(int(r), int(a) + k) for r, a, n, *_ in zip(*parts, strict=True) for k in range(n)}
+    offsets = np.array([0, 4500, 5000])
+    whole = covered(sd.chunk_segments(data, offsets, 100))
+    monkeypatch.setattr(sd, "SLICE_BYTES", 700)
+    sliced = sd.chunk_segments(data, offsets, 100)
+    assert covered(sliced) == whole and int(sliced[2].sum()) == len(whole) == 4401 + 401
+
+
 @pytest.mark.parametrize("per_shard", [2000, 2])
 def test_against_brute_force(spark, tiny, monkeypatch, per_shard):
     monkeypatch.setattr(sd, "SEGMENTS_PER_SHARD", per_shard)
