@@ -52,8 +52,12 @@ class Rule:
     m: int = 100
     alpha: float = 0.01
     min_votes: int | None = None
+    #: How the Bayesian rule judges over two classes: leader against runner-up, by enumeration, or by sampling.
+    multi: str = "pairwise"
 
     def __post_init__(self):
+        if self.multi not in ("pairwise", "exact", "sampled"):
+            raise ValueError(f"unknown way with several classes {self.multi}")
         if self.name not in RULES:
             raise ValueError(f"unknown rule {self.name}")
         if self.m < 1:
@@ -130,6 +134,16 @@ class Rule:
         return top >= np.floor(pair * share) + 1
 
 
+    def stops_tallies(self, tallies: np.ndarray, n: int) -> np.ndarray:
+        """Do the rows of a table of votes by class stop after n votes?"""
+        if RULES[self.name][0] == "bayes" and self.multi != "pairwise":
+            ask = bayes_multi_exact if self.multi == "exact" else bayes_multi_sampled
+            states, row = np.unique(np.sort(tallies, axis=1), axis=0, return_inverse=True)
+            return np.array([n >= self.least and max(ask(s.tolist(), self.m)) >= 1 - self.alpha for s in states])[row.ravel()]
+        two = np.partition(tallies, -2, axis=1)[:, -2:]
+        return self.stops_multi(two[:, 1], two[:, 0], n)
+
+
 @lru_cache(64)
 def _leads(rule: Rule) -> np.ndarray:
     return rule.leads()
@@ -197,8 +211,16 @@ def bayes_final_prob_primes(lead: int, n: int, m: int) -> float:
 _cached_exponents = lru_cache(4)(_prime_exponents)
 
 
-def bayes_leads(m: int, alpha: float, prob=bayes_final_prob, allow_slow: bool = False) -> np.ndarray:
-    """Fewest leader votes with a winning probability of at least 1 - alpha; the pointer moves by few steps for each n."""
+def bayes_leads(m: int, alpha: float, prob=None, allow_slow: bool = False) -> np.ndarray:
+    """Fewest leader votes with a winning probability of at least 1 - alpha.
+
+    Without ``prob`` the probabilities come from those of one vote later, n by n: the next vote is the leader's with the
+    odds that its votes so far give it. Only leads whose outcome is open (between 1e-17 and 1 - 1e-16) are carried along, about the
+    root of m of them, so large tables are in reach. With ``prob`` each probability is computed by itself (log space,
+    fractions, prime factors), and a pointer moves by few steps for each n.
+    """
+    if prob is None:
+        return _bayes_leads_backward(m, alpha)
     if m > 20_000 and not allow_slow:
         raise ValueError("a Bayesian table is quadratic in m: pass allow_slow=True above 20,000")
     out = np.full(m + 1, m + 1)
@@ -214,6 +236,25 @@ def bayes_leads(m: int, alpha: float, prob=bayes_final_prob, allow_slow: bool =
     return out
 
 
+def _bayes_leads_backward(m: int, alpha: float) -> np.ndarray:
+    out = np.full(m + 1, m + 1)
+    # win[i] is the probability at lead low + i; below it is 0, behind it is 1
+    low, win = m // 2 + 1, np.zeros(0)
+    for n in range(m, 0, -1):
+        if n < m:
+            lead = np.arange(low - 1, low + len(win))  # from the leads of one vote later
+            later = np.concatenate([[0.0], win, [1.0]])
+            p = (lead + 1) / (n + 2)
+            win, low = later[1:] * p + later[:-1] * (1 - p), low - 1
+            keep = (win > 1e-17) & (win < 1 - 1e-16)
+            first = int(keep.argmax()) if keep.any() else int((win <= 1e-17).sum())
+            stop = len(win) - int(keep[::-1].argmax()) if keep.any() else first
+            low, win = low + first, win[first:stop]
+        least = max(low + int(np.searchsorted(win, 1 - alpha)), (n + 1) // 2, 1)
+        out[n] = least if least <= n else m + 1
+    return out
+
+
 def pairwise_bayes(top: np.ndarray, second: np.ndarray, n: int, m: int, alpha: float) -> np.ndarray:
     """Leader against runner-up as if the votes to come were theirs alone."""
     out = np.zeros(len(top), bool)

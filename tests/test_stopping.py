@@ -75,4 +75,13 @@ def test_orders_and_limits():
         with pytest.raises(ValueError):
             st.Rule("g1", 10, bad)
     with pytest.raises(ValueError):
-        st.bayes_leads(30_000, 0.01)
+        st.bayes_leads(30_000, 0.01, st.bayes_final_prob)
+
+
+def test_bayes_tables_from_vote_to_vote_equal_log_space():
+    from blockforest.functions.stopping import bayes_final_prob, bayes_leads
+
+    for m in (1, 2, 3, 10, 51, 200, 1000):
+        for alpha in (0.05, 0.01, 1e-4):
+            assert (bayes_leads(m, alpha) == bayes_leads(m, alpha, bayes_final_prob)).all()
+    assert bayes_leads(30_000, 0.01)[1000] > 500
