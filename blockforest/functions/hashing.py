@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import hashlib
+from collections import Counter
 
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -30,3 +32,36 @@ def derive_seed(*parts) -> int:
 def portable_sql(seed: str, value: str) -> str:
     """``portable_hash`` in DuckDB."""
     return f"('0x' || substr(md5('{seed}|' || ({value})::VARCHAR), 1, 8))::BIGINT"
+
+
+def portable_number(seed: str, value: str) -> int:
+    """``portable_hash`` in Python."""
+    return int(hashlib.md5(f"{seed}|{value}".encode()).hexdigest()[:8], 16)
+
+
+class PortableRng:
+    """Draws that any SQL engine can repeat: draw k of a kind is the portable hash of (kind and seed, key and k).
+
+    It has the methods of numpy's generator that bites and trees use. It is for checks against other engines; training
+    at scale draws with numpy.
+    """
+
+    def __init__(self, seed: int, *key):
+        self._seed, self._key, self._used = seed, ":".join(map(str, key)), Counter()
+
+    def _draws(self, kind: str, n: int) -> np.ndarray:
+        first = self._used[kind]
+        self._used[kind] += n
+        return np.array([portable_number(f"{kind}-{self._seed}", f"{self._key}:{k}") for k in range(first, first + n)], np.int64)
+
+    def choice(self, pool: np.ndarray, size: int, replace: bool = True) -> np.ndarray:
+        return pool[self._draws("choice", size) % len(pool)] if replace else pool[np.argsort(self._draws("choice", len(pool)), kind="stable")[:size]]
+
+    def integers(self, low: int, high: int, size: int) -> np.ndarray:
+        return low + self._draws("integers", size) % (high - low)
+
+    def random(self, size: int) -> np.ndarray:
+        return self._draws("random", size) / 2**32
+
+    def permutation(self, n: int) -> np.ndarray:
+        return np.argsort(self._draws("permutation", n), kind="stable")

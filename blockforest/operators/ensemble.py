@@ -7,7 +7,7 @@ from collections.abc import Iterator
 
 import numpy as np
 
-from ..functions.hashing import derive_seed
+from ..functions.hashing import PortableRng, derive_seed
 from . import sampling
 from .schemas import ForestParams
 from .tree import Tree, fit_base
@@ -24,7 +24,7 @@ def fit_local_ensemble(x: np.ndarray, y: np.ndarray, params: ForestParams, block
     for i in range(params.n_trees):
         began = time.perf_counter()
         seed = derive_seed(params.seed, block, i) >> 1
-        rng = np.random.default_rng(seed)
+        rng = PortableRng(params.seed, block, i) if params.draws == "portable" else np.random.default_rng(seed)
         fallback = False
         if params.sampler == "full":
             bite = everything

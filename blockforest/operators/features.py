@@ -44,13 +44,15 @@ def _histograms(batches):
             raw = raw[(raw & 0xC0) != 0x80]  # one byte of every code point
             if len(raw):
                 out[i] = np.bincount(table[raw], minlength=63) / len(raw)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(np.arange(len(out) + 1) * 63, pa.int32()), pa.array(out.ravel()))], names=["row_id", "features"])
+        lists = pa.ListArray.from_arrays(pa.array(np.arange(len(out) + 1) * 63, pa.int32()), pa.array(out.ravel()))
+        yield pa.RecordBatch.from_arrays([batch.column(0), lists, *batch.columns[2:]], names=["row_id", "features", *batch.schema.names[2:]])
 
 
-def char_histograms(df: DataFrame, id_col: str, text_col: str = "text") -> DataFrame:
-    """``row_id, features``: the same in one pass over the bytes, for long texts."""
-    rows = df.select(F.col(id_col).cast("long").alias("row_id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(_histograms, "row_id long, features array<double>")
+def char_histograms(df: DataFrame, id_col: str, text_col: str = "text", also: tuple[str, ...] = ()) -> DataFrame:
+    """``row_id, features`` and the columns of ``also``: the same in one pass over the bytes, for long texts."""
+    rows = df.select(F.col(id_col).cast("long").alias("row_id"), F.col(text_col).cast("string").alias("text"), *also)
+    more = "".join(f", {c} {rows.schema[c].dataType.simpleString()}" for c in also)
+    return rows.mapInArrow(_histograms, f"row_id long, features array<double>{more}")
 
 
 def html_text(html: Column) -> Column:
@@ -104,6 +106,14 @@ def one_hot(df: DataFrame, domains: dict[str, list[str]]) -> DataFrame:
     return df.withColumns({f"{c}_{''.join(x if x.isalnum() else '_' for x in v).lower()}": F.coalesce(F.col(c) == v, F.lit(False)).cast("int") for c, values in domains.items() for v in values})
 
 
+def drop_metadata(df: DataFrame, *columns: str) -> DataFrame:
+    """Without the columns that name or place an example (ids, links, dates of entry): they are no features."""
+    missing = [c for c in columns if c not in df.columns]
+    if missing:
+        raise ValueError(f"missing columns: {', '.join(missing)}")
+    return df.drop(*columns)
+
+
 def domain(df: DataFrame, column: str, limit: int = 1000) -> list[str]:
     """Distinct values of a category with few of them."""
     values = [r[0] for r in df.select(column).where(F.col(column).isNotNull()).distinct().limit(limit + 1).collect()]

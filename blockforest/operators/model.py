@@ -5,11 +5,15 @@ from __future__ import annotations
 from dataclasses import dataclass, replace
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import portable_hash
+from ..sources.tables import written
 from .schemas import TREE, ForestParams
+from .tree import LEARNERS
 
 
 @dataclass(frozen=True)
@@ -24,7 +28,7 @@ class MegaForest:
         t = self.trees
         t = t.where(F.col("block") < blocks) if blocks is not None else t
         t = t.where(F.col("iter") < local_size) if local_size is not None else t
-        return MegaForest(t, replace(self.params, n_trees=local_size or self.params.n_trees))
+        return MegaForest(t, replace(self.params, n_trees=min(local_size or self.params.n_trees, self.params.n_trees), n_blocks=min(blocks or self.params.n_blocks, self.params.n_blocks)))
 
     def union(self, other: MegaForest) -> MegaForest:
         """Independently trained forests add up; numbers of the second are moved behind the first's."""
@@ -36,7 +40,8 @@ class MegaForest:
         if clash:
             moved = theirs.join(F.broadcast(top)).withColumn("block", (F.col("block") + F.col("top") + 1).cast("int"))
             theirs = moved.withColumn("tree_id", F.col("block").cast("long") * 1_000_000 + F.col("iter")).drop("top")
-        return MegaForest(self.trees.unionByName(theirs), self.params)
+        params = replace(self.params, n_blocks=self.params.n_blocks + other.params.n_blocks, n_trees=max(self.params.n_trees, other.params.n_trees), n_parts=max(self.params.n_parts, other.params.n_parts))
+        return MegaForest(self.trees.unionByName(theirs), params)
 
     def prune(self, keep: int, by: str = "oob_error") -> MegaForest:
         """The ``keep`` trees with the smallest value."""
@@ -58,11 +63,14 @@ class MegaForest:
 
 
 def merge_ensembles(trees: DataFrame, params: ForestParams, path: str | None = None, mode: str = "reduce") -> MegaForest:
-    """Trees by ensemble partition: only they are shuffled. ``mode="map"`` leaves them where they were fitted."""
+    """Trees by ensemble partition: only they are shuffled. ``mode="map"`` leaves them where they were fitted.
+
+    The trees are written here, once: to ``path``, or else to the session's shared folder. Whatever scores the forest
+    reads them, so that no block is fitted twice.
+    """
     if mode == "reduce":
         trees = trees.repartitionById(params.n_parts, F.col("ens_part"))
-    forest = MegaForest(trees, params)
-    return forest.save(path) if path else forest
+    return MegaForest(trees, params).save(path) if path else MegaForest(written(trees, "trees"), params)
 
 
 def save_manifest(spark: SparkSession, params: ForestParams, path: str) -> MegaForest:
@@ -74,7 +82,9 @@ def load(spark: SparkSession, path: str) -> MegaForest:
     row = spark.read.parquet(f"{path}/manifest").first()
     p = row.params
     number = {k: int(p[k]) for k in ("n_trees", "bite_size", "min_leaf", "n_classes", "n_parts", "n_blocks", "seed")}
-    params = ForestParams(**number, sampler=p["sampler"], unvoted=p["unvoted"], learner=p["learner"], replace=p["replace"] == "True", max_depth=None if p["max_depth"] == "None" else int(p["max_depth"]), features=tuple(row.features))
+    maybe = {k: None if p[k] == "None" else int(p[k]) for k in ("max_depth", "n_attr")}
+    learner = p["learner"] if p["learner"] in LEARNERS else "tree"  # a function can't be read back: only its trees are
+    params = ForestParams(**number, **maybe, sampler=p["sampler"], unvoted=p["unvoted"], learner=learner, draws=p["draws"], replace=p["replace"] == "True", resample=p["resample"] == "True", features=tuple(row.features))
     names = [c.split()[0] for c in TREE.split(", ")]
     return MegaForest(spark.read.parquet(f"{path}/trees").select(*names), params)
 
@@ -86,19 +96,24 @@ def blocks_done(spark: SparkSession, path: str) -> set[int]:
     return {r.block for r in spark.read.parquet(f"{path}/trees").select("block").distinct().collect()}
 
 
+def tree_columns() -> list:
+    """What scoring needs of a tree, and the hash that orders members at random, the same in every engine."""
+    return [portable_hash("permute", F.col("tree_id")).alias("place"), *map(F.col, ("ens_part", "block", "iter", "tree_id", "feature", "threshold", "left", "right", "leaf_class"))]
+
+
 class Packed:
     """Trees in one set of arrays, in a fixed random order, so that rows at different trees move in step."""
 
-    def __init__(self, rows: list, n_classes: int):
-        sizes = [len(r.feature) for r in rows]
-        self.root = np.concatenate([[0], np.cumsum(sizes)[:-1]]).astype(np.int64) if rows else np.zeros(0, np.int64)
-        base = np.repeat(self.root, sizes) if rows else np.zeros(0, np.int64)
-        join = lambda name, kind: np.concatenate([np.asarray(getattr(r, name), kind) for r in rows]) if rows else np.zeros(0, kind)
-        self.feature, self.threshold = join("feature", np.int32), join("threshold", np.float64)
-        self.left, self.right = join("left", np.int64) + base, join("right", np.int64) + base
-        self.leaf_class, self.n_classes = join("leaf_class", np.int32), n_classes
-        self.part = np.array([r.ens_part for r in rows])
-        self.block, self.iter = np.array([r.block for r in rows]), np.array([r.iter for r in rows])
+    def __init__(self, table: pa.Table, n_classes: int):
+        table = table.sort_by([("place", "ascending"), ("tree_id", "ascending")]).combine_chunks()
+        flat = {c: pc.list_flatten(table[c]).to_numpy() for c in ("feature", "threshold", "left", "right", "leaf_class")}
+        sizes = pc.list_value_length(table["feature"]).to_numpy().astype(np.int64)
+        self.root = np.cumsum(sizes) - sizes
+        base = np.repeat(self.root, sizes)
+        self.feature, self.threshold = flat["feature"].astype(np.int32), flat["threshold"].astype(np.float64)
+        self.left, self.right = flat["left"] + base, flat["right"] + base
+        self.leaf_class, self.n_classes = flat["leaf_class"].astype(np.int32), n_classes
+        self.part, self.block, self.iter, self.tree_id = (table[c].to_numpy() for c in ("ens_part", "block", "iter", "tree_id"))
 
     def __len__(self) -> int:
         return len(self.root)
@@ -120,5 +135,4 @@ def pack(forest: MegaForest, max_mb: float = 512) -> Packed:
     facts = forest.size().first()
     if (facts.bytes or 0) > max_mb * 1e6:
         raise ValueError(f"the forest has {facts.bytes / 1e6:.0f} MB: score it by committee")
-    order = portable_hash("permute", F.col("tree_id"))
-    return Packed(forest.trees.select("ens_part", "block", "iter", "tree_id", "feature", "threshold", "left", "right", "leaf_class").orderBy(order, "tree_id").collect(), forest.params.n_classes)
+    return Packed(forest.trees.select(*tree_columns()).toArrow(), forest.params.n_classes)

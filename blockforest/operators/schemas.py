@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import asdict, dataclass, field
 
 from pyspark.sql import DataFrame
@@ -28,6 +29,8 @@ class ForestParams:
     ``sampler``: ``importance`` (half the bite from rows that the ensemble so far gets wrong, half from the others),
     ``rejection`` (wrong rows always, right ones with odds e / (1 - e)), ``bagging`` (uniform) or ``full`` (the block).
     ``unvoted``: rows without an out-of-bag vote count as ``both`` right and wrong, ``wrong``, or by ``class_order``.
+    ``learner``: the name of a base learner (see ``tree.LEARNERS``), or a function of its own (``tree.BaseLearner``).
+    ``draws``: ``numpy``, or ``portable`` ones that a SQL engine can repeat.
     """
 
     n_trees: int = 25
@@ -42,17 +45,20 @@ class ForestParams:
     n_parts: int = 4
     n_blocks: int = 8
     seed: int = 42
-    learner: str = "tree"
+    learner: str | Callable = "tree"
     resample: bool = False
+    draws: str = "numpy"
     features: tuple[str, ...] = field(default=())
 
     def __post_init__(self):
         if self.sampler not in ("importance", "rejection", "bagging", "full") or self.unvoted not in ("both", "wrong", "class_order"):
             raise ValueError("unknown sampler or treatment of unvoted rows")
-        if self.learner not in ("tree", "stump", "majority"):
+        if not callable(self.learner) and self.learner not in ("tree", "stump", "majority"):
             raise ValueError("unknown base learner")
+        if self.draws not in ("numpy", "portable"):
+            raise ValueError("unknown draws")
         if min(self.n_trees, self.bite_size, self.n_parts, self.n_blocks, self.n_classes, self.min_leaf) < 1:
             raise ValueError("sizes must be positive")
 
     def as_map(self) -> dict[str, str]:
-        return {k: str(v) for k, v in asdict(self).items()}
+        return {k: getattr(v, "__name__", None) or str(v) for k, v in asdict(self).items()}

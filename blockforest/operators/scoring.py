@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import derive_seed, fast_hash
+from ..functions.hashing import derive_seed, fast_hash, portable_hash
 from ..functions.stopping import RULES, Rule, threshold_table
 from .model import MegaForest, Packed, pack
 from .schemas import PREDICTION
@@ -25,6 +25,25 @@ def full_tallies(packed: Packed, x: np.ndarray) -> np.ndarray:
     return votes
 
 
+def keyed_place(keys: np.ndarray, step: int, size: int) -> np.ndarray:
+    """Element ``step`` of a permutation of 0..size-1 that belongs to each key, without the rest of it.
+
+    Four rounds over two halves of the bits permute the next power of four; places beyond ``size`` are permuted again.
+    """
+    half = max(1, (max(size - 1, 1).bit_length() + 1) // 2)
+    mask = np.uint64((1 << half) - 1)
+    out, todo = np.full(len(keys), step, np.uint64), np.arange(len(keys))
+    while len(todo):
+        left, right, key = out[todo] >> np.uint64(half), out[todo] & mask, keys[todo].astype(np.uint64)
+        for turn in range(4):
+            z = (right + key + np.uint64(turn * 0x9E3779B9)) * np.uint64(0xBF58476D1CE4E5B9)
+            z = (z ^ (z >> np.uint64(31))) * np.uint64(0x94D049BB133111EB)
+            left, right = right, left ^ ((z ^ (z >> np.uint64(29))) & mask)
+        out[todo] = left << np.uint64(half) | right
+        todo = todo[out[todo] >= size]
+    return out.astype(np.int64)
+
+
 def lazy_votes(packed: Packed, x: np.ndarray, rule: Rule, offset: np.ndarray | None, order: str = "offset", seed: int = 0, members: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(tallies, votes used, stopped) of all rows; rows that stop leave the active set.
 
@@ -40,14 +59,13 @@ def lazy_votes(packed: Packed, x: np.ndarray, rule: Rule, offset: np.ndarray | N
         return tally, used, stopped
     binary = packed.n_classes == 2
     leads = threshold_table(rule) if binary else None
-    rng = np.random.default_rng(seed)
     if order == "random":
-        own = np.argsort(rng.random((n, size)), axis=1)
+        keys = np.random.default_rng(seed).integers(0, 1 << 62, n)
     elif order == "batch":
-        offset = np.full(n, int(rng.integers(size)))
+        offset = np.full(n, int(np.random.default_rng(seed).integers(size)))
     active = np.arange(n)
     for step in range(1, size + 1):
-        place = own[active, step - 1] if order == "random" else (offset[active] + step - 1) % size
+        place = keyed_place(keys[active], step - 1, size) if order == "random" else (offset[active] + step - 1) % size
         tally[active, packed.votes(x, active, ring[place])] += 1
         used[active] = step
         if step == rule.m:
@@ -55,8 +73,7 @@ def lazy_votes(packed: Packed, x: np.ndarray, rule: Rule, offset: np.ndarray | N
         if binary:
             done = tally[active].max(axis=1) >= leads[step]
         else:
-            two = np.partition(tally[active], -2, axis=1)[:, -2:]
-            done = rule.stops_multi(two[:, 1], two[:, 0], step)
+            done = rule.stops_tallies(tally[active], step)
         stopped[active[done]] = True
         active = active[~done]
         if not len(active):
@@ -100,37 +117,61 @@ def predict_full(forest: MegaForest, df: DataFrame, max_mb: float = 512) -> Data
     return _inputs(df).mapInArrow(partial(_full, packed=packed), PREDICTION)
 
 
-def predict_lazy(forest: MegaForest, df: DataFrame, rule: str = "g1_fpc", alpha: float = 0.01, min_votes: int | None = None, order: str = "offset", seed: int = 7, also_full: bool = False, max_mb: float = 512) -> DataFrame:
-    """PREDICTION rows by as many votes as the rule asks for; ``also_full`` adds the full vote's class beside it."""
+def predict_lazy(forest: MegaForest, df: DataFrame, rule: str = "g1_fpc", alpha: float = 0.01, min_votes: int | None = None, order: str = "offset", seed: int = 7, also_full: bool = False, max_mb: float = 512, multi: str = "pairwise", portable: bool = False) -> DataFrame:
+    """PREDICTION rows by as many votes as the rule asks for; ``also_full`` adds the full vote's class beside it.
+
+    ``multi`` is the Bayesian rule's way with over two classes (see ``Rule``); ``portable`` offsets are the same in SQL engines.
+    """
     packed = pack(forest, max_mb)
-    chosen = Rule(rule, max(len(packed), 1), alpha, min_votes)
+    chosen = Rule(rule, max(len(packed), 1), alpha, min_votes, multi)
     shared = df.sparkSession.sparkContext.broadcast(packed)
-    rows = _inputs(df).withColumn("offset", fast_hash(f"offset-{seed}", F.col("row_id")))
+    rows = _inputs(df).withColumn("offset", (portable_hash if portable else fast_hash)(f"offset-{seed}", F.col("row_id")))
     return rows.mapInArrow(partial(_lazy, packed=shared, rule=chosen, order=order, seed=seed, also_full=also_full), PREDICTION + (", full_prediction int" if also_full else ""))
 
 
-def _prefixes(batches, packed, grid):
+def _by_tree(batches, packed):
+    p: Packed = packed.value
+    for batch in batches:
+        x, n = matrix(batch.column(1)), batch.num_rows
+        trees = np.tile(np.arange(len(p)), n)
+        votes = p.votes(x, np.repeat(np.arange(n), len(p)), trees)
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(batch.column(0).to_numpy(), len(p))), pa.array(p.tree_id[trees]), pa.array(votes, pa.int32())], names=["row_id", "tree_id", "vote"])
+
+
+def votes_by_tree(forest: MegaForest, df: DataFrame, max_mb: float = 512) -> DataFrame:
+    """``row_id, tree_id, vote``: the vote of every tree on every row."""
+    packed = df.sparkSession.sparkContext.broadcast(pack(forest, max_mb))
+    return _inputs(df).mapInArrow(partial(_by_tree, packed=packed), "row_id long, tree_id long, vote int")
+
+
+def _parts_right(batches, packed, masks):
     p: Packed = packed.value
-    masks = [(q, k, (p.block < q) & (p.iter < k)) for q, k in grid]
     for batch in batches:
         x, y = matrix(batch.column(1)), batch.column(2).to_numpy()
-        votes = np.zeros((len(grid), len(x), p.n_classes), np.int32)
+        votes = np.zeros((len(masks), len(x), p.n_classes), np.int32)
         rows = np.arange(len(x))
         for t in range(len(p)):
             c = p.votes(x, rows, np.full(len(x), t))
-            for g, (_, _, mask) in enumerate(masks):
+            for g, mask in enumerate(masks):
                 if mask[t]:
                     votes[g, rows, c] += 1
         right = [int((v.argmax(axis=1) == y).sum()) for v in votes]
-        yield pa.RecordBatch.from_arrays([pa.array([g[0] for g in masks], pa.int32()), pa.array([g[1] for g in masks], pa.int32()), pa.array([int(m.sum()) for _, _, m in masks], pa.int64()), pa.array(right, pa.int64()), pa.array([len(x)] * len(grid), pa.int64())], names=["blocks", "local_size", "trees", "correct", "n"])
+        yield pa.RecordBatch.from_arrays([pa.array(range(len(masks)), pa.int32()), pa.array(right, pa.int64()), pa.array([len(x)] * len(masks), pa.int64())], names=["part", "correct", "n"])
 
 
-def accuracy_grid(forest: MegaForest, test: DataFrame, grid: list[tuple[int, int]]) -> DataFrame:
-    """Accuracy of every (blocks, local size) prefix of a forest, from one scan of the test rows."""
-    packed = test.sparkSession.sparkContext.broadcast(pack(forest))
+def accuracy_of_parts(packed: Packed, masks: list[np.ndarray], test: DataFrame) -> DataFrame:
+    """``part, correct, n`` of several choices of trees (masks over the packed ones), from one scan of the test rows."""
+    shared = test.sparkSession.sparkContext.broadcast(packed)
     rows = test.select(F.col("row_id").cast("long").alias("row_id"), F.col("features").cast("array<double>").alias("features"), F.col("label").cast("int").alias("label"))
-    cells = rows.mapInArrow(partial(_prefixes, packed=packed, grid=grid), "blocks int, local_size int, trees long, correct long, n long")
-    return cells.groupBy("blocks", "local_size", "trees").agg((F.sum("correct") / F.sum("n")).alias("accuracy"))
+    return rows.mapInArrow(partial(_parts_right, packed=shared, masks=masks), "part int, correct long, n long").groupBy("part").agg(F.sum("correct").alias("correct"), F.sum("n").alias("n"))
+
+
+def accuracy_grid(forest: MegaForest, test: DataFrame, grid: list[tuple[int, int]]) -> DataFrame:
+    """``blocks, local_size, trees, accuracy`` of every (blocks, local size) prefix of a forest, from one scan of the test rows."""
+    packed = pack(forest)
+    masks = [(packed.block < q) & (packed.iter < k) for q, k in grid]
+    cells = test.sparkSession.createDataFrame([(i, q, k, int(m.sum())) for i, ((q, k), m) in enumerate(zip(grid, masks, strict=True))], "part int, blocks int, local_size int, trees long")
+    return accuracy_of_parts(packed, masks, test).join(F.broadcast(cells), "part").select("blocks", "local_size", "trees", (F.col("correct") / F.col("n")).alias("accuracy"))
 
 
 # -- given votes, in DataFrame operations -----------------------------------------------------------------

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
 from functools import partial
 
 import numpy as np
@@ -9,7 +10,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import fast_hash
+from ..functions.hashing import fast_hash, portable_number
+from ..sources.tables import shared_path, write_blocks
 from . import model as store
 from .blocks import assign_blocks, partition_by_block
 from .ensemble import fit_local_ensemble
@@ -30,15 +32,16 @@ def matrix(lists) -> np.ndarray:
     return flat.reshape(len(lists), -1) if len(lists) else np.zeros((0, 0))
 
 
-def _fit_blocks(batches, params: ForestParams):
-    """A partition may hold several blocks; rows come sorted by block and id."""
+def _fit_blocks(batches, params: ForestParams, bites: tuple[int, ...] | None = None):
+    """A partition may hold several blocks; rows come sorted by block and id. ``bites``: a bite size for each block."""
 
     def flush(block, parts):
+        chosen = replace(params, bite_size=bites[block]) if bites else params
         x, y = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
         rows = []
-        for i, seed, tree, facts in fit_local_ensemble(x, y, params, int(block)):
+        for i, seed, tree, facts in fit_local_ensemble(x, y, chosen, int(block)):
             tree_id = int(block) * TREES_PER_BLOCK + i
-            part = int(np.random.default_rng(seed + 1).integers(params.n_parts))
+            part = portable_number(f"part-{params.seed}", f"{int(block)}:{i}") % params.n_parts
             rows.append({"ens_part": part, "tree_id": tree_id, "block": int(block), "iter": i, "seed": seed, "feature": tree.feature, "threshold": tree.threshold, "left": tree.left, "right": tree.right, "leaf_class": tree.leaf_class, "class_counts": tree.counts.ravel(), "depth": tree.depth, "n_nodes": len(tree.feature)} | facts)
         return pa.RecordBatch.from_pylist(rows, schema=_ARROW)
 
@@ -58,12 +61,15 @@ def _fit_blocks(batches, params: ForestParams):
         yield flush(current, parts)
 
 
-def train_blocks(df: DataFrame, params: ForestParams) -> DataFrame:
-    """TREE rows of all blocks of ``(row_id, features, label, block)``: one exchange of rows, sorted so that order is fixed."""
+def train_blocks(df: DataFrame, params: ForestParams, bites: tuple[int, ...] | None = None, slot: str = "block", n_slots: int | None = None) -> DataFrame:
+    """TREE rows of all blocks of ``(row_id, features, label, block)``: one exchange of rows, sorted so that order is fixed.
+
+    ``slot`` names the column whose numbers (below ``n_slots``) are the partitions, if only some blocks are there.
+    """
     check(df, "row_id", "features", "label", "block")
-    dealt = partition_by_block(df.select("block", F.col("features").cast("array<double>").alias("features"), F.col("label").cast("int").alias("label"), "row_id"), params.n_blocks)
+    dealt = partition_by_block(df.select(F.col(slot).alias("slot"), "block", F.col("features").cast("array<double>").alias("features"), F.col("label").cast("int").alias("label"), "row_id"), n_slots or params.n_blocks, "slot")
     ready = dealt.sortWithinPartitions("block", "row_id").select("block", "features", "label")
-    return ready.mapInArrow(partial(_fit_blocks, params=params), TREE)
+    return ready.mapInArrow(partial(_fit_blocks, params=params, bites=bites), TREE)
 
 
 def train_mega_forest(df: DataFrame, params: ForestParams, path: str | None = None, block_sample: int | None = None) -> store.MegaForest:
@@ -81,28 +87,35 @@ def train_serial(df: DataFrame, params: ForestParams, block: int = 0) -> store.M
 
 
 def train_in_waves(df: DataFrame, params: ForestParams, path: str, wave: int = 1000) -> store.MegaForest:
-    """Blocks in waves, each appended to the model: a run that is cut off goes on with the blocks that are missing."""
+    """Blocks in waves, each appended to the model: a run that is cut off goes on with the blocks that are missing.
+
+    Rows are written by block once, so a wave reads its own blocks only and makes no more partitions than it has blocks.
+    """
     spark = df.sparkSession
-    blocked = df if "block" in df.columns else assign_blocks(df, params.n_blocks, seed=params.seed)
     done = store.blocks_done(spark, path)
     todo = [b for b in range(params.n_blocks) if b not in done]
+    if todo:
+        blocked = df if "block" in df.columns else assign_blocks(df, params.n_blocks, seed=params.seed)
+        blocks = shared_path(spark, "blocks")
+        write_blocks(blocked.where(F.col("block").isin(todo)) if done else blocked, blocks)
+        dealt = spark.read.parquet(blocks)
     for at in range(0, len(todo), wave):
-        part = blocked.where(F.col("block").isin(todo[at : at + wave]))
-        train_blocks(part, params).write.mode("append").partitionBy("ens_part").parquet(f"{path}/trees")
+        now = todo[at : at + wave]
+        part = dealt.where(F.col("block").isin(now)).withColumn("slot", (F.array_position(F.array(*map(F.lit, now)), F.col("block")) - 1).cast("int"))
+        train_blocks(part, params, slot="slot", n_slots=len(now)).write.mode("append").partitionBy("ens_part").parquet(f"{path}/trees")
     return store.save_manifest(spark, params, path)
 
 
 def train_until_plateau(df: DataFrame, params: ForestParams, validation: DataFrame, start: int = 1, tolerance: float = 1e-3) -> tuple[store.MegaForest, list[tuple[int, float]]]:
-    """Doubles the number of blocks until validation accuracy gains less than ``tolerance``."""
+    """Doubles the number of blocks until validation accuracy gains less than ``tolerance``; every block is fitted once."""
     from .scoring import predict_full
 
     blocked = assign_blocks(df, params.n_blocks, seed=params.seed)
     seen: list[tuple[int, float]] = []
-    q = start
-    forest = None
+    q, forest = start, None
     while True:
-        part = blocked.where(F.col("block") < q) if forest is None else blocked.where((F.col("block") >= seen[-1][0]) & (F.col("block") < q))
-        grown = store.merge_ensembles(train_blocks(part, params), params)
+        low = seen[-1][0] if seen else 0
+        grown = store.merge_ensembles(train_blocks(blocked.where((F.col("block") >= low) & (F.col("block") < q)), params), replace(params, n_blocks=q - low))
         forest = grown if forest is None else forest.union(grown)
         share = predict_full(forest, validation).join(validation.select("row_id", "label"), "row_id").agg(F.avg((F.col("prediction") == F.col("label")).cast("double"))).first()[0]
         seen.append((q, share))
@@ -117,28 +130,18 @@ def salt(df: DataFrame, k: int, key: str = "row_id", column: str = "block") -> D
 
 
 def tune_bite_size(df: DataFrame, sizes: list[int], params: ForestParams, validation: DataFrame, block: int = 0) -> DataFrame:
-    """``bite_size, accuracy, nodes, fit_ms``: the local ensemble of one block at several bite sizes, one task for each."""
-    spark = df.sparkSession
-    blocked = df if "block" in df.columns else assign_blocks(df, params.n_blocks, seed=params.seed)
-    one = blocked.where(F.col("block") == block).select(F.lit(1).alias("part"), "row_id", "features", "label")
-    both = one.unionByName(validation.select(F.lit(0).alias("part"), "row_id", "features", "label"))
-    grid = spark.createDataFrame([(int(s),) for s in sizes], "bite_size int")
-    dealt = both.join(F.broadcast(grid)).select("bite_size", "part", "row_id", F.col("features").cast("array<double>").alias("features"), F.col("label").cast("int").alias("label"))
+    """``bite_size, accuracy, nodes, fit_ms``: the local ensemble of one block at several bite sizes.
 
-    def one(table: pa.Table) -> pa.Table:
-        return _one_size(table, params)
+    Every size is fitted in a task of its own, on a copy of the block; the validation rows stay where they are and meet
+    all sizes' trees in one scan.
+    """
+    from .scoring import accuracy_of_parts
 
-    return dealt.groupBy("bite_size").applyInArrow(one, "bite_size int, accuracy double, nodes long, fit_ms long")
-
-
-def _one_size(table: pa.Table, params: ForestParams) -> pa.Table:
-    from dataclasses import replace
-
-    table = table.combine_chunks().sort_by([("part", "ascending"), ("row_id", "ascending")])
-    size = table["bite_size"][0].as_py()
-    x, y, train = matrix(table["features"].combine_chunks()), table["label"].to_numpy(), table["part"].to_numpy() == 1
-    votes, nodes, ms = np.zeros(((~train).sum(), params.n_classes), int), 0, 0
-    for _, _, tree, facts in fit_local_ensemble(x[train], y[train], replace(params, bite_size=size)):
-        votes[np.arange(len(votes)), tree.predict(x[~train])] += 1
-        nodes, ms = nodes + len(tree.feature), ms + facts["fit_ms"]
-    return pa.table({"bite_size": pa.array([size], pa.int32()), "accuracy": [float((votes.argmax(axis=1) == y[~train]).mean())], "nodes": pa.array([nodes], pa.int64()), "fit_ms": pa.array([ms], pa.int64())})
+    blocked = df if "block" in df.columns else assign_blocks(df, params.n_blocks, seed=params.seed)
+    one = blocked.where(F.col("block") == block).select("row_id", "features", "label", F.explode(F.array(*[F.lit(i) for i in range(len(sizes))])).alias("block"))
+    forest = store.merge_ensembles(train_blocks(one, replace(params, n_blocks=len(sizes)), bites=tuple(sizes)), params)
+    packed = store.pack(forest)
+    shares = accuracy_of_parts(packed, [packed.block == i for i in range(len(sizes))], validation)
+    facts = forest.trees.groupBy(F.col("block").alias("part")).agg(F.sum("n_nodes").cast("long").alias("nodes"), F.sum("fit_ms").alias("fit_ms"))
+    size = F.element_at(F.array(*[F.lit(int(n)) for n in sizes]), F.col("part") + 1).cast("int")
+    return shares.join(facts, "part").select(size.alias("bite_size"), (F.col("correct") / F.col("n")).alias("accuracy"), "nodes", "fit_ms")

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
+from typing import Protocol
 
 import numpy as np
 
@@ -33,7 +34,8 @@ def best_split(x: np.ndarray, y: np.ndarray, n_classes: int) -> tuple[int, float
     size = np.arange(1, n)[:, None]
     after = (size * entropy(left) + (n - size) * entropy(total - left)) / n
     gain = np.where(differ, entropy(total) - after, -np.inf)
-    row, column = np.unravel_index(np.argmax(gain), gain.shape)
+    # Compared to ten digits, so that equal gains are equal in every engine; ties go to the first column, then to the lowest cut.
+    column, row = np.unravel_index(np.argmax(np.round(gain, 10).T), gain.T.shape)
     low, high = values[row, column], values[row + 1, column]
     middle = (low + high) / 2
     return int(column), float(middle if middle < high else low), float(gain[row, column])
@@ -82,7 +84,7 @@ def fit_tree(x: np.ndarray, y: np.ndarray, n_classes: int, rng: np.random.Genera
         tried = rng.permutation(d)
         split = None
         for at in range(0, d if resample else width, max(width, 1)):
-            columns = tried[at : at + width]
+            columns = np.sort(tried[at : at + width])
             split = best_split(x[np.ix_(rows, columns)], y[rows], n_classes)
             if split:
                 break
@@ -95,10 +97,24 @@ def fit_tree(x: np.ndarray, y: np.ndarray, n_classes: int, rng: np.random.Genera
     return Tree(np.array(feature, np.int32), np.array(threshold), np.array(left, np.int32), np.array(right, np.int32), np.array(klass, np.int32), np.array(counts, np.int32), deepest)
 
 
-def fit_base(learner: str, x, y, n_classes, rng, **options) -> Tree:
-    """The chosen base learner; anything that gives a ``Tree`` can be added here."""
-    if learner == "majority":
-        return fit_tree(x, y, n_classes, rng, max_depth=0)
-    if learner == "stump":
-        options["max_depth"] = 1
-    return fit_tree(x, y, n_classes, rng, **options)
+class BaseLearner(Protocol):
+    """What trains one member: anything that gives a ``Tree`` may stand in for the trees."""
+
+    def __call__(self, x: np.ndarray, y: np.ndarray, n_classes: int, rng: np.random.Generator, **options) -> Tree: ...
+
+
+def fit_stump(x, y, n_classes, rng, **options) -> Tree:
+    return fit_tree(x, y, n_classes, rng, **(options | {"max_depth": 1}))
+
+
+def fit_majority(x, y, n_classes, rng, **options) -> Tree:
+    return fit_tree(x, y, n_classes, rng, max_depth=0)
+
+
+#: Base learners by name.
+LEARNERS: dict[str, BaseLearner] = {"tree": fit_tree, "stump": fit_stump, "majority": fit_majority}
+
+
+def fit_base(learner: str | BaseLearner, x, y, n_classes, rng, **options) -> Tree:
+    """A member by the named base learner, or by one that is given as a function."""
+    return (learner if callable(learner) else LEARNERS[learner])(x, y, n_classes, rng, **options)

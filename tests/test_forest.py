@@ -30,8 +30,7 @@ PARAMS = ForestParams(n_trees=6, bite_size=60, n_blocks=4, n_parts=3)
 
 @pytest.fixture(scope="module")
 def forest(rows):
-    f = train.train_mega_forest(rows, PARAMS)
-    return model.MegaForest(f.trees.cache(), PARAMS)
+    return train.train_mega_forest(rows, PARAMS)
 
 
 def test_attribute_counts_and_entropy():
@@ -177,3 +176,109 @@ def test_features(spark):
     assert [tuple(r) for r in fx.fill_missing(gaps, ["a"], ["b"]).collect()] == [(1.0, "x"), (-9999.0, "missing"), (-9999.0, "y")]
     with pytest.raises(ValueError):
         fx.fill_missing(gaps, ["a"], [], sentinel=5.0)
+
+
+def count_fits(monkeypatch, folder):
+    """Every fitting of a block leaves a file."""
+    fit = train._fit_blocks
+
+    def counted(batches, **options):
+        import uuid
+        from pathlib import Path
+
+        for out in fit(batches, **options):
+            for _ in set(out.column("block").to_pylist()):
+                Path(f"{folder}/{uuid.uuid4().hex}").touch()
+            yield out
+
+    monkeypatch.setattr(train, "_fit_blocks", counted)
+    return lambda: len(list(folder.iterdir()))
+
+
+def test_blocks_are_fitted_once(rows, monkeypatch, tmp_path):
+    fits = count_fits(monkeypatch, tmp_path)
+    f = train.train_mega_forest(rows, PARAMS)
+    assert fits() == 4
+    scoring.predict_full(f, rows).count(), scoring.predict_lazy(f, rows).count()
+    committee.committee_predict(f, rows).count()
+    scoring.accuracy_grid(f, rows, [(2, 3), (4, 6)]).collect()
+    assert fits() == 4
+    grown, seen = train.train_until_plateau(rows, PARAMS, rows, tolerance=-1.0)
+    assert [q for q, _ in seen] == [1, 2, 4] and fits() == 8
+    key = lambda trees: sorted((r.tree_id, tuple(r.threshold)) for r in trees.collect())
+    assert key(grown.trees) == key(f.trees) and grown.params.n_blocks == 4
+
+
+def test_waves_and_serial_equal_one_training(rows, forest, tmp_path):
+    key = lambda trees: sorted((r.tree_id, tuple(r.threshold)) for r in trees.collect())
+    assert key(train.train_in_waves(rows, PARAMS, str(tmp_path / "m"), wave=3).trees) == key(forest.trees)
+    assert key(train.train_serial(rows, PARAMS).trees) == key(forest.trees.where("block = 0"))
+
+
+def test_a_committee_moves_rows_and_trees_once(rows, forest):
+    first = committee.committee_pass(forest, rows, groups=3)
+    assert measures.plan_facts(first)["exchanges"] == 1
+    tallies = committee.partition_tallies(forest, rows.select("row_id", "features"), groups=5)
+    assert measures.plan_facts(tallies)["exchanges"] == 1 and measures.plan_facts(tallies)["broadcasts"] == 0
+    one, many = ({(r.ens_part, r.row_id, r.vote): r.n for r in committee.partition_tallies(forest, rows.select("row_id", "features"), groups=g).collect()} for g in (1, 7))
+    assert one == many and sum(one.values()) == 24 * 600
+    assert measures.shuffled_bytes(rows.groupBy("label").count()) > 0
+    few = committee.tallies_by_broadcast(forest, rows.select("row_id", "features"), max_mb=1e-6)
+    assert few.count() == len(one)
+
+
+def test_keyed_places_are_permutations():
+    for size in (1, 2, 5, 64, 1000):
+        keys = np.array([0, 7, 1 << 61])
+        places = np.array([scoring.keyed_place(keys, s, size) for s in range(size)])
+        assert (np.sort(places, axis=0) == np.arange(size)[:, None]).all()
+    assert len({tuple(scoring.keyed_place(np.arange(200), s, 5)[k] for s in range(5)) for k in range(200)}) > 60
+
+
+def always_one(x, y, n_classes, rng, **options):
+    return fit_tree(x, np.ones(len(y), int), n_classes, rng)
+
+
+def test_own_learners_and_stored_parameters(spark, rows, tmp_path):
+    from dataclasses import replace
+
+    f = train.train_mega_forest(rows, replace(PARAMS, learner=always_one, n_blocks=2), str(tmp_path / "own"))
+    assert {r.prediction for r in scoring.predict_full(f, rows).collect()} == {1}
+    kept = replace(PARAMS, n_attr=3, resample=True, max_depth=4)
+    back = train.train_mega_forest(rows, kept, str(tmp_path / "kept")).params
+    assert back == kept
+    assert f.union(f).params.n_blocks == 4 and f.restrict(1, 2).params.n_trees == 2
+
+
+def test_resampled_attributes_find_a_cut():
+    x = np.zeros((40, 12))
+    x[:, 3] = np.arange(40)
+    y = (np.arange(40) > 17).astype(int)
+    fit = lambda again: [len(fit_tree(x, y, 2, np.random.default_rng(k), n_attr=2, resample=again).feature) > 1 for k in range(30)]
+    assert all(fit(True)) and not all(fit(False))
+
+
+def test_bite_sizes_meet_the_validation_rows_where_they_are(rows):
+    got = train.tune_bite_size(rows, [20, 200], PARAMS, rows).orderBy("bite_size").collect()
+    assert [r.bite_size for r in got] == [20, 200] and got[0].nodes < got[1].nodes and got[1].accuracy > 0.8
+
+
+def test_disagreement_stays_below_the_level_at_any_size():
+    from blockforest.operators.simulate import draw_points
+
+    for m in (100, 1000, 5000):
+        for alpha in (0.05, 0.01):
+            for name in ("g1_fpc", "g2", "bayes"):
+                _, _, lazy, full = draw_points(np.random.default_rng(m), 20_000, Rule(name, m, alpha))
+                assert (lazy != full).mean() <= alpha * 1.15 + 0.001
+
+
+def test_bayes_over_several_classes():
+    rng = np.random.default_rng(3)
+    tallies = rng.multinomial(12, [0.5, 0.3, 0.2], 40)
+    exact, drawn = (Rule("bayes", 20, 0.05, multi=m).stops_tallies(tallies, 12) for m in ("exact", "sampled"))
+    assert (exact == drawn).mean() > 0.85 and 0 < exact.sum() < 40
+    pairs = Rule("bayes", 20, 0.05).stops_tallies(tallies, 12)
+    assert (pairs == exact).mean() > 0.7
+    with pytest.raises(ValueError):
+        Rule("bayes", 20, multi="else")
