@@ -65,3 +65,26 @@ def plan_facts(df: DataFrame) -> dict[str, int]:
     """Scans and exchanges of a physical plan: how often inputs are read and rows moved."""
     text = df._jdf.queryExecution().executedPlan().toString()
     return {"scans": text.count("Scan parquet"), "exchanges": text.count("Exchange ") - text.count("BroadcastExchange "), "broadcasts": text.count("BroadcastExchange ")}
+
+
+def shuffled_bytes(df: DataFrame) -> int:
+    """Bytes that the exchanges of a query wrote: the query runs (its rows go nowhere), then its metrics are read."""
+    df.write.format("noop").mode("overwrite").save()
+    spark = df.sparkSession
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+    store = spark._jsparkSession.sharedState().statusStore()
+    last = store.executionsList().apply(int(store.executionsCount()) - 1)
+    ids = {str(m.accumulatorId()) for m in _scala(last.metrics()) if m.name() == "shuffle bytes written"}
+    text = {str(k): v for k, v in ((p._1(), p._2()) for p in _scala(store.executionMetrics(last.executionId()).toSeq()))}
+    return sum(_as_bytes(text.get(i, "0 B")) for i in ids)
+
+
+def _scala(seq) -> list:
+    return [seq.apply(i) for i in range(seq.size())]
+
+
+def _as_bytes(text: str) -> int:
+    """A size as Spark prints it, with the total on the line below its heading if there are several tasks."""
+    total = text.strip().splitlines()[-1].split("(")[0].split()
+    unit = {"B": 1, "KiB": 1 << 10, "MiB": 1 << 20, "GiB": 1 << 30, "TiB": 1 << 40}
+    return int(float(total[0].replace(",", "")) * unit[total[1]])

@@ -45,13 +45,24 @@ class TreeNodes:
             yield node, *rest
 
 
+#: Functions that are expressions of SQL: Spark puts them into the plan, so they run in generated code.
+SQL_FUNCTIONS = {
+    "accept_probability": "(error DOUBLE) RETURNS DOUBLE RETURN CASE WHEN error >= 0.5D THEN 1.0D ELSE greatest(0.0D, error / (1 - error)) END",
+    "gaussian_stop": """(lead BIGINT, n BIGINT, m BIGINT, square DOUBLE, least BIGINT) RETURNS BOOLEAN RETURN n >= least AND lead >=
+        floor(n * (0.5D + 0.5D * sqrt((square * (CASE WHEN n > 0.05D * m THEN (m - n) / cast(greatest(m - 1, 1) AS DOUBLE) ELSE 1.0D END) / n) / (1 + square * (CASE WHEN n > 0.05D * m THEN (m - n) / cast(greatest(m - 1, 1) AS DOUBLE) ELSE 1.0D END) / n)))) + 1""",
+    "chebyshev_stop": "(lead BIGINT, n BIGINT, alpha DOUBLE) RETURNS BOOLEAN RETURN lead >= floor(n * (0.5D + 0.5D * sqrt((1 / alpha / n) / (1 + 1 / alpha / n)))) + 1",
+}
+
+
 def register(spark: SparkSession) -> SparkSession:
-    """Names for SQL: ``bayes_win``, ``vote_tally``, ``gaussian_thresholds``, ``tree_nodes``, ``accept_probability``."""
+    """Names for SQL: ``bayes_win``, ``vote_tally``, ``gaussian_thresholds``, ``tree_nodes``, and as expressions of SQL itself
+    ``accept_probability(error)``, ``gaussian_stop(lead, n, m, square, least)`` (square: the rule's z squared) and
+    ``chebyshev_stop(lead, n, alpha)``.
+    """
     spark.udf.register("bayes_win", bayes_win)
     spark.udf.register("vote_tally", vote_tally)
     spark.udtf.register("gaussian_thresholds", GaussianThresholds)
     spark.udtf.register("tree_nodes", TreeNodes)
-    from ..operators.sampling import accept_probability
-
-    spark.udf.register("accept_probability", accept_probability, T.DoubleType())
+    for name, body in SQL_FUNCTIONS.items():
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}{body}")
     return spark

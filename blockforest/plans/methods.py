@@ -1,23 +1,28 @@
 """The methods as queries, each with a DuckDB twin: features, blocks, bites, splits, thresholds, lazy votes, measures.
 
-DataFrame operators are called as they are; steps that are whole statements (bites by hash, the stump forests)
-are written as SQL over a portable hash, so that both engines draw the same rows.
+The Spark side calls the library's operators; the twin computes the same by SQL alone. Where a method draws at random it
+draws by a portable hash (``PortableRng``), so that both engines take the same rows.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import measures
-from ..functions.hashing import portable_hash, portable_sql
+from ..functions.hashing import PortableRng, portable_hash, portable_sql
 from ..functions.stopping import Rule, correction_column, thresholds, thresholds_sql
-from ..operators import blocks, committee, scoring
+from ..operators import blocks, committee, sampling, scoring, splits, tree
 from ..operators import features as fx
-from ..sources.tables import load, views
-from .relational import h
+from ..operators.model import MegaForest
+from ..operators.schemas import TREE, ForestParams
+from ..operators.train import matrix, train_mega_forest
+from ..sources.tables import block_storage, load, shared_path, views, write_blocks
 
 Q: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]] = {}
 #: Voters and level of the votes made by hash.
@@ -31,13 +36,10 @@ def add(name: str, spark, duck: str) -> None:
     Q[name] = (spark, duck)
 
 
-def both(name: str, template: str) -> None:
-    """One statement; {h[seed|expression]} is the portable hash of either engine."""
-    import re
-
-    fill = lambda make: re.sub(r"\{h\[([^|\]]+)\|([^\]]+)\]\}", lambda m: make(m[1], m[2]), template)
-    spark = re.sub(r"\{r\[([^;\]]+);([^\]]+)\]\}", r"explode(sequence(\1, \2))", fill(h))
-    add(name, spark, re.sub(r"\{r\[([^;\]]+);([^\]]+)\]\}", r"unnest(range(\1, (\2) + 1))", fill(portable_sql)))
+def duck(template: str) -> str:
+    """DuckDB's text: {h[seed|expression]} is the portable hash, {r[a;b]} the numbers from a to b."""
+    text = re.sub(r"\{h\[([^|\]]+)\|([^\]]+)\]\}", lambda m: portable_sql(m[1], m[2]), template)
+    return re.sub(r"\{r\[([^;\]]+);([^\]]+)\]\}", r"unnest(range(\1, (\2) + 1))", text)
 
 
 # -- features and preprocessing ---------------------------------------------------------------------------
@@ -156,7 +158,8 @@ for _name, _rule in _LAZY_RULES.items():
     add(f"lazy_{_name}", lambda s, d, r=_rule: scoring.lazy_from_votes(ordered(s, d), r), _lazy_sql(_rule))
 for _name, _m, _alpha in (("g1_fpc", 1000, 0.01), ("g1", 1000, 0.01), ("g2_fpc", 1000, 1e-3), ("g2", 1000, 1e-4), ("chebyshev", 500, 0.01), ("chernoff", 500, 0.01), ("certain", 101, 0.01), ("bayes", 50, 0.01)):
     add(f"thresholds_{_name}", lambda s, d, r=Rule(_name, _m, _alpha): thresholds(s, r), thresholds_sql(Rule(_name, _m, _alpha)))
-add("min_votes_table", lambda s, d: s.createDataFrame([(0.05,), (0.01,), (0.005,), (0.001,), (0.0001,)], "alpha double").select("alpha", F.when(F.col("alpha") >= 1e-2, 15).when(F.col("alpha") >= 1e-3, 30).otherwise(45).alias("votes")), "SELECT a::DOUBLE AS alpha, v::INT AS votes FROM (VALUES (0.05, 15), (0.01, 15), (0.005, 30), (0.001, 30), (0.0001, 45)) t(a, v)")
+_LEVELS = (0.05, 0.01, 0.005, 0.001, 0.0001)
+add("min_votes_table", lambda s, d: s.createDataFrame([(a, Rule("g1_fpc", 1000, a).least) for a in _LEVELS], "alpha double, votes int"), "SELECT a::DOUBLE AS alpha, v::INT AS votes FROM (VALUES (0.05, 15), (0.01, 15), (0.005, 30), (0.001, 30), (0.0001, 45)) t(a, v)")
 add("fpc_table", lambda s, d: s.range(1, 201).select(F.col("id").cast("int").alias("n"), F.round(correction_column(F.col("id"), 200), 10).alias("factor")), "SELECT n::INT AS n, round(CASE WHEN n > 10 THEN sqrt((200.0::DOUBLE - n) / 199.0::DOUBLE) ELSE 1.0::DOUBLE END, 10) AS factor FROM range(1, 201) t(n)")
 add("vote_tally", lambda s, d: scoring.tally_votes(hash_votes(s, d)), f"SELECT row_id, vote, count(*) AS n FROM {_VOTES} GROUP BY 1, 2")
 _MAJORITY = f"(SELECT row_id, CASE WHEN 2 * sum(vote) > count(*) THEN 1 ELSE 0 END AS prediction, count(*)::INT AS votes_used FROM {_VOTES} GROUP BY row_id)"
@@ -202,119 +205,265 @@ add("stop_histogram", lambda s, d: measures.stop_histogram(lazy(s, d)), f"SELECT
 add("share_within", lambda s, d: measures.share_within(lazy(s, d), 32, M).select(F.round("share_within", 8).alias("share_within"), F.round("share_all", 8).alias("share_all")), f"SELECT round(avg((votes_used <= 32)::INT), 8) AS share_within, round(avg((votes_used >= {M})::INT), 8) AS share_all FROM {_LAZY}")
 add("confusion", lambda s, d: measures.confusion(lazy(s, d), truth(s, d), [0, 1]).withColumn("recall", F.round("recall", 8)), f'SELECT label, count(*) FILTER (WHERE prediction = 0) AS "0", count(*) FILTER (WHERE prediction = 1) AS "1", round(avg((prediction = label)::INT), 8) AS recall FROM {_LAZY} JOIN {_TRUTH} USING (row_id) GROUP BY label')
 
-# -- committees over votes: part 0 of four judges, the others are asked for undecided rows --------------------------
+# -- simulated members ------------------------------------------------------------------------------------------
+
+
+def _simulated(s, d) -> DataFrame:
+    """32 simulated members on the ids of documents: the full vote, the true class, and the first 15 votes for class 1."""
+    votes = load(s, d, "documents").select(F.col("doc_id").alias("row_id"), F.explode(F.sequence(F.lit(1), F.lit(32))).alias("tree_id"))
+    share = portable_hash("sp", F.col("row_id"))
+    votes = votes.select("row_id", "tree_id", (portable_hash("sv", F.concat_ws(":", F.col("tree_id").cast("string"), F.col("row_id").cast("string"))) < share).cast("int").alias("vote"))
+    first = scoring.tally_votes(votes.where("tree_id <= 15")).where("vote = 1").select("row_id", F.col("n").alias("first15"))
+    full = scoring.majority(scoring.tally_votes(votes)).withColumnRenamed("prediction", "full_class")
+    return full.join(first, "row_id", "left").select("row_id", "full_class", (share >= 2**31).cast("int").alias("label"), F.coalesce("first15", F.lit(0)).alias("first15"))
+
+
+add("simulate_small", _simulated, duck("""
+WITH x AS (SELECT doc_id AS id, {r[1;32]} AS i FROM documents),
+v AS (SELECT id, i, ({h[sv|concat(i, ':', id)]} < {h[sp|id]})::INT AS one FROM x)
+SELECT id AS row_id, (2 * sum(one) > 32)::INT AS full_class, ({h[sp|id]} >= 2147483648)::INT AS label, sum(CASE WHEN i <= 15 THEN one ELSE 0 END)::BIGINT AS first15 FROM v GROUP BY id"""))
+
+# -- bites and out-of-bag votes: the samplers of training on whole blocks, with draws that SQL can repeat --------------------
+
+_SAMPLED = "kind string, block int, i int, row_id bigint, a double, b double"
+
+
+def _sample_block(table: pa.Table) -> pa.Table:
+    """Five uniform bites of a block, the out-of-bag votes of five made-up trees, the pools, and a steered bite of either kind."""
+    table = table.sort_by("row_id").combine_chunks()
+    ids, y, block = table["row_id"].to_numpy(), table["label"].to_numpy(), table["block"][0].as_py()
+    everything, votes, rows = np.arange(len(ids)), np.zeros((len(ids), 2), np.int64), []
+    put = lambda kind, i, where, a, b: rows.append((kind, i, where, a, b))
+    for i in range(5):
+        bite, _ = sampling.draw_bite(everything, everything[:0], 20, PortableRng(42, block, i))
+        sampling.update_oob(votes, table[f"said{i}"].to_numpy(), bite)
+        which, copies = np.unique(bite, return_counts=True)
+        put("uniform", i, ids[which], copies, copies)
+    right, wrong = sampling.split_pools(votes, y)
+    error = sampling.oob_error(votes, y)
+    voted = votes.sum(axis=1) > 0
+    put("votes", 0, ids[voted], votes[voted, 0], votes[voted, 1])
+    put("split", 0, ids, np.isin(everything, right), np.isin(everything, wrong))
+    put("error", 0, np.zeros(1, int), np.array([error]), np.array([sampling.accept_probability(error)]))
+    bite, _ = sampling.draw_bite(right, wrong, 20, PortableRng(42, block, "importance"))
+    put("importance", 0, ids[bite], np.arange(20) < 10, np.isin(bite, wrong))
+    is_wrong = np.isin(everything, wrong)
+    bite, _ = sampling.draw_bite_rejection(is_wrong, error, 20, PortableRng(42, block, "rejection"))
+    put("rejection", 0, ids[bite], is_wrong[bite], is_wrong[bite])
+    flat = lambda k: np.concatenate([np.asarray(r[k], float if k > 2 else np.int64) for r in rows])
+    n = [len(r[2]) for r in rows]
+    return pa.table({"kind": np.repeat([r[0] for r in rows], n).tolist(), "block": pa.array([block] * sum(n), pa.int32()), "i": pa.array(np.repeat([r[1] for r in rows], n), pa.int32()), "row_id": flat(2), "a": flat(3), "b": flat(4)})
+
+
+def sampled(s, d, kind: str) -> DataFrame:
+    said = lambda i: F.when(portable_hash("stub", F.concat_ws(":", F.lit(str(i)), F.col("row_id").cast("string"))) % 10 < 7, F.col("label")).otherwise(1 - F.col("label")).alias(f"said{i}")
+    rows = blocks.assign_blocks(labelled(s, d), 4).select("row_id", "label", "block", *[said(i) for i in range(5)])
+    return rows.groupBy("block").applyInArrow(_sample_block, _SAMPLED).where(F.col("kind") == kind).drop("kind")
 
-_PART0 = f"(SELECT row_id, vote, row_number() OVER (PARTITION BY row_id ORDER BY tree_id) AS pos FROM {_VOTES} WHERE tree_id % 4 = 0)"
-_JUDGED = f"""(SELECT row_id, pos, ones, stop FROM (SELECT *, row_number() OVER (PARTITION BY row_id ORDER BY (NOT stop)::INT, CASE WHEN stop THEN pos ELSE -pos END) AS rn FROM (
-  SELECT r.*, coalesce(greatest(ones, pos - ones) >= min_lead, false) AS stop FROM (SELECT row_id, pos, sum(vote) OVER (PARTITION BY row_id ORDER BY pos)::BIGINT AS ones FROM {_PART0}) r LEFT JOIN ({thresholds_sql(Rule('g1_fpc', M, ALPHA, 5))}) t ON pos = n)) WHERE rn = 1)"""
 
+_POOLS = """
+WITH b AS (SELECT doc_id AS row_id, (lang = 'en')::INT AS label, ({h[block-42|doc_id]} % 4)::INT AS block FROM documents),
+ranked AS (SELECT block, row_id, row_number() OVER (PARTITION BY block ORDER BY row_id) - 1 AS rk, count(*) OVER (PARTITION BY block) AS size FROM b),
+trees AS (SELECT DISTINCT block, i FROM b, range(5) t(i)),
+drawn AS (SELECT block, i, row_id, count(*) AS copies FROM (SELECT block, i, s, {h[choice-42|concat(block, ':', i, ':', s)]} AS draw FROM trees, range(20) t(s)) JOIN ranked USING (block) WHERE rk = draw % size GROUP BY 1, 2, 3),
+votes AS (SELECT b.block, i, b.row_id, b.label, CASE WHEN {h[stub|concat(i, ':', b.row_id)]} % 10 < 7 THEN b.label ELSE 1 - b.label END AS vote FROM b JOIN trees USING (block)),
+tally AS (SELECT v.block, v.row_id, v.label, sum(1 - vote) AS v0, sum(vote) AS v1 FROM votes v LEFT JOIN drawn d ON v.block = d.block AND v.i = d.i AND v.row_id = d.row_id WHERE d.row_id IS NULL GROUP BY 1, 2, 3),
+split AS (SELECT b.block, b.row_id, b.label, v0 IS NULL OR (v1 > v0)::INT = b.label AS is_right, v0 IS NULL OR (v1 > v0)::INT <> b.label AS is_wrong FROM b LEFT JOIN tally USING (block, row_id)),
+err AS (SELECT block, avg(((v1 > v0)::INT <> label)::INT) AS e FROM tally GROUP BY block)
+"""
+_STEERED = _POOLS + """, pools AS (SELECT block, row_id, is_wrong, 1 AS pool, row_number() OVER (PARTITION BY block ORDER BY row_id) - 1 AS rk, count(*) OVER (PARTITION BY block) AS size FROM split WHERE is_wrong
+UNION ALL SELECT block, row_id, is_wrong, 0, row_number() OVER (PARTITION BY block ORDER BY row_id) - 1, count(*) OVER (PARTITION BY block) FROM split WHERE is_right),
+chosen AS (SELECT p.block, s, p.pool, p.row_id, p.is_wrong FROM (SELECT DISTINCT block FROM b) q, range(20) t(s) JOIN pools p ON p.block = q.block AND p.pool = (s < 10)::INT AND p.rk = {h[choice-42|concat(q.block, ':importance:', s)]} % p.size)
+"""
+add("bite_uniform", lambda s, d: sampled(s, d, "uniform").select("block", "i", "row_id", F.col("a").cast("long").alias("copies")), duck(_POOLS + "SELECT block, i::INT AS i, row_id, copies FROM drawn"))
+add("oob_votes", lambda s, d: sampled(s, d, "votes").select("block", "row_id", F.col("a").cast("long").alias("v0"), F.col("b").cast("long").alias("v1")), duck(_POOLS + "SELECT block, row_id, v0::BIGINT AS v0, v1::BIGINT AS v1 FROM tally"))
+add("oob_split", lambda s, d: sampled(s, d, "split").select("block", "row_id", (F.col("a") == 1).alias("is_right"), (F.col("b") == 1).alias("is_wrong")), duck(_POOLS + "SELECT block, row_id, is_right, is_wrong FROM split"))
+add("oob_error", lambda s, d: sampled(s, d, "error").select("block", F.round("a", 8).alias("error")), duck(_POOLS + "SELECT block, round(e, 8) AS error FROM err"))
+add("accept_probability", lambda s, d: sampled(s, d, "error").select("block", F.round("b", 8).alias("p")), duck(_POOLS + "SELECT block, round(CASE WHEN e >= 0.5 THEN 1 ELSE e / (1 - e) END, 8) AS p FROM err"))
+add("bite_importance", lambda s, d: sampled(s, d, "importance").groupBy("block", F.col("a").cast("int").alias("pool"), "row_id").agg(F.count(F.lit(1)).alias("copies")), duck(_STEERED + "SELECT block, pool, row_id, count(*) AS copies FROM chosen GROUP BY 1, 2, 3"))
+add("bite_composition", lambda s, d: sampled(s, d, "importance").groupBy("block").agg(F.round(F.avg("b"), 8).alias("wrong_share")), duck(_STEERED + "SELECT block, round(avg(is_wrong::INT), 8) AS wrong_share FROM chosen GROUP BY block"))
+add("bite_rejection", lambda s, d: sampled(s, d, "rejection").groupBy("block", "row_id").agg(F.count(F.lit(1)).alias("copies")), duck(_POOLS + """, odds AS (SELECT block, CASE WHEN e >= 0.5 THEN 1 ELSE e / (1 - e) END AS p FROM err),
+shots AS (SELECT block, p, s, {h[integers-42|concat(block, ':rejection:', s)]} AS draw, {h[random-42|concat(block, ':rejection:', s)]} / 4294967296.0::DOUBLE AS u FROM odds, range(400) t(s)),
+taken AS (SELECT block, split.row_id, row_number() OVER (PARTITION BY block ORDER BY s) AS nth FROM shots JOIN ranked USING (block) JOIN split USING (block, row_id) WHERE rk = draw % size AND (is_wrong OR u < p))
+SELECT block, row_id, count(*) AS copies FROM taken WHERE nth <= 20 GROUP BY 1, 2"""))
 
-def _judged(s, d) -> DataFrame:
-    from pyspark.sql import Window
+# -- splits and trees: shares of five letters in whole texts ------------------------------------------------------------
 
-    own = hash_votes(s, d).where("tree_id % 4 = 0").withColumn("pos", F.row_number().over(Window.partitionBy("row_id").orderBy("tree_id")))
-    return scoring.lazy_from_votes(own, Rule("g1_fpc", M, ALPHA, 5))
+LETTERS = "ehntu"
 
 
-def _undecided_tallies(s, d) -> DataFrame:
-    rest = _judged(s, d).where("not stopped_early").select("row_id")
-    return hash_votes(s, d).join(rest, "row_id", "left_semi").groupBy("row_id", (F.col("tree_id") % 4).alias("ens_part"), "vote").agg(F.count(F.lit(1)).alias("n"))
+def letter_features(docs: DataFrame) -> DataFrame:
+    """``row_id, features, label``: shares of five letters, rounded; a null or empty text has share 0.
 
+    Three of ten labels are flipped, by hash, so that members differ.
+    """
+    n = F.char_length("text")
+    share = lambda c: F.when(n > 0, F.round((n - F.char_length(F.replace(F.col("text"), F.lit(c), F.lit("")))) / n, 6)).otherwise(F.lit(0.0))
+    return docs.select(F.col("doc_id").alias("row_id"), F.array(*[share(c) for c in LETTERS]).alias("features"), F.when(portable_hash("flip", F.col("doc_id")) % 10 < 3, F.col("lang") != "en").otherwise(F.col("lang") == "en").cast("int").alias("label"))
 
-def _union(s, d) -> DataFrame:
-    decided = _judged(s, d).where("stopped_early").select("row_id", "prediction", F.lit("committee").alias("stage"))
-    return decided.unionByName(committee.sum_tallies(_undecided_tallies(s, d)).select("row_id", "prediction", F.lit("full").alias("stage")))
 
+def letter_rows(s, d) -> DataFrame:
+    """The same of the documents, with ``block``."""
+    return blocks.assign_blocks(letter_features(load(s, d, "documents")), 4)
 
-add("committee_decided", lambda s, d: _judged(s, d).where("stopped_early").select("row_id", "prediction", "votes_used"), f"SELECT row_id, (2 * ones > pos)::INT AS prediction, pos::INT AS votes_used FROM {_JUDGED} WHERE stop")
-add("committee_tallies", _undecided_tallies, f"SELECT row_id, (tree_id % 4)::INT AS ens_part, vote, count(*) AS n FROM {_VOTES} WHERE row_id IN (SELECT row_id FROM {_JUDGED} WHERE NOT stop) GROUP BY 1, 2, 3")
-add("committee_union", _union, f"SELECT j.row_id, CASE WHEN stop THEN (2 * ones > pos)::INT ELSE f.prediction END AS prediction, CASE WHEN stop THEN 'committee' ELSE 'full' END AS stage FROM {_JUDGED} j JOIN {_MAJORITY} f USING (row_id)")
-both("simulate_small", """
-WITH x AS (SELECT id, {r[1;32]} AS i FROM (SELECT doc_id AS id FROM documents) t),
-v AS (SELECT id, i, CASE WHEN {h[sv|concat(cast(i as varchar(9)), ':', cast(id as varchar(20)))]} < {h[sp|id]} THEN 1 ELSE 0 END AS one FROM x)
-SELECT id, CASE WHEN 2 * sum(one) > 32 THEN 1 ELSE 0 END AS full_class, CASE WHEN {h[sp|id]} >= 2147483648 THEN 1 ELSE 0 END AS label, cast(sum(CASE WHEN i <= 15 THEN one ELSE 0 END) AS bigint) AS first15 FROM v GROUP BY id""")
 
-# -- bites and out-of-bag votes ---------------------------------------------------------------------------------
+def letter_name(feature: str = "feature"):
+    return F.element_at(F.array(*[F.lit(c) for c in LETTERS]), F.col(feature) + 1)
 
-_POOLS = """
-WITH b AS (SELECT doc_id AS row_id, CASE WHEN lang = 'en' THEN 1 ELSE 0 END AS label, {h[block|doc_id]} % 4 AS block FROM documents),
-bites AS (SELECT block, i, s, {h[bite|concat(cast(block as varchar(9)), ':', cast(i as varchar(9)), ':', cast(s as varchar(9)))]} AS draw FROM (SELECT block, i, {r[0;19]} AS s FROM (SELECT block, {r[0;4]} AS i FROM (SELECT DISTINCT block FROM b) t) u) v),
-ranked AS (SELECT block, row_id, row_number() OVER (PARTITION BY block ORDER BY {h[ord|row_id]}, row_id) - 1 AS rk, count(*) OVER (PARTITION BY block) AS size FROM b),
-drawn AS (SELECT bites.block, i, row_id, count(*) AS copies FROM bites JOIN ranked ON bites.block = ranked.block AND rk = draw % size GROUP BY bites.block, i, row_id),
-votes AS (SELECT b.block, t.i, b.row_id, b.label, CASE WHEN {h[stub|concat(cast(t.i as varchar(9)), ':', cast(b.row_id as varchar(20)))]} % 10 < 7 THEN b.label ELSE 1 - b.label END AS vote FROM b JOIN (SELECT DISTINCT block, i FROM bites) t ON b.block = t.block),
-oob AS (SELECT v.* FROM votes v LEFT JOIN drawn d ON v.block = d.block AND v.i = d.i AND v.row_id = d.row_id WHERE d.row_id IS NULL),
-tally AS (SELECT block, row_id, label, cast(sum(CASE WHEN vote = 0 THEN 1 ELSE 0 END) AS bigint) AS v0, cast(sum(vote) AS bigint) AS v1 FROM oob GROUP BY block, row_id, label),
-split AS (SELECT b.block, b.row_id, b.label, coalesce(v0, 0) AS v0, coalesce(v1, 0) AS v1, CASE WHEN v0 IS NULL OR (CASE WHEN v1 > v0 THEN 1 ELSE 0 END) = b.label THEN 1 ELSE 0 END AS is_right, CASE WHEN v0 IS NULL OR (CASE WHEN v1 > v0 THEN 1 ELSE 0 END) <> b.label THEN 1 ELSE 0 END AS is_wrong FROM b LEFT JOIN tally ON b.row_id = tally.row_id)
-"""
-both("bite_uniform", _POOLS + "SELECT block, i, row_id, copies FROM drawn")
-both("oob_votes", _POOLS + "SELECT block, row_id, v0, v1 FROM tally")
-both("oob_split", _POOLS + "SELECT block, row_id, is_right, is_wrong FROM split")
-both("oob_error", _POOLS + "SELECT block, round(avg(CASE WHEN (CASE WHEN v1 > v0 THEN 1 ELSE 0 END) <> label THEN 1.0E0 ELSE 0.0E0 END), 6) AS error FROM tally GROUP BY block")
-_IMPORTANCE = _POOLS + """, pools AS (SELECT block, row_id, 'right' AS pool FROM split WHERE is_right = 1 UNION ALL SELECT block, row_id, 'wrong' FROM split WHERE is_wrong = 1),
-pr AS (SELECT block, pool, row_id, row_number() OVER (PARTITION BY block, pool ORDER BY {h[ord|row_id]}, row_id) - 1 AS rk, count(*) OVER (PARTITION BY block, pool) AS size FROM pools),
-slots AS (SELECT block, s, CASE WHEN s < 10 THEN 'right' ELSE 'wrong' END AS pool, {h[imp|concat(cast(block as varchar(9)), ':', cast(s as varchar(9)))]} AS draw FROM (SELECT block, {r[0;19]} AS s FROM (SELECT DISTINCT block FROM b) t) u),
-chosen AS (SELECT slots.block, slots.pool, row_id, count(*) AS copies FROM slots JOIN pr ON slots.block = pr.block AND slots.pool = pr.pool AND rk = draw % size GROUP BY slots.block, slots.pool, row_id)
-"""
-both("bite_importance", _IMPORTANCE + "SELECT block, pool, row_id, copies FROM chosen")
-both("bite_composition", _IMPORTANCE + "SELECT block, round(sum(CASE WHEN pool = 'wrong' THEN copies ELSE 0 END) * 1.0E0 / sum(copies), 6) AS wrong_share FROM chosen GROUP BY block")
-_REJECT = _POOLS + """, err AS (SELECT block, avg(CASE WHEN (CASE WHEN v1 > v0 THEN 1 ELSE 0 END) <> label THEN 1.0E0 ELSE 0.0E0 END) AS e FROM tally GROUP BY block),
-odds AS (SELECT block, CASE WHEN e >= 0.5 THEN 1.0E0 ELSE e / (1 - e) END AS p FROM err)
-"""
-both("accept_probability", _REJECT + "SELECT block, round(p, 6) AS p FROM odds")
-both("bite_rejection", _REJECT + "SELECT split.block, row_id FROM split JOIN odds ON split.block = odds.block WHERE is_wrong = 1 OR {h[rej|row_id]} < p * 4294967296.0E0")
 
-# -- splits and trees -------------------------------------------------------------------------------------------
-
-_LETTERS = "ehntu"
-_LONG = "WITH x AS (" + " UNION ALL ".join(f"SELECT doc_id AS row_id, {{h[block|doc_id]}} % 4 AS block, CASE WHEN lang = 'en' THEN 1 ELSE 0 END AS label, '{c}' AS feature, CASE WHEN length(text) > 0 THEN round((length(text) - length(replace(text, '{c}', ''))) * 1.0E0 / length(text), 6) ELSE 0.0E0 END AS value FROM documents" for c in _LETTERS) + ")"
+_LONG = "WITH x AS (" + " UNION ALL ".join(f"SELECT doc_id AS row_id, ({{h[block-42|doc_id]}} % 4)::INT AS block, ((lang = 'en') <> ({{h[flip|doc_id]}} % 10 < 3))::INT AS label, '{c}' AS feature, {k} AS f, CASE WHEN length(text) > 0 THEN round((length(text) - length(replace(text, '{c}', '')))::DOUBLE / length(text), 6) ELSE 0::DOUBLE END AS value FROM documents" for k, c in enumerate(LETTERS)) + ")"
 
 
 def _ent(a: str, b: str) -> str:
-    part = lambda q: f"(CASE WHEN {q} > 0 THEN -({q} * 1.0E0 / ({a} + {b})) * ln({q} * 1.0E0 / ({a} + {b})) / ln(2.0E0) ELSE 0.0E0 END)"
+    part = lambda q: f"(CASE WHEN {q} > 0 THEN -({q}::DOUBLE / ({a} + {b})) * log2({q}::DOUBLE / ({a} + {b})) ELSE 0 END)"
     return f"({part(a)} + {part(b)})"
 
 
+_GAIN = f"round({_ent('tp', '(tn - tp)')} - (n_low * {_ent('lp', '(n_low - lp)')} + (tn - n_low) * {_ent('(tp - lp)', '(tn - n_low - tp + lp)')}) / tn, 10)"
+
+
 def _splits(group: str) -> str:
     """Best cut of every group: cumulative class counts by value, gain at each change of value."""
     key = f"{group}, " if group else ""
-    part = f"PARTITION BY {key}feature"
-    return _LONG + f""", c AS (SELECT {key}feature, value, sum(label) AS p, count(*) AS n FROM x GROUP BY {key}feature, value),
-r AS (SELECT {key}feature, value, lead(value) OVER (PARTITION BY {key}feature ORDER BY value) AS nxt, sum(p) OVER (PARTITION BY {key}feature ORDER BY value) AS lp, sum(n) OVER (PARTITION BY {key}feature ORDER BY value) AS ln_, sum(p) OVER ({part}) AS tp, sum(n) OVER ({part}) AS tn FROM c),
-g AS (SELECT {key}feature, round((value + nxt) / 2, 7) AS threshold, round({_ent('tp', '(tn - tp)')} - (ln_ * {_ent('lp', '(ln_ - lp)')} + (tn - ln_) * {_ent('(tp - lp)', '(tn - ln_ - tp + lp)')}) / tn, 8) AS gain FROM r WHERE nxt IS NOT NULL)
-SELECT {key}feature, threshold, gain FROM (SELECT *, row_number() OVER ({f'PARTITION BY {group} ' if group else ''}ORDER BY gain DESC, feature, threshold) AS rn FROM g) t WHERE rn = 1"""
+    part = f"PARTITION BY {key}f"
+    return duck(_LONG + f""", c AS (SELECT {key}f, feature, value, sum(label) AS p, count(*) AS n FROM x GROUP BY {key}f, feature, value),
+r AS (SELECT {key}f, feature, value, lead(value) OVER w AS nxt, sum(p) OVER w AS lp, sum(n) OVER w AS n_low, sum(p) OVER ({part}) AS tp, sum(n) OVER ({part}) AS tn FROM c WINDOW w AS ({part} ORDER BY value)),
+g AS (SELECT {key}f, feature, (value + nxt) / 2 AS threshold, {_GAIN} AS gain FROM r WHERE nxt IS NOT NULL)
+SELECT {key}feature, round(threshold, 8) AS threshold, gain FROM (SELECT *, row_number() OVER ({f'PARTITION BY {group} ' if group else ''}ORDER BY gain DESC, f, threshold) AS rn FROM g) t WHERE rn = 1""")
+
+
+def _split_of_block(table: pa.Table) -> pa.Table:
+    x, y = matrix(table["features"].combine_chunks()), table["label"].to_numpy().astype(np.int64)
+    column, threshold, gain = tree.best_split(x, y, 2)
+    return pa.table({"block": table["block"][:1].cast(pa.int32()), "feature": pa.array([column], pa.int32()), "threshold": [threshold], "gain": [gain]})
+
+
+def _cut_columns() -> list:
+    return [letter_name().alias("feature"), F.round("threshold", 8).alias("threshold"), F.round("gain", 10).alias("gain")]
 
 
-both("best_split_root", _splits(""))
-both("best_split_per_block", _splits("block"))
-both("entropy_by_feature", _LONG + f" SELECT feature, round({_ent('sum(label)', '(count(*) - sum(label))')}, 8) AS entropy, round(avg(value), 8) AS mean FROM x GROUP BY feature")
+add("best_split_root", lambda s, d: splits.best_splits(letter_rows(s, d)).select(*_cut_columns()), _splits(""))
+add("best_split_by_block", lambda s, d: splits.best_splits(letter_rows(s, d), group=("block",)).select("block", *_cut_columns()), _splits("block"))
+add("best_split_per_block", lambda s, d: letter_rows(s, d).groupBy("block").applyInArrow(_split_of_block, "block int, feature int, threshold double, gain double").select("block", *_cut_columns()), _splits("block"))
+
+
+def _entropy_by_feature(s, d) -> DataFrame:
+    long = letter_rows(s, d).select("label", F.posexplode("features").alias("feature", "value"))
+    counts = long.groupBy("feature").agg(*splits.class_counts(2), F.round(F.avg("value"), 8).alias("mean"))
+    return counts.select(letter_name().alias("feature"), F.round(splits.entropy_column([F.col("n0"), F.col("n1")]), 8).alias("entropy"), "mean")
+
+
+add("entropy_by_feature", _entropy_by_feature, duck(_LONG + f" SELECT feature, round({_ent('sum(label)', '(count(*) - sum(label))')}, 8) AS entropy, round(avg(value), 8) AS mean FROM x GROUP BY feature"))
 _NODES = "nodes(tree_id, node, feature, threshold, lft, rgt, cls) AS (VALUES (0, 0, -1, 0.0E0, -1, -1, 1), (1, 0, 0, 0.12E0, 1, 2, 0), (1, 1, -1, 0.0E0, -1, -1, 0), (1, 2, -1, 0.0E0, -1, -1, 1), (2, 0, 1, 0.03E0, 1, 2, 0), (2, 1, 0, 0.10E0, 3, 4, 0), (2, 2, -1, 0.0E0, -1, -1, 1), (2, 3, -1, 0.0E0, -1, -1, 0), (2, 4, 2, 0.08E0, 5, 6, 0), (2, 5, -1, 0.0E0, -1, -1, 1), (2, 6, -1, 0.0E0, -1, -1, 0))"
-_ROWS = "f AS (SELECT doc_id AS row_id, " + ", ".join(f"(length(text) - length(replace(text, '{c}', ''))) * 1.0E0 / length(text) AS x{i}" for i, c in enumerate("eht")) + " FROM documents)"
-both("predict_nodes", f"WITH RECURSIVE {_NODES}, {_ROWS}, walk(row_id, tree_id, node, depth) AS (SELECT row_id, tree_id, 0, 0 FROM f CROSS JOIN (SELECT DISTINCT tree_id FROM nodes) t UNION ALL SELECT w.row_id, w.tree_id, CASE WHEN (CASE n.feature WHEN 0 THEN x0 WHEN 1 THEN x1 ELSE x2 END) <= n.threshold THEN n.lft ELSE n.rgt END, w.depth + 1 FROM walk w JOIN nodes n ON w.tree_id = n.tree_id AND w.node = n.node JOIN f ON w.row_id = f.row_id WHERE n.feature >= 0) SELECT w.row_id, w.tree_id, n.cls AS prediction, w.depth FROM walk w JOIN nodes n ON w.tree_id = n.tree_id AND w.node = n.node WHERE n.feature < 0")
-both("model_size_nodes", f"WITH {_NODES} SELECT tree_id, count(*) AS nodes, count(*) * 32 AS bytes, sum(CASE WHEN feature < 0 THEN 1 ELSE 0 END) * 1.0E0 / count(*) AS leaf_share FROM nodes GROUP BY tree_id")
-
-# -- a whole forest of stumps: blocks, bites by hash, exact splits, votes, majority --------------------------------
-
-_STUMPS = _LONG + """, train AS (SELECT * FROM x WHERE {h[split|row_id]} % 5 <> 0), test AS (SELECT * FROM x WHERE {h[split|row_id]} % 5 = 0),
-ids AS (SELECT DISTINCT block, row_id FROM train),
-ranked AS (SELECT block, row_id, row_number() OVER (PARTITION BY block ORDER BY {h[ord|row_id]}, row_id) - 1 AS rk, count(*) OVER (PARTITION BY block) AS size FROM ids),
-slots AS (SELECT block, i, s, {h[bag|concat(cast(block as varchar(9)), ':', cast(i as varchar(9)), ':', cast(s as varchar(9)))]} AS draw FROM (SELECT block, i, {r[0;59]} AS s FROM (SELECT block, {r[0;4]} AS i FROM (SELECT DISTINCT block FROM ids) t) u) v),
-bite AS (SELECT slots.block, i, row_id FROM slots JOIN ranked ON slots.block = ranked.block AND rk = draw % size),
-tried AS (SELECT block, i, feature FROM (SELECT block, i, feature, row_number() OVER (PARTITION BY block, i ORDER BY {h[attr|concat(cast(block as varchar(9)), ':', cast(i as varchar(9)), ':', feature)]}, feature) AS rn FROM (SELECT DISTINCT block, i FROM slots) a CROSS JOIN (SELECT DISTINCT feature FROM x) b) c WHERE rn <= 3),
-c AS (SELECT bite.block, bite.i, train.feature, value, sum(label) AS p, count(*) AS n FROM bite JOIN train ON bite.row_id = train.row_id JOIN tried ON tried.block = bite.block AND tried.i = bite.i AND tried.feature = train.feature GROUP BY bite.block, bite.i, train.feature, value),
-r AS (SELECT block, i, feature, value, lead(value) OVER w AS nxt, sum(p) OVER w AS lp, sum(n) OVER w AS ln_, sum(p) OVER t AS tp, sum(n) OVER t AS tn FROM c WINDOW w AS (PARTITION BY block, i, feature ORDER BY value), t AS (PARTITION BY block, i, feature)),
-g AS (SELECT *, round((value + nxt) / 2, 7) AS threshold, round(ENT_ALL - (ln_ * ENT_LOW + (tn - ln_) * ENT_HIGH) / tn, 8) AS gain FROM r WHERE nxt IS NOT NULL),
-stump AS (SELECT block, i, feature, threshold, CASE WHEN 2 * lp > ln_ THEN 1 ELSE 0 END AS lcls, CASE WHEN 2 * (tp - lp) > tn - ln_ THEN 1 ELSE 0 END AS rcls FROM (SELECT *, row_number() OVER (PARTITION BY block, i ORDER BY gain DESC, feature, threshold) AS rn FROM g) q WHERE rn = 1),
-vote AS (SELECT test.row_id, test.label, stump.block * 5 + stump.i AS tree, CASE WHEN value <= threshold THEN lcls ELSE rcls END AS vote FROM test JOIN stump ON test.feature = stump.feature),
-full_vote AS (SELECT row_id, label, cast(sum(vote) AS bigint) AS ones, count(*) AS m, CASE WHEN 2 * sum(vote) > count(*) THEN 1 ELSE 0 END AS prediction FROM vote GROUP BY row_id, label)
+
+
+def hand_written(s) -> MegaForest:
+    """The three trees of ``_NODES`` as a forest: a leaf, a stump, one of depth 3."""
+    trees = [(0, [-1], [0.0], [-1], [-1], [1], 0), (1, [0, -1, -1], [0.12, 0.0, 0.0], [1, -1, -1], [2, -1, -1], [0, 0, 1], 1), (2, [1, 0, -1, -1, 2, -1, -1], [0.03, 0.10, 0.0, 0.0, 0.08, 0.0, 0.0], [1, 3, -1, -1, 5, -1, -1], [2, 4, -1, -1, 6, -1, -1], [0, 0, 1, 0, 0, 1, 0], 3)]
+    rows = [(0, i, 0, i, 0, f, t, a, b, c, [], 0, depth, len(f), None, False, 0) for i, f, t, a, b, c, depth in trees]
+    return MegaForest(s.createDataFrame(rows, TREE), ForestParams(n_trees=3, n_blocks=1, n_parts=1))
+
+
+_WIDE = "f AS (SELECT doc_id AS row_id, " + ", ".join(f"CASE WHEN length(text) > 0 THEN round((length(text) - length(replace(text, '{c}', '')))::DOUBLE / length(text), 6) ELSE 0::DOUBLE END AS x{i}" for i, c in enumerate(LETTERS)) + " FROM documents)"
+_WALK = "CASE n.feature " + " ".join(f"WHEN {i} THEN x{i}" for i in range(len(LETTERS))) + " END"
+add("predict_nodes", lambda s, d: scoring.votes_by_tree(hand_written(s), letter_rows(s, d)), f"WITH RECURSIVE {_NODES}, {_WIDE}, walk(row_id, tree_id, node) AS (SELECT row_id, tree_id, 0 FROM f, (SELECT DISTINCT tree_id FROM nodes) t UNION ALL SELECT w.row_id, w.tree_id, CASE WHEN {_WALK} <= n.threshold THEN n.lft ELSE n.rgt END FROM walk w JOIN nodes n ON w.tree_id = n.tree_id AND w.node = n.node JOIN f ON w.row_id = f.row_id WHERE n.feature >= 0) SELECT w.row_id, w.tree_id::BIGINT AS tree_id, n.cls AS vote FROM walk w JOIN nodes n ON w.tree_id = n.tree_id AND w.node = n.node WHERE n.feature < 0")
+add("model_size_nodes", lambda s, d: hand_written(s).size().withColumn("mean_nodes", F.round("mean_nodes", 8)), f"WITH RECURSIVE {_NODES}, walk(tree_id, node, depth) AS (SELECT DISTINCT tree_id, 0, 0 FROM nodes UNION ALL SELECT w.tree_id, unnest([n.lft, n.rgt]), depth + 1 FROM walk w JOIN nodes n ON w.tree_id = n.tree_id AND w.node = n.node WHERE n.feature >= 0) SELECT count(DISTINCT tree_id) AS trees, count(*) AS nodes, (count(*) * 32)::BIGINT AS bytes, round(count(*)::DOUBLE / count(DISTINCT tree_id), 8) AS mean_nodes, (SELECT max(depth) FROM walk) AS max_depth FROM nodes")
+add("tree_nodes_table", lambda s, d: hand_written(s).nodes().select("tree_id", "node", "feature", "threshold", F.col("left").alias("lft"), F.col("right").alias("rgt"), F.col("leaf_class").alias("cls")), f"WITH {_NODES} SELECT tree_id::BIGINT AS tree_id, node, feature, threshold::DOUBLE AS threshold, lft, rgt, cls FROM nodes")
+
+# -- whole forests of stumps: blocks, bites, exact splits, votes, committees; training as it is, with portable draws ---------------
+
+STUMPS = ForestParams(n_trees=5, bite_size=60, n_blocks=4, n_parts=4, sampler="bagging", learner="stump", draws="portable")
+STEERED = ForestParams(n_trees=3, bite_size=20, n_blocks=4, n_parts=4, sampler="importance", learner="stump", draws="portable", n_attr=5)
+
+
+def stump_sets(s, d) -> tuple[DataFrame, DataFrame]:
+    return fx.split_grouped(letter_rows(s, d), F.col("row_id"))
+
+
+def stump_forest(s, d, params: ForestParams = STUMPS) -> tuple[MegaForest, DataFrame]:
+    """(forest, test rows)."""
+    train, test = stump_sets(s, d)
+    return train_mega_forest(train, params), test
+
+
+def _stump_rows(forest: MegaForest) -> DataFrame:
+    leaf = lambda side: F.element_at("leaf_class", F.element_at(side, 1) + 1)
+    root = forest.trees.withColumn("f", F.element_at("feature", 1))
+    return root.select("block", "iter", letter_name("f").alias("feature"), F.round(F.element_at("threshold", 1), 8).alias("threshold"), leaf("left").alias("lcls"), leaf("right").alias("rcls"))
+
+
+_STUMPS = _LONG + f""", train AS (SELECT * FROM x WHERE {{h[split|row_id]}} % 5 <> 0), test AS (SELECT * FROM x WHERE {{h[split|row_id]}} % 5 = 0),
+ranked AS (SELECT block, row_id, row_number() OVER (PARTITION BY block ORDER BY row_id) - 1 AS rk, count(*) OVER (PARTITION BY block) AS size FROM (SELECT DISTINCT block, row_id FROM train)),
+trees AS (SELECT DISTINCT block, i FROM ranked, range(5) t(i)),
+slots AS (SELECT block, i, s, {{h[choice-42|concat(block, ':', i, ':', s)]}} AS draw FROM trees, range(60) t(s)),
+bite AS (SELECT block, i, row_id FROM slots JOIN ranked USING (block) WHERE rk = draw % size),
+tried AS (SELECT block, i, f FROM (SELECT block, i, f, row_number() OVER (PARTITION BY block, i ORDER BY {{h[permutation-42|concat(block, ':', i, ':', f)]}}, f) AS rn FROM trees, range(5) t(f)) WHERE rn <= 3),
+c AS (SELECT bite.block, bite.i, train.f, train.feature, value, sum(label) AS p, count(*) AS n FROM bite JOIN train ON bite.row_id = train.row_id JOIN tried ON tried.block = bite.block AND tried.i = bite.i AND tried.f = train.f GROUP BY ALL),
+r AS (SELECT block, i, f, feature, value, lead(value) OVER w AS nxt, sum(p) OVER w AS lp, sum(n) OVER w AS n_low, sum(p) OVER t AS tp, sum(n) OVER t AS tn FROM c WINDOW w AS (PARTITION BY block, i, f ORDER BY value), t AS (PARTITION BY block, i, f)),
+g AS (SELECT *, (value + nxt) / 2 AS threshold, {_GAIN} AS gain FROM r WHERE nxt IS NOT NULL),
+stump AS (SELECT block, i, f, feature, threshold, (2 * lp > n_low)::INT AS lcls, (2 * (tp - lp) > tn - n_low)::INT AS rcls FROM (SELECT *, row_number() OVER (PARTITION BY block, i ORDER BY gain DESC, f, threshold) AS rn FROM g) WHERE rn = 1),
+vote AS (SELECT test.row_id, test.label, stump.block * 1000000 + stump.i AS tree_id, {{h[part-42|concat(stump.block, ':', stump.i)]}} % 4 AS part, CASE WHEN value <= threshold THEN lcls ELSE rcls END AS vote FROM test JOIN stump ON test.f = stump.f),
+full_vote AS (SELECT row_id, label, sum(vote) AS ones, count(*) AS m, (2 * sum(vote) > count(*))::INT AS prediction FROM vote GROUP BY 1, 2)
+"""
+add("stump_forest_trees", lambda s, d: _stump_rows(stump_forest(s, d)[0]), duck(_STUMPS + 'SELECT block, i::INT AS "iter", feature, round(threshold, 8) AS threshold, lcls, rcls FROM stump'))
+add("stump_forest_bagging", lambda s, d: scoring.predict_full(*stump_forest(s, d)).select("row_id", "prediction", "votes_used", F.round("leader_share", 8).alias("leader_share")), duck(_STUMPS + "SELECT row_id, prediction, m::INT AS votes_used, round(greatest(ones, m - ones)::DOUBLE / m, 8) AS leader_share FROM full_vote"))
+
+
+def _stump_lazy(s, d) -> DataFrame:
+    return scoring.predict_lazy(*stump_forest(s, d), rule="certain", portable=True).select("row_id", "prediction", "votes_used", "stopped_early")
+
+
+#: From the votes of all members: those of a ring from a row's own place on, until more than half of 20 agree.
+STUMP_LAZY_SQL = duck(_STUMPS + """, place AS (SELECT tree_id, row_number() OVER (ORDER BY {h[permute|tree_id]}, tree_id) - 1 AS nth FROM (SELECT DISTINCT tree_id FROM vote)),
+ring AS (SELECT row_id, vote, (nth - {h[offset-7|row_id]} % 20 + 20) % 20 + 1 AS pos FROM vote JOIN place USING (tree_id)),
+run AS (SELECT row_id, pos, sum(vote) OVER (PARTITION BY row_id ORDER BY pos) AS ones FROM ring),
+stops AS (SELECT row_id, min(CASE WHEN pos = 20 OR greatest(ones, pos - ones) > 10 THEN pos END) AS used FROM run GROUP BY row_id)
+SELECT row_id, (2 * ones > used)::INT AS prediction, used::INT AS votes_used, used < 20 AS stopped_early FROM stops JOIN run USING (row_id) WHERE pos = used""")
+add("stump_forest_lazy", _stump_lazy, STUMP_LAZY_SQL)
+
+
+def _stump_accuracy(s, d) -> DataFrame:
+    forest, test = stump_forest(s, d)
+    return measures.accuracy(scoring.predict_full(forest, test), test).select(F.round("accuracy", 8).alias("accuracy"))
+
+
+add("stump_forest_metrics", _stump_accuracy, duck(_STUMPS + "SELECT round(avg((prediction = label)::INT), 8) AS accuracy FROM full_vote"))
+add("stump_forest_grid", lambda s, d: scoring.accuracy_grid(*stump_forest(s, d), [(q, k) for q in (1, 2, 4) for k in (1, 3, 5)]).withColumn("accuracy", F.round("accuracy", 8)), duck(_STUMPS + """, cell AS (SELECT q, k, row_id, label, sum(vote) AS ones, count(*) AS m FROM vote, (VALUES (1), (2), (4)) a(q), (VALUES (1), (3), (5)) b(k) WHERE tree_id // 1000000 < q AND tree_id % 1000000 < k GROUP BY ALL)
+SELECT q AS blocks, k AS local_size, max(m)::BIGINT AS trees, round(avg(((2 * ones > m)::INT = label)::INT), 8) AS accuracy FROM cell GROUP BY q, k"""))
+add("stump_forest_union", lambda s, d: scoring.predict_full((lambda f, t: f.restrict(2).union(MegaForest(f.trees.where("block >= 2"), f.params)))(*stump_forest(s, d)), stump_sets(s, d)[1]).select("row_id", "prediction", "votes_used"), duck(_STUMPS + "SELECT row_id, prediction, m::INT AS votes_used FROM full_vote"))
+
+# -- committees of the stump forest: one part of four judges, the others are asked for undecided rows --------------------------
+
+_JUDGE = Rule("g1_fpc", 20, 0.01, 3)
+_JUDGED = _STUMPS + f""", place AS (SELECT tree_id, part, row_number() OVER (PARTITION BY part ORDER BY {{h[permute|tree_id]}}, tree_id) - 1 AS nth, count(*) OVER (PARTITION BY part) AS size FROM (SELECT DISTINCT tree_id, part FROM vote)),
+ring AS (SELECT row_id, vote, (nth - {{h[offset-3|row_id]}} % size + size) % size + 1 AS pos, size FROM vote JOIN place USING (tree_id) WHERE vote.part = {{h[committee-3|row_id]}} % 4),
+run AS (SELECT row_id, pos, size, sum(vote) OVER (PARTITION BY row_id ORDER BY pos) AS ones FROM ring),
+tested AS (SELECT run.*, coalesce(greatest(ones, pos - ones) >= min_lead, false) AS stop FROM run LEFT JOIN ({thresholds_sql(_JUDGE)}) t ON t.n = pos),
+judged AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY row_id ORDER BY stop DESC, CASE WHEN stop THEN pos ELSE -pos END) AS rn FROM tested) WHERE rn = 1)
 """
-_STUMPS = _STUMPS.replace("ENT_ALL", _ent("tp", "(tn - tp)")).replace("ENT_LOW", _ent("lp", "(ln_ - lp)")).replace("ENT_HIGH", _ent("(tp - lp)", "(tn - ln_ - tp + lp)"))
-both("stump_forest_trees", _STUMPS + "SELECT block, i, feature, threshold, lcls, rcls FROM stump")
-both("stump_forest_bagging", _STUMPS + "SELECT row_id, label, ones, m, prediction FROM full_vote")
-both("stump_forest_lazy", _STUMPS + """, ring AS (SELECT row_id, label, vote, row_number() OVER (PARTITION BY row_id ORDER BY (tree + 20 - {h[off|row_id]} % 20) % 20, tree) AS pos FROM vote),
-run AS (SELECT row_id, label, pos, sum(vote) OVER (PARTITION BY row_id ORDER BY pos) AS ones FROM ring),
-stops AS (SELECT row_id, label, min(CASE WHEN pos >= 20 OR (CASE WHEN 2 * ones > pos THEN ones ELSE pos - ones END) > 10 THEN pos END) AS used FROM run GROUP BY row_id, label)
-SELECT stops.row_id, stops.label, used, CASE WHEN 2 * run.ones > run.pos THEN 1 ELSE 0 END AS prediction FROM stops JOIN run ON stops.row_id = run.row_id AND run.pos = used""")
-both("stump_forest_metrics", _STUMPS + "SELECT count(*) AS n, round(avg(CASE WHEN prediction = label THEN 1.0E0 ELSE 0.0E0 END), 6) AS accuracy FROM full_vote")
+
+
+def _first_pass(s, d) -> tuple[MegaForest, DataFrame]:
+    forest, test = stump_forest(s, d)
+    return forest, committee.committee_pass(forest, test, "g1_fpc", 0.01, min_votes=3, portable=True)
+
+
+def _undecided(s, d, ask) -> DataFrame:
+    forest, first = _first_pass(s, d)
+    return ask(forest, first.where("not stopped_early"))
+
+
+def _committee(s, d, **options) -> DataFrame:
+    return committee.committee_predict(*stump_forest(s, d), "g1_fpc", 0.01, min_votes=3, portable=True, **options).select("row_id", "prediction", "votes_used", "stage")
+
+
+_UNION = _JUDGED + "SELECT f.row_id, CASE WHEN stop THEN (2 * j.ones > pos)::INT ELSE f.prediction END AS prediction, CASE WHEN stop THEN pos ELSE m END::INT AS votes_used, CASE WHEN stop THEN 'committee' ELSE 'full' END AS stage FROM full_vote f LEFT JOIN judged j USING (row_id)"
+COMMITTEE_SQL = duck(_UNION)
+add("committee_decided", lambda s, d: _first_pass(s, d)[1].where("stopped_early").select("row_id", "prediction", "votes_used"), duck(_JUDGED + "SELECT row_id, (2 * ones > pos)::INT AS prediction, pos::INT AS votes_used FROM judged WHERE stop"))
+add("committee_tallies", lambda s, d: _undecided(s, d, committee.partition_tallies).where("n > 0"), duck(_JUDGED + "SELECT part::INT AS ens_part, row_id, vote, count(*) AS n FROM vote WHERE row_id NOT IN (SELECT row_id FROM judged WHERE stop) GROUP BY ALL"))
+add("committee_tallies_broadcast", lambda s, d: _undecided(s, d, committee.tallies_by_broadcast).groupBy("row_id", "vote").agg(F.sum("n").alias("n")).where("n > 0"), duck(_JUDGED + "SELECT row_id, vote, count(*) AS n FROM vote WHERE row_id NOT IN (SELECT row_id FROM judged WHERE stop) GROUP BY ALL"))
+add("committee_union", _committee, COMMITTEE_SQL)
+add("committee_stats", lambda s, d: committee.committee_stats(_committee(s, d)).select("rows", "undecided", F.round("undecided_rate", 8).alias("undecided_rate"), F.round("mean_votes", 8).alias("mean_votes")), duck(f"SELECT count(*) AS rows, count(*) FILTER (WHERE stage = 'full') AS undecided, round(avg((stage = 'full')::INT), 8) AS undecided_rate, round(avg(votes_used), 8) AS mean_votes FROM ({_UNION})"))
 
 # -- stumps on importance bites: three rounds, each bite drawn from the out-of-bag pools of the stumps before it ---------
 
@@ -322,30 +471,43 @@ _ROUNDS = 3
 
 
 def _round(k: int) -> str:
-    """Bite k (10 slots from either pool, an empty pool falls back to the other), its stump, and the votes after it."""
-    pred = "CASE WHEN v1 > v0 THEN 1 ELSE 0 END"
-    slot = f"concat('{k}:', cast(block as varchar(9)), ':', cast(pool as varchar(9)), ':', cast(s as varchar(9)))"
+    """Bite k (10 draws from either pool, the wrong one first; an empty pool falls back to the other), its stump, the votes after it."""
+    pred = "(v1 > v0)::INT"
     return f""",
-split{k} AS (SELECT *, CASE WHEN v0 + v1 = 0 OR {pred} = label THEN 1 ELSE 0 END AS is_right, CASE WHEN v0 + v1 = 0 OR {pred} <> label THEN 1 ELSE 0 END AS is_wrong FROM state{k - 1}),
-full{k} AS (SELECT *, max(is_right) OVER (PARTITION BY block) AS any_right, max(is_wrong) OVER (PARTITION BY block) AS any_wrong FROM split{k}),
-both{k} AS (SELECT *, {{r[0;1]}} AS pool FROM full{k}),
-member{k} AS (SELECT *, CASE WHEN pool = 0 AND (is_right = 1 OR any_right = 0) OR pool = 1 AND (is_wrong = 1 OR any_wrong = 0) THEN 1 ELSE 0 END AS inside FROM both{k}),
-rank{k} AS (SELECT *, sum(inside) OVER (PARTITION BY block, pool ORDER BY {{h[ord|row_id]}}, row_id) - 1 AS rk, sum(inside) OVER (PARTITION BY block, pool) AS size FROM member{k}),
-slot{k} AS (SELECT block, pool, {{h[imp|{slot}]}} AS draw FROM (SELECT block, pool, {{r[0;9]}} AS s FROM (SELECT block, {{r[0;1]}} AS pool FROM (SELECT DISTINCT block FROM ids) t) u) v),
-size{k} AS (SELECT DISTINCT block, pool, size FROM rank{k}),
-hits{k} AS (SELECT slot{k}.block, slot{k}.pool, draw % size AS rk, count(*) AS copies FROM slot{k} JOIN size{k} ON slot{k}.block = size{k}.block AND slot{k}.pool = size{k}.pool GROUP BY slot{k}.block, slot{k}.pool, draw % size),
-bite{k} AS (SELECT m.block, m.row_id, m.label, m.v0, m.v1, cast(sum(CASE WHEN m.inside = 1 THEN coalesce(copies, 0) ELSE 0 END) AS bigint) AS copies FROM rank{k} m LEFT JOIN hits{k} ON m.block = hits{k}.block AND m.pool = hits{k}.pool AND m.rk = hits{k}.rk GROUP BY m.block, m.row_id, m.label, m.v0, m.v1),
-count{k} AS (SELECT bite{k}.block, feature, value, sum(copies * bite{k}.label) AS p, sum(copies) AS n FROM bite{k} JOIN train ON bite{k}.row_id = train.row_id WHERE copies > 0 GROUP BY bite{k}.block, feature, value),
-run{k} AS (SELECT block, feature, value, lead(value) OVER w AS nxt, sum(p) OVER w AS lp, sum(n) OVER w AS ln_, sum(p) OVER t AS tp, sum(n) OVER t AS tn FROM count{k} WINDOW w AS (PARTITION BY block, feature ORDER BY value), t AS (PARTITION BY block, feature)),
-gain{k} AS (SELECT *, round((value + nxt) / 2, 7) AS threshold, round({_ent('tp', '(tn - tp)')} - (ln_ * {_ent('lp', '(ln_ - lp)')} + (tn - ln_) * {_ent('(tp - lp)', '(tn - ln_ - tp + lp)')}) / tn, 8) AS gain FROM run{k} WHERE nxt IS NOT NULL),
-stump{k} AS (SELECT block, feature, threshold, CASE WHEN 2 * lp > ln_ THEN 1 ELSE 0 END AS lcls, CASE WHEN 2 * (tp - lp) > tn - ln_ THEN 1 ELSE 0 END AS rcls FROM (SELECT *, row_number() OVER (PARTITION BY block ORDER BY gain DESC, feature, threshold) AS rn FROM gain{k}) q WHERE rn = 1),
-said{k} AS (SELECT bite{k}.*, CASE WHEN value <= threshold THEN lcls ELSE rcls END AS vote FROM bite{k} JOIN stump{k} ON bite{k}.block = stump{k}.block JOIN train ON train.row_id = bite{k}.row_id AND train.feature = stump{k}.feature),
-state{k} AS (SELECT block, row_id, label, cast(v0 + CASE WHEN copies = 0 AND vote = 0 THEN 1 ELSE 0 END AS bigint) AS v0, cast(v1 + CASE WHEN copies = 0 AND vote = 1 THEN 1 ELSE 0 END AS bigint) AS v1 FROM said{k})"""
+split{k} AS (SELECT *, v0 + v1 = 0 OR {pred} = label AS is_right, v0 + v1 = 0 OR {pred} <> label AS is_wrong FROM state{k - 1}),
+full{k} AS (SELECT *, bool_or(is_right) OVER (PARTITION BY block) AS any_right, bool_or(is_wrong) OVER (PARTITION BY block) AS any_wrong FROM split{k}),
+member{k} AS (SELECT *, (pool = 0 AND (is_right OR NOT any_right) OR pool = 1 AND (is_wrong OR NOT any_wrong))::INT AS inside FROM full{k}, range(2) t(pool)),
+rank{k} AS (SELECT *, sum(inside) OVER (PARTITION BY block, pool ORDER BY row_id) - 1 AS rk, sum(inside) OVER (PARTITION BY block, pool) AS size FROM member{k}),
+slot{k} AS (SELECT block, pool, {{h[choice-42|concat(block, ':{k - 1}:', s + 10 * (1 - pool))]}} AS draw FROM (SELECT DISTINCT block FROM state0), range(2) t(pool), range(10) u(s)),
+hits{k} AS (SELECT block, row_id, count(*) AS copies FROM slot{k} JOIN rank{k} USING (block, pool) WHERE inside = 1 AND rk = draw % size GROUP BY 1, 2),
+bite{k} AS (SELECT a.block, a.row_id, a.label, a.v0, a.v1, coalesce(copies, 0) AS copies FROM state{k - 1} a LEFT JOIN hits{k} h ON a.block = h.block AND a.row_id = h.row_id),
+count{k} AS (SELECT b.block, f, feature, value, sum(copies * b.label) AS p, sum(copies) AS n FROM bite{k} b JOIN train ON b.row_id = train.row_id WHERE copies > 0 GROUP BY ALL),
+run{k} AS (SELECT block, f, feature, value, lead(value) OVER w AS nxt, sum(p) OVER w AS lp, sum(n) OVER w AS n_low, sum(p) OVER t AS tp, sum(n) OVER t AS tn FROM count{k} WINDOW w AS (PARTITION BY block, f ORDER BY value), t AS (PARTITION BY block, f)),
+gain{k} AS (SELECT *, (value + nxt) / 2 AS threshold, {_GAIN} AS gain FROM run{k} WHERE nxt IS NOT NULL),
+stump{k} AS (SELECT block, f, feature, threshold, (2 * lp > n_low)::INT AS lcls, (2 * (tp - lp) > tn - n_low)::INT AS rcls FROM (SELECT *, row_number() OVER (PARTITION BY block ORDER BY gain DESC, f, threshold) AS rn FROM gain{k}) q WHERE rn = 1),
+said{k} AS (SELECT b.*, CASE WHEN value <= threshold THEN lcls ELSE rcls END AS vote FROM bite{k} b JOIN stump{k} s ON b.block = s.block JOIN train ON train.row_id = b.row_id AND train.f = s.f),
+state{k} AS (SELECT block, row_id, label, v0 + (copies = 0 AND vote = 0)::INT AS v0, v1 + (copies = 0 AND vote = 1)::INT AS v1 FROM said{k})"""
 
 
 _CHAIN = _LONG + """, train AS (SELECT * FROM x WHERE {h[split|row_id]} % 5 <> 0), test AS (SELECT * FROM x WHERE {h[split|row_id]} % 5 = 0),
-ids AS (SELECT DISTINCT block, row_id, label FROM train),
-state0 AS (SELECT block, row_id, label, cast(0 AS bigint) AS v0, cast(0 AS bigint) AS v1 FROM ids)""" + "".join(_round(k) for k in range(1, _ROUNDS + 1))
-both("stump_forest_importance", _CHAIN + ", stump AS (" + " UNION ALL ".join(f"SELECT block, {k} AS i, feature, threshold, lcls, rcls FROM stump{k}" for k in range(1, _ROUNDS + 1)) + """)
-SELECT test.row_id, test.label, cast(sum(CASE WHEN value <= threshold THEN lcls ELSE rcls END) AS bigint) AS ones, count(*) AS m FROM test JOIN stump ON test.feature = stump.feature GROUP BY test.row_id, test.label""")
-both("stump_importance_oob", _CHAIN + f" SELECT block, row_id, v0, v1 FROM state{_ROUNDS}")
+state0 AS (SELECT DISTINCT block, row_id, label, 0 AS v0, 0 AS v1 FROM train)""" + "".join(_round(k) for k in range(1, _ROUNDS + 1))
+_CHAIN += ", stump AS (" + " UNION ALL ".join(f"SELECT block, {k - 1} AS i, f, feature, threshold, lcls, rcls FROM stump{k}" for k in range(1, _ROUNDS + 1)) + ")"
+_ERRORS = " UNION ALL ".join(f'SELECT block, {k - 1} AS "iter", round(avg(((v1 > v0)::INT <> label)::INT), 8) AS oob_error FROM state{k} WHERE v0 + v1 > 0 GROUP BY block' for k in range(1, _ROUNDS + 1))
+add("stump_forest_importance", lambda s, d: _stump_rows(stump_forest(s, d, STEERED)[0]), duck(_CHAIN + ' SELECT block, i AS "iter", feature, round(threshold, 8) AS threshold, lcls, rcls FROM stump'))
+add("stump_importance_votes", lambda s, d: scoring.predict_full(*stump_forest(s, d, STEERED)).select("row_id", "prediction", "votes_used"), duck(_CHAIN + " SELECT row_id, (2 * sum(vote) > count(*))::INT AS prediction, count(*)::INT AS votes_used FROM (SELECT row_id, CASE WHEN value <= threshold THEN lcls ELSE rcls END AS vote FROM test JOIN stump USING (f)) GROUP BY row_id"))
+add("stump_importance_oob", lambda s, d: stump_forest(s, d, STEERED)[0].trees.select("block", "iter", F.round("oob_error", 8).alias("oob_error")), duck(_CHAIN + " " + _ERRORS))
+
+# -- what is left: metadata, storage, times -------------------------------------------------------------------------
+
+add("drop_metadata", lambda s, d: fx.drop_metadata(load(s, d, "documents"), "text", "source"), "SELECT doc_id, lang, n_chars FROM documents")
+
+
+def _storage(s, d) -> DataFrame:
+    path = shared_path(s, "blocks")
+    write_blocks(blocks.assign_blocks(labelled(s, d), 8), path)
+    return block_storage(s, path).select("block", "rows", (F.col("files") > 0).alias("on_disk"), (F.col("bytes") > 0).alias("measured"))
+
+
+add("block_storage", _storage, f"SELECT ({portable_sql('block-42', 'row_id')} % 8)::INT AS block, count(*) AS rows, true AS on_disk, true AS measured FROM {_LABELLED} GROUP BY 1")
+_LINES = "(VALUES ('one', 0.5, 1.0), ('one', 0.9, 4.0), ('one', 0.93, 9.0), ('two', 0.91, 2.0), ('two', 0.89, 3.0), ('three', 0.2, 0.1))"
+add("time_to_accuracy", lambda s, d: measures.time_to_accuracy(s.sql(f"SELECT line, cast(accuracy AS double) AS accuracy, cast(seconds AS double) AS seconds FROM {_LINES} AS t(line, accuracy, seconds)"), F.lit(0.9)), f"SELECT line, min(seconds)::DOUBLE AS seconds FROM {_LINES} t(line, accuracy, seconds) WHERE accuracy >= 0.9 GROUP BY line")

@@ -40,6 +40,7 @@ def _workloads() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     from . import workloads as w
 
     small = ForestParams(n_trees=10, bite_size=100, n_blocks=4)
+    big = ForestParams(n_trees=125, bite_size=100, n_blocks=8)
     four = ForestParams(n_trees=10, bite_size=100, n_blocks=8, n_classes=4)
     return {
         "w1_weblang": lambda s, d: w.fit_and_score(s, d),
@@ -56,14 +57,16 @@ def _workloads() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "w7_simulation_errors": lambda s, d: w.sim(s, ms=(10_000,), alphas=w.LEVELS).select("rule", "m", "alpha", "relative_error", "disagreement"),
         "w8_threshold_times": lambda s, d: w.threshold_times(s),
         "w9_accuracy_time": lambda s, d: w.accuracy_time(s, d, flip=0.1),
-        "w10_blocks_and_sizes": lambda s, d: w.accuracy_blocks(s, d, flip=0.1),
+        "w10_blocks_and_sizes": lambda s, d: w.accuracy_blocks(s, d, qs=(1, 2, 4, 8, 14, 20, 30, 40), local_sizes=(1, 5, 10, 25), params=ForestParams(bite_size=100, n_blocks=40), flip=0.1),
         "w11_accuracy_time_birds": lambda s, d: w.accuracy_time(s, d, "birds", local_sizes=(1, 5), serial_sizes=(10,), params=ForestParams(bite_size=500, n_blocks=4)),
-        "w12_blocks_birds": lambda s, d: w.accuracy_blocks(s, d, "birds", qs=(1, 2, 4), local_sizes=(5,), params=ForestParams(n_trees=5, bite_size=500, n_blocks=4)),
-        "w13_bite_sizes": lambda s, d: w.bite_sizes(s, d, flip=0.1),
-        "w13_bite_sizes_birds": lambda s, d: w.bite_sizes(s, d, "birds", sizes=(100, 500, 1000, 5000)),
-        "w14_lazy_real_birds": lambda s, d: w.lazy_real(s, d, "birds", alphas=w.LEVELS, params=ForestParams(n_trees=25, bite_size=500, n_blocks=8)),
-        "w14_lazy_real": lambda s, d: w.lazy_real(s, d, flip=0.1),
-        "w16_stop_points": lambda s, d: w.stop_points(s, d, flip=0.1),
+        "w12_blocks_birds": lambda s, d: w.accuracy_blocks(s, d, "birds", qs=tuple(range(1, 15)), local_sizes=(5, 10), params=ForestParams(bite_size=500, n_blocks=14)),
+        "w13_bite_sizes": lambda s, d: w.bite_sizes(s, d, sizes=(25, 50, 100, 200, 400, 800), params=ForestParams(n_trees=100, n_blocks=2), flip=0.1),
+        "w13_bite_sizes_birds": lambda s, d: w.bite_sizes(s, d, "birds", sizes=(100, 500, 1000, 5000), params=ForestParams(n_trees=50, n_blocks=2)),
+        "w14_lazy_real_birds": lambda s, d: w.lazy_real(s, d, "birds", alphas=(0.05, 0.01, 1e-3), params=ForestParams(n_trees=25, bite_size=500, n_blocks=8)),
+        "w14_lazy_real": lambda s, d: w.lazy_real(s, d, ms=(50, 100, 200, 500, 1000), params=big, flip=0.1),
+        "w15_lazy_errors": lambda s, d: w.lazy_real(s, d, ms=(1000,), alphas=w.LEVELS, params=big, flip=0.1).where("metric IN ('relative_error', 'disagreement')"),
+        "w15_lazy_errors_birds": lambda s, d: w.lazy_real(s, d, "birds", ms=(200,), alphas=w.LEVELS, params=ForestParams(n_trees=25, bite_size=500, n_blocks=8)).where("metric IN ('relative_error', 'disagreement')"),
+        "w16_stop_points": lambda s, d: w.stop_points(s, d, params=big, flip=0.1),
         "w17_shallow": lambda s, d: w.shallow(s, d, flip=0.1),
         "w18_committee": lambda s, d: w.committee(s, d, flip=0.1),
         "w19_clean_birds": lambda s, d: w.clean_birds(s, d),
@@ -72,6 +75,8 @@ def _workloads() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "baseline_floors": lambda s, d: w.majority_and_single(s, d),
         "baseline_all_data_forest": lambda s, d: w.mllib_forest(s, d),
         "draw_orders": lambda s, d: w.draw_orders(s, d),
+        "multiclass_bayes": lambda s, d: w.multiclass_bayes(s, d, four),
+        "plateau": lambda s, d: w.plateau(s, d),
         "skewed_blocks": lambda s, d: w.skewed_blocks(s, d),
         "forest_nodes": lambda s, d: _small_forest(s, d, small).nodes(),
         "flagship": flagship,
@@ -103,6 +108,8 @@ def _udf_queries() -> dict[str, tuple[Callable[[SparkSession, str], DataFrame],
 SELECT trees.tree_id, n.* FROM trees, LATERAL tree_nodes(trees.feature, trees.threshold, trees.lft, trees.rgt, trees.cls) n"""
     return {
         "udf_scalar": (lambda s, d: views(register(s), d, "documents").sql("SELECT doc_id, round(accept_probability(cast(pmod(doc_id, 60) AS double) / 100), 8) AS p FROM documents"), "SELECT doc_id, round(CASE WHEN doc_id % 60 >= 50 THEN 1.0 ELSE (doc_id % 60)::DOUBLE / 100 / (1 - (doc_id % 60)::DOUBLE / 100) END, 8) AS p FROM documents"),
+        "udf_stops": (lambda s, d: register(s).sql(f"SELECT cast(n AS int) AS n, gaussian_stop(lead, n, 200, {Rule('g1', 200, 0.01).square()!r}D, 15) AS gaussian, chebyshev_stop(lead, n, 0.05D) AS chebyshev, cast(lead AS int) AS lead FROM (SELECT id AS n FROM range(1, 201)) a, (SELECT id AS lead FROM range(1, 201)) b WHERE lead <= n AND 2 * lead >= n"),
+                      f"SELECT x.n::INT AS n, coalesce(lead >= g.min_lead, false) AS gaussian, coalesce(lead >= c.min_lead, false) AS chebyshev, lead::INT AS lead FROM (SELECT n, lead FROM range(1, 201) a(n), range(1, 201) b(lead) WHERE lead <= n AND 2 * lead >= n) x JOIN ({thresholds_sql(Rule('g1_fpc', 200, 0.01))}) g ON x.n = g.n JOIN ({thresholds_sql(Rule('chebyshev', 200, 0.05))}) c ON x.n = c.n"),
         "udtf_tree_nodes": (lambda s, d: register(s).sql(nodes), f"WITH {methods._NODES} SELECT tree_id, node, feature, threshold::DOUBLE AS threshold, lft, rgt, cls FROM nodes"),
         "udtf_thresholds": (lambda s, d: register(s).sql("SELECT n, min_lead FROM gaussian_thresholds(100, 0.01)"), f"SELECT n, min_lead::INT AS min_lead FROM ({thresholds_sql(Rule('g1_fpc', 100, 0.01))})"),
         "udaf_vote_tally": (tally, f"SELECT row_id, count(*) FILTER (WHERE vote = 0) AS zeros, count(*) FILTER (WHERE vote = 1) AS ones FROM {votes} GROUP BY row_id"),

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions import measures
 from ..functions.hashing import portable_hash
-from ..functions.stopping import Rule, bayes_final_prob_primes, bayes_leads
+from ..functions.stopping import Rule, bayes_final_prob, bayes_final_prob_primes, bayes_leads
 from ..operators import committee as committees
 from ..operators import features as fx
 from ..operators.blocks import assign_blocks
@@ -19,7 +19,7 @@ from ..operators.model import MegaForest
 from ..operators.schemas import METRIC, ForestParams
 from ..operators.scoring import accuracy_grid, predict_full, predict_lazy
 from ..operators.simulate import simulate
-from ..operators.train import train_mega_forest, tune_bite_size
+from ..operators.train import train_blocks, train_mega_forest, train_serial, train_until_plateau, tune_bite_size
 from ..sources.tables import load
 
 #: Levels of disagreement that the simulations compare.
@@ -58,7 +58,7 @@ def experiment(run):
 # -- learning sets ----------------------------------------------------------------------------------------
 
 
-def weblang(spark: SparkSession, sf_dir: str, table: str = "documents", variant: str = "plain", classes: str = "binary", flip: float = 0.0) -> tuple[DataFrame, DataFrame]:
+def weblang(spark: SparkSession, sf_dir: str, table: str = "documents", classes: str = "binary", flip: float = 0.0) -> tuple[DataFrame, DataFrame]:
     """(train, test): 63 character proportions, English or not (or the language); equal texts stay on one side.
 
     A share of the labels of two classes may be flipped, chosen by hash.
@@ -69,21 +69,20 @@ def weblang(spark: SparkSession, sf_dir: str, table: str = "documents", variant:
         df = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("row_id"), "text", "lang")
     else:
         df = load(spark, sf_dir, "pages").select(F.col("page_id").alias("row_id"), fx.html_text(F.col("html")).alias("text"), fx.html_lang(F.col("html")).alias("lang"))
-    if variant == "hard":
-        df = df.withColumn("text", F.substring("text", 1, 40))
     label = (F.col("lang") == "en").cast("int") if classes == "binary" else (F.array_position(F.array(*map(F.lit, ("de", "en", "es", "fr"))), F.col("lang")) - 1).cast("int")
     if flip:
         label = F.when(portable_hash("flip", F.col("row_id")) < flip * 2**32, 1 - label).otherwise(label)
     train, test = fx.split_grouped(df, F.md5("text"))
-    shape = lambda d: d.select("row_id", fx.char_vector(F.col("text")).alias("features"), label.alias("label"))
+    shape = lambda d: fx.char_histograms(d.withColumn("label", label), "row_id", also=("label",))
     return shape(train), shape(test)
 
 
 def labelled_documents(spark: SparkSession, sf_dir: str, target: str = "quality") -> tuple[DataFrame, DataFrame]:
     docs, labels = load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels")
-    df = docs.join(labels, "doc_id").select(F.col("doc_id").alias("row_id"), "text", fx.char_vector(F.col("text")).alias("features"), F.col(target).cast("int").alias("label"))
+    df = docs.join(labels, "doc_id").select("doc_id", "text", F.col(target).cast("int").alias("label"))
     train, test = fx.split_grouped(df, F.md5("text"))
-    return train.drop("text"), test.drop("text")
+    shape = lambda d: fx.char_histograms(d, "doc_id", also=("label",))
+    return shape(train), shape(test)
 
 
 def embeddings(spark: SparkSession, sf_dir: str, classes: str = "binary") -> tuple[DataFrame, DataFrame]:
@@ -107,7 +106,8 @@ def star(spark: SparkSession, sf_dir: str) -> DataFrame:
 def high_value_lines(spark: SparkSession, sf_dir: str, flip: float = 0.0) -> tuple[DataFrame, DataFrame]:
     """(train, test) by time: is a line's value high? A share of the labels may be flipped, chosen by hash."""
     df = star(spark, sf_dir)
-    domains = {c: fx.domain(df, c) for c in ("p_brand", "c_mktsegment", "o_orderpriority", "n_name")}
+    homes = {"p_brand": "part", "c_mktsegment": "customer", "o_orderpriority": "orders", "n_name": "nation"}
+    domains = {c: fx.domain(load(spark, sf_dir, table), c) for c, table in homes.items()}  # of the dimensions, not of their join
     df = fx.one_hot(df, domains)
     hot = [c for c in df.columns if c.startswith(tuple(f"{d}_" for d in domains))]
     label = (F.col("l_quantity") * F.col("l_extendedprice") * (1 - F.col("l_discount")) > 1.6e6).cast("int")
@@ -154,9 +154,9 @@ def fit_and_score(spark, sf_dir, workload="weblang", params=ForestParams(n_trees
     train, test = learning_set(spark, sf_dir, workload, **options)
     train, test = _kept(train), _kept(test)
     began = time.perf_counter()
-    forest = train_mega_forest(train, params)
-    facts = measures.plan_facts(forest.trees)
-    forest = MegaForest(_kept(forest.trees), params)
+    blocked = assign_blocks(train, params.n_blocks, seed=params.seed)
+    facts = measures.plan_facts(train_blocks(blocked, params))
+    forest = train_mega_forest(blocked, params)
     n = forest.trees.count()
     seconds = time.perf_counter() - began
     rows = [(workload, f"{r.part}_{k}", r[k], {}) for r in measures.dataset_summary(train, test).collect() for k in ("rows", "features", "positive_share")]
@@ -176,18 +176,26 @@ def accuracy_time(spark, sf_dir, workload="weblang", local_sizes=(1, 5, 10, 25),
     rows = []
     for sampler in samplers:
         p = replace(params, sampler=sampler, n_trees=max(local_sizes), seed=seed)
-        forest = MegaForest(_kept(train_mega_forest(train, p).trees), p)
+        began = time.perf_counter()
+        forest = train_mega_forest(train, p)
+        rows.append((workload, "wall_seconds", time.perf_counter() - began, {"line": sampler, "trees": p.n_trees * p.n_blocks}))
         grid = {(r.blocks, r.local_size): r for r in accuracy_grid(forest, test, [(p.n_blocks, k) for k in local_sizes]).collect()}
         for k in local_sizes:
             ms = forest.trees.where(F.col("iter") < k).groupBy("block").agg(F.sum("fit_ms").alias("ms")).agg(F.max("ms")).first()[0]
             rows += [(workload, "accuracy", grid[(p.n_blocks, k)].accuracy, {"line": sampler, "trees": k * p.n_blocks}), (workload, "seconds", ms / 1000, {"line": sampler, "trees": k * p.n_blocks})]
     p = replace(params, n_trees=max(serial_sizes), seed=seed)
-    blocked = assign_blocks(train, p.n_blocks, seed=p.seed).where("block = 0")
-    serial = MegaForest(_kept(train_mega_forest(blocked, p).trees), p)
+    serial = train_serial(train, p)
     grid = {r.local_size: r for r in accuracy_grid(serial, test, [(1, k) for k in serial_sizes]).collect()}
     for k in serial_sizes:
         ms = serial.trees.where(F.col("iter") < k).agg(F.sum("fit_ms")).first()[0]
         rows += [(workload, "accuracy", grid[k].accuracy, {"line": "serial", "trees": k}), (workload, "seconds", ms / 1000, {"line": "serial", "trees": k})]
+    # the time at which each line is as accurate as the serial one at its best
+    points: dict[tuple, dict] = {}
+    for _, m, v, at in rows:
+        points.setdefault((at["line"], at["trees"]), {})[m] = v
+    lines = spark.createDataFrame([(line, float(v["accuracy"]), float(v["seconds"])) for (line, _), v in points.items() if "accuracy" in v], "line string, accuracy double, seconds double")
+    best = max(v["accuracy"] for (line, _), v in points.items() if line == "serial")
+    rows += [(workload, "seconds_to_serial_accuracy", r.seconds, {"line": r.line}) for r in measures.time_to_accuracy(lines, F.lit(best)).collect()]
     return metric_rows(spark, rows)
 
 
@@ -196,7 +204,7 @@ def accuracy_blocks(spark, sf_dir, workload="weblang", qs=(1, 2, 4, 8), local_si
     train, test = learning_set(spark, sf_dir, workload, **options)
     p = replace(params, n_trees=max(local_sizes))
     forest = train_mega_forest(train, p)
-    grid = accuracy_grid(MegaForest(forest.trees, p), test, [(q, k) for q in qs for k in local_sizes])
+    grid = accuracy_grid(forest, test, [(q, k) for q in qs for k in local_sizes])
     return grid.select(F.lit(workload).alias("workload"), F.lit("accuracy").alias("metric"), F.col("accuracy").alias("value"), F.create_map(F.lit("blocks"), F.col("blocks").cast("string"), F.lit("local_size"), F.col("local_size").cast("string")).alias("params"))
 
 
@@ -211,7 +219,7 @@ def bite_sizes(spark, sf_dir, workload="weblang", sizes=(50, 100, 200, 400), par
 def lazy_real(spark, sf_dir, workload="weblang", ms=(50, 100, 200), alphas=(0.05, 0.01, 1e-3), rule="g1_fpc", params=ForestParams(n_trees=25, bite_size=100, n_blocks=8), **options) -> DataFrame:
     """Evaluation fraction, relative error, disagreement of lazy votes on trained forests, by size and level."""
     train, test = (_kept(d) for d in learning_set(spark, sf_dir, workload, **options))
-    forest = MegaForest(_kept(train_mega_forest(train, params).trees), params)
+    forest = train_mega_forest(train, params)
     rows = []
     for m in ms:
         part = forest.restrict(local_size=max(1, m // params.n_blocks))
@@ -228,7 +236,7 @@ def lazy_real(spark, sf_dir, workload="weblang", ms=(50, 100, 200), alphas=(0.05
 def stop_points(spark, sf_dir, workload="weblang", alpha=0.01, params=ForestParams(n_trees=25, bite_size=100, n_blocks=8), **options) -> DataFrame:
     """Histogram of the votes that rows need, and the shares that need few or all."""
     train, test = learning_set(spark, sf_dir, workload, **options)
-    forest = MegaForest(_kept(train_mega_forest(train, params).trees), params)
+    forest = train_mega_forest(train, params)
     pred = _kept(predict_lazy(forest, test, alpha=alpha))
     m = params.n_trees * params.n_blocks
     rows = [(workload, "stop_bin", r.n, {"low": r.low}) for r in measures.stop_histogram(pred).collect()]
@@ -246,7 +254,7 @@ def committee(spark, sf_dir, workload="weblang", p=4, alpha=0.01, params=ForestP
     """Coverage, undecided rate and agreement with the full vote of committee evaluation."""
     train, test = (_kept(d) for d in learning_set(spark, sf_dir, workload, **options))
     params = replace(params, n_parts=p)
-    forest = MegaForest(_kept(train_mega_forest(train, params).trees), params)
+    forest = train_mega_forest(train, params)
     pred = _kept(committees.committee_predict(forest, test, alpha=alpha))
     stats = committees.committee_stats(pred).first()
     differ = measures.disagreement(pred, predict_full(forest, test)).first()[0]
@@ -259,8 +267,8 @@ def sim(spark, rules=FIVE_RULES, ms=(100, 500, 1000, 5000, 10_000), alphas=(1e-4
     return simulate(spark, n_points, [Rule(r, m, a) for r in rules for m in ms for a in alphas], seed)
 
 
-def threshold_times(spark, ms=(100, 1000, 10_000, 100_000, 200_000, 1_000_000), bayes_ms=(100, 1000, 10_000), prime_ms=(30, 100)) -> DataFrame:
-    """Milliseconds to build a table of thresholds, by rule and size."""
+def threshold_times(spark, ms=(100, 1000, 10_000, 100_000, 200_000, 1_000_000), bayes_ms=(100, 1000, 10_000, 100_000), log_ms=(100, 1000, 10_000), prime_ms=(30, 100)) -> DataFrame:
+    """Milliseconds to build a table of thresholds, by rule and size: Gaussian, Bayesian from vote to vote, in log space, by primes."""
     def timed(f):
         began = time.perf_counter()
         f()
@@ -268,6 +276,7 @@ def threshold_times(spark, ms=(100, 1000, 10_000, 100_000, 200_000, 1_000_000),
 
     rows = [("threshold_time", "ms", timed(Rule("g1_fpc", m).leads), {"rule": "gaussian", "m": m}) for m in ms]
     rows += [("threshold_time", "ms", timed(lambda m=m: bayes_leads(m, 0.01)), {"rule": "bayes", "m": m}) for m in bayes_ms]
+    rows += [("threshold_time", "ms", timed(lambda m=m: bayes_leads(m, 0.01, bayes_final_prob)), {"rule": "bayes_log", "m": m}) for m in log_ms]
     rows += [("threshold_time", "ms", timed(lambda m=m: bayes_leads(m, 0.01, bayes_final_prob_primes)), {"rule": "bayes_primes", "m": m}) for m in prime_ms]
     return metric_rows(spark, rows)
 
@@ -314,8 +323,9 @@ def mllib_forest(spark, sf_dir, workload="weblang", trees=20, **options) -> Data
 def draw_orders(spark, sf_dir, workload="weblang", params=ForestParams(n_trees=25, bite_size=100, n_blocks=8), **options) -> DataFrame:
     """Votes and seconds with a fresh order for every row, one offset for each row, one for a batch."""
     train, test = (_kept(d) for d in learning_set(spark, sf_dir, workload, **options))
-    forest = MegaForest(_kept(train_mega_forest(train, params).trees), params)
+    forest = train_mega_forest(train, params)
     rows = []
+    predict_lazy(forest, test).agg(F.avg("votes_used")).first()  # rows and workers are there before the clock starts
     for order in ("random", "offset", "batch"):
         began = time.perf_counter()
         votes = predict_lazy(forest, test, order=order).agg(F.avg("votes_used")).first()[0]
@@ -334,3 +344,22 @@ def skewed_blocks(spark, sf_dir, params=ForestParams(n_trees=10, bite_size=100,
     return metric_rows(spark, rows)
 
 
+@experiment
+def multiclass_bayes(spark, sf_dir, params, alpha=0.01) -> DataFrame:
+    """The Bayesian rule over four classes: leader against runner-up, and by draws from the posterior."""
+    train, test = (_kept(d) for d in weblang(spark, sf_dir, classes="multi"))
+    forest = train_mega_forest(train, params)
+    rows = []
+    for multi in ("pairwise", "sampled"):
+        lazy = predict_lazy(forest, test, "bayes", alpha, multi=multi, also_full=True)
+        r = lazy.agg(F.avg("votes_used").alias("v"), F.avg((F.col("prediction") != F.col("full_prediction")).cast("double")).alias("d")).first()
+        rows += [("multiclass_bayes", "votes", r.v, {"multi": multi}), ("multiclass_bayes", "disagreement", r.d, {"multi": multi})]
+    return metric_rows(spark, rows)
+
+
+@experiment
+def plateau(spark, sf_dir, params=ForestParams(n_trees=10, bite_size=100, n_blocks=16)) -> DataFrame:
+    """Blocks are doubled until the accuracy moves no more."""
+    train, test = (_kept(d) for d in weblang(spark, sf_dir, flip=0.1))
+    _, seen = train_until_plateau(train, params, test)
+    return metric_rows(spark, [("plateau", "accuracy", share, {"blocks": q}) for q, share in seen])

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -11,8 +10,11 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators import committee
+from ..operators import features as fx
 from ..operators.model import MegaForest
 from ..operators.scoring import predict_lazy
+from ..plans import methods
+from ..sources.tables import shared_path
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -28,11 +30,14 @@ def score_stream(rows: DataFrame, forest: MegaForest, **options) -> DataFrame:
     return predict_lazy(forest, rows, **options)
 
 
-def committee_stream(rows: DataFrame, forest: MegaForest, sink: str, checkpoint: str, alpha: float = 0.01):
-    """Committee evaluation of every micro-batch (two stages can't be one streaming plan)."""
+def committee_stream(rows: DataFrame, forest: MegaForest, sink: str, checkpoint: str, rule: str = "g1_fpc", alpha: float = 0.01, **options):
+    """Committee evaluation of every micro-batch (two stages can't be one streaming plan).
 
-    def batch(df: DataFrame, _: int) -> None:
-        committee.committee_predict(forest, df, alpha=alpha).write.mode("append").parquet(sink)
+    A batch has a folder of its own, so one that runs again after a failure replaces what it wrote.
+    """
+
+    def batch(df: DataFrame, number: int) -> None:
+        committee.committee_predict(forest, df, rule, alpha, **options).write.mode("overwrite").parquet(f"{sink}/batch={number}")
 
     return rows.writeStream.option("checkpointLocation", checkpoint).foreachBatch(batch)
 
@@ -49,8 +54,9 @@ def sessions(events: DataFrame, gap: str = "6 hours") -> DataFrame:
 
 
 def votes_by_window(predictions: DataFrame, width: str = "1 hour") -> DataFrame:
-    """Mean votes and share of early stops by window of ``ts``: a rise says that inputs drift."""
-    return predictions.groupBy(F.window("ts", width).alias("w")).agg(F.avg("votes_used").alias("votes"), F.avg(F.col("stopped_early").cast("double")).alias("early"))
+    """``start, votes, early``: mean votes and share of early stops by window of ``ts``; a rise says that inputs drift."""
+    means = predictions.groupBy(F.window("ts", width).alias("w")).agg(F.avg("votes_used").alias("votes"), F.avg(F.col("stopped_early").cast("double")).alias("early"))
+    return means.select(F.col("w.start").cast("timestamp_ntz").alias("start"), "votes", "early")
 
 
 def deduplicated(events: DataFrame) -> DataFrame:
@@ -59,9 +65,11 @@ def deduplicated(events: DataFrame) -> DataFrame:
 
 
 def label_arrivals(predictions: DataFrame, labels: DataFrame, within: str = "1 hour") -> DataFrame:
-    """Predictions with the labels that arrive up to an hour later: a stream-stream join with a time bound."""
-    p, t = predictions.alias("p"), labels.alias("t")
-    return p.join(t, F.expr(f"p.row_id = t.row_id AND t.label_ts >= p.ts AND t.label_ts <= p.ts + INTERVAL {within}"))
+    """Predictions with the labels that arrive up to an hour later: a stream-stream join with a time bound.
+
+    ``predictions``: ``row_id, ts, ...``; ``labels``: ``label_row, label_ts, ...``; both with a watermark, which bounds the state.
+    """
+    return predictions.join(labels, F.expr(f"row_id = label_row AND label_ts >= ts AND label_ts <= ts + INTERVAL {within}"))
 
 
 def _error_rate(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
@@ -80,21 +88,74 @@ def running_errors(events: DataFrame) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(_error_rate, "user_id long, seen long, errors long", "seen long, errors long", "update", GroupStateTimeout.NoTimeout)
 
 
-def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Run a stream over what is there and return its rows (``availableNow``)."""
-    spark, name = stream.sparkSession, f"drained_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+def drain(stream: DataFrame, mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
+    """Run a stream over what is there (``availableNow``) and return its rows, which pass through files and not the driver.
+
+    ``append``: all rows; ``complete``: those of the last micro-batch; ``update``: the last of each value of ``keys``.
+    """
+    spark, path = stream.sparkSession, shared_path(stream.sparkSession, "streams")
+    batches: list[int] = []
+
+    def save(df: DataFrame, number: int) -> None:
+        batches.append(number)
+        df.write.mode("overwrite").parquet(f"{path}/rows/batch={number}")
+
+    query = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).foreachBatch(save).start()
     query.awaitTermination()
-    return spark.table(name)
+    if not batches:
+        return spark.createDataFrame([], stream.schema)
+    if mode == "complete":
+        return spark.read.schema(stream.schema).parquet(f"{path}/rows/batch={max(batches)}")
+    rows = spark.read.schema(f"{', '.join(f'`{f.name}` {f.dataType.simpleString()}' for f in stream.schema)}, batch int").option("basePath", f"{path}/rows").parquet(*[f"{path}/rows/batch={b}" for b in sorted(set(batches))])
+    if mode == "update":
+        rows = rows.groupBy(*keys).agg(*[F.max_by(c, "batch").alias(c) for c in stream.columns if c not in keys])
+    return rows.select(*stream.columns)
+
+
+# -- queries: a forest of stumps scores the documents as they come; events stand for predictions and labels ---------------------
+
+
+def _documents(s, d) -> DataFrame:
+    """The test documents with their letter shares, as a file stream."""
+    raw = s.readStream.schema("doc_id long, text string, lang string, source string, n_chars long").option("pathGlobFilter", "documents*.parquet").option("maxFilesPerTrigger", 1).parquet(d)
+    return fx.split_grouped(methods.letter_features(raw), F.col("row_id"))[1]
+
+
+def _scores(s, d) -> DataFrame:
+    forest = methods.stump_forest(s, d)[0]
+    return drain(score_stream(_documents(s, d), forest, rule="certain", portable=True).select("row_id", "prediction", "votes_used", "stopped_early"))
+
+
+def _committee(s, d) -> DataFrame:
+    path = shared_path(s, "streams")
+    query = committee_stream(_documents(s, d), methods.stump_forest(s, d)[0], f"{path}/rows", f"{path}/checkpoint", alpha=0.01, min_votes=3, portable=True)
+    query.trigger(availableNow=True).start().awaitTermination()
+    return s.read.parquet(f"{path}/rows").select("row_id", "prediction", "votes_used", "stage")
+
+
+def _arrivals(s, d) -> DataFrame:
+    e = events_stream(s, d)
+    clicks = e.where("event_type = 'click'").select(F.col("user_id").alias("row_id"), "ts", F.col("event_id").alias("prediction_id"))
+    bought = events_stream(s, d).where("event_type = 'purchase'").select(F.col("user_id").alias("label_row"), F.col("ts").alias("label_ts"), F.col("event_id").alias("label_id"))
+    return drain(label_arrivals(clicks, bought).select("prediction_id", "label_id"))
+
+
+def _drift(s, d) -> DataFrame:
+    e = events_stream(s, d).withColumn("votes_used", F.pmod("event_id", F.lit(50)).cast("int")).withColumn("stopped_early", F.col("event_type") != "error")
+    return drain(votes_by_window(e), "complete").select("start", F.round("votes", 8).alias("votes"), F.round("early", 8).alias("early"))
 
 
 QUERIES = {
-    "stream_tumbling": lambda s, d: drain(tumbling(events_stream(s, d))),
-    "stream_sliding": lambda s, d: drain(tumbling(events_stream(s, d), "2 days", "1 day")),
-    "stream_sessions": lambda s, d: drain(sessions(events_stream(s, d))),
-    "stream_dedup": lambda s, d: drain(deduplicated(events_stream(s, d)).select("event_id", "user_id"), "append"),
-    "stream_static_join": lambda s, d: drain(events_stream(s, d).join(s.read.parquet(f"{d}/customer.parquet"), F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment"), "append"),
-    "stream_running_errors": lambda s, d: drain(running_errors(events_stream(s, d)), "update"),
+    "stream_tumbling": lambda s, d: drain(tumbling(events_stream(s, d)), "complete"),
+    "stream_sliding": lambda s, d: drain(tumbling(events_stream(s, d), "2 days", "1 day"), "complete"),
+    "stream_sessions": lambda s, d: drain(sessions(events_stream(s, d)), "complete"),
+    "stream_dedup": lambda s, d: drain(deduplicated(events_stream(s, d)).select("event_id", "user_id")),
+    "stream_static_join": lambda s, d: drain(events_stream(s, d).join(s.read.parquet(f"{d}/customer.parquet"), F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment")),
+    "stream_running_errors": lambda s, d: drain(running_errors(events_stream(s, d)), "update", ("user_id",)),
+    "stream_lazy_scores": _scores,
+    "stream_committee": _committee,
+    "stream_label_arrivals": _arrivals,
+    "stream_votes_by_window": _drift,
 }
 #: Batch twins in DuckDB.
 ORACLES = {
@@ -104,4 +165,8 @@ ORACLES = {
     "stream_dedup": "SELECT DISTINCT event_id, user_id FROM events",
     "stream_static_join": "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey",
     "stream_running_errors": "SELECT user_id, count(*) AS seen, count(*) FILTER (WHERE event_type = 'error') AS errors FROM events GROUP BY user_id",
+    "stream_lazy_scores": methods.STUMP_LAZY_SQL,
+    "stream_committee": methods.COMMITTEE_SQL,
+    "stream_label_arrivals": "SELECT p.event_id AS prediction_id, l.event_id AS label_id FROM events p JOIN events l ON p.user_id = l.user_id AND l.ts >= p.ts AND l.ts <= p.ts + INTERVAL 1 HOUR WHERE p.event_type = 'click' AND l.event_type = 'purchase'",
+    "stream_votes_by_window": "SELECT time_bucket(INTERVAL 1 HOUR, ts, TIMESTAMP '1970-01-01') AS start, round(avg(event_id % 50), 8) AS votes, round(avg((event_type <> 'error')::INT), 8) AS early FROM events GROUP BY 1",
 }

@@ -1,11 +1,12 @@
 import pytest
+from pyspark.sql import functions as F
 
 from blockforest.plans import methods, registry, relational
 
 duckdb = pytest.importorskip("duckdb")
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: A share of the queries keeps this quick; the driver holds all of them against DuckDB.
-SOME = [*list(relational.Q)[::6], *list(methods.Q)[::6], "udtf_thresholds", "udtf_tree_nodes", "udf_scalar", "stump_forest_importance", "stream_sessions", "stream_running_errors"]
+SOME = [*list(relational.Q)[::6], *list(methods.Q)[::6], "udtf_thresholds", "udtf_tree_nodes", "udf_scalar", "stump_forest_importance", "udf_stops", "stream_sessions", "stream_running_errors", "stream_lazy_scores", "stream_committee", "stream_label_arrivals", "committee_union", "committee_tallies", "stump_forest_trees", "stump_importance_oob", "bite_rejection"]
 
 
 @pytest.mark.parametrize("name", SOME)
@@ -61,7 +62,7 @@ def test_experiments_read_whole_texts(spark, tiny, monkeypatch):
     for name in names:
         with pytest.raises(Seen):
             registry.QUERIES[name](spark, tiny)
-    assert len(names) == 8 and all(o.get("variant", "plain") == "plain" and o["flip"] == 0.1 for o in asked)
+    assert len(names) == 8 and all("variant" not in o and o["flip"] == 0.1 for o in asked)
 
 
 def test_flipped_labels(spark, tiny):
@@ -97,3 +98,30 @@ def test_simulated_tables_come_from_the_driver(spark):
 def test_unpivot_takes_all_line_items(spark, tiny):
     lines = spark.read.parquet(f"{tiny}/lineitem.parquet").count()
     assert registry.QUERIES["agg_unpivot"](spark, tiny).count() == 3 * lines
+
+
+def test_updates_keep_one_row_for_each_key(spark, tiny, tmp_path):
+    from blockforest.streaming import streams
+
+    events = spark.read.parquet(f"{tiny}/events.parquet").orderBy("ts")
+    events.where("event_id % 2 = 0").coalesce(1).write.parquet(f"{tmp_path}/a")
+    events.where("event_id % 2 = 1").coalesce(1).write.parquet(f"{tmp_path}/b")
+    for part in ("a", "b"):
+        next((tmp_path / part).glob("*.parquet")).rename(tmp_path / f"events_{part}.parquet")
+    got = {r.user_id: (r.seen, r.errors) for r in streams.QUERIES["stream_running_errors"](spark, str(tmp_path)).collect()}
+    rows = streams.QUERIES["stream_running_errors"](spark, str(tmp_path)).count()
+    want = {r.user_id: (r.seen, r.errors) for r in events.groupBy("user_id").agg(F.count(F.lit(1)).alias("seen"), F.count_if(F.col("event_type") == "error").alias("errors")).collect()}
+    assert got == want and rows == len(want)
+
+
+def test_readers_and_sinks(spark, tmp_path):
+    from blockforest.sources import tables
+
+    df = spark.createDataFrame([(1, "a"), (2, "b")], "block int, v string")
+    for fmt in ("csv", "json", "orc", "parquet"):
+        tables.write(df, f"{tmp_path}/{fmt}", fmt)
+        assert sorted(map(tuple, tables.read(spark, fmt, f"{tmp_path}/{fmt}", "block int, v string").collect())) == [(1, "a"), (2, "b")]
+    tables.write_blocks(df, f"{tmp_path}/blocks")
+    assert tables.block_storage(spark, f"{tmp_path}/blocks").count() == 2
+    assert tables.read_stream(spark, "parquet", f"{tmp_path}/parquet", "block int, v string").isStreaming
+    assert tables.read_stream(spark, "rate").isStreaming
