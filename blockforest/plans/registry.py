@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from ..sources.tables import views
 from ..streaming import streams
 from . import methods, relational
+from .workloads import CLEAN_BIRDS_SQL
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -118,6 +119,7 @@ SELECT trees.tree_id, n.* FROM trees, LATERAL tree_nodes(trees.feature, trees.th
 
 
 QUERIES |= _workloads()
+ORACLES["w19_clean_birds"] = CLEAN_BIRDS_SQL
 for _name, (_make, _duck) in _udf_queries().items():
     QUERIES[_name], ORACLES[_name] = _make, _duck
 QUERIES |= streams.QUERIES

@@ -30,12 +30,20 @@ add("join_right_full", "SELECT coalesce(c.k, s.k) AS k, coalesce(c.n, 0) AS cust
 add("join_semi", "SELECT doc_id, n_chars FROM documents d WHERE EXISTS (SELECT 1 FROM labels l WHERE l.doc_id = d.doc_id)")
 add("join_anti", "SELECT c_custkey, c_name FROM customer c WHERE NOT EXISTS (SELECT 1 FROM orders o WHERE o.o_custkey = c.c_custkey)")
 add("join_cross", "SELECT n_name, event_type FROM nation CROSS JOIN (SELECT DISTINCT event_type FROM events) t")
-add("join_theta_range", "SELECT s_suppkey, count(*) AS n FROM supplier JOIN part ON p_retailprice >= s_acctbal AND p_retailprice < s_acctbal + 20 GROUP BY s_suppkey")
+# A range join by buckets as wide as the range: each supplier looks into two of them, instead of at every part.
+add("join_theta_range",
+    "SELECT s_suppkey, count(*) AS n FROM (SELECT s_suppkey, s_acctbal, explode(array(floor(s_acctbal / 20), floor(s_acctbal / 20) + 1)) AS b FROM supplier) s JOIN (SELECT p_retailprice, floor(p_retailprice / 20) AS b FROM part) p ON s.b = p.b AND p_retailprice >= s_acctbal AND p_retailprice < s_acctbal + 20 GROUP BY s_suppkey",
+    "SELECT s_suppkey, count(*) AS n FROM supplier JOIN part ON p_retailprice >= s_acctbal AND p_retailprice < s_acctbal + 20 GROUP BY s_suppkey")
 add("join_asof",
     "SELECT event_id, before_id FROM (SELECT event_id, event_type, last_value(CASE WHEN event_type <> 'error' THEN event_id END, true) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before_id FROM events) t WHERE event_type = 'error'",
     "SELECT e.event_id, (SELECT o.event_id FROM events o WHERE o.user_id = e.user_id AND o.event_type <> 'error' AND (o.ts < e.ts OR (o.ts = e.ts AND o.event_id < e.event_id)) ORDER BY o.ts DESC, o.event_id DESC LIMIT 1) AS before_id FROM events e WHERE e.event_type = 'error'")
-add("join_interval", "SELECT a.event_id, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase' GROUP BY a.event_id")
-add("join_self_dups", "SELECT a.doc_id AS first_id, b.doc_id AS second_id FROM (SELECT doc_id, md5(text) AS h FROM documents) a JOIN (SELECT doc_id, md5(text) AS h FROM documents) b ON a.h = b.h AND a.doc_id < b.doc_id")
+# Counted by a range frame, not by pairs; a user's days are windows of their own, each with the purchases of the next day's first hour.
+add("join_interval",
+    """WITH e AS (SELECT event_id, user_id, event_type, ts, cast(ts AS date) AS day FROM events
+      UNION ALL SELECT event_id, user_id, event_type, ts, date_sub(cast(ts AS date), 1) FROM events WHERE event_type = 'purchase' AND ts <= cast(cast(ts AS date) AS timestamp_ntz) + INTERVAL 1 HOUR)
+    SELECT event_id, n FROM (SELECT event_id, event_type, count(CASE WHEN event_type = 'purchase' THEN 1 END) OVER (PARTITION BY user_id, day ORDER BY ts RANGE BETWEEN INTERVAL '0.000001' SECOND FOLLOWING AND INTERVAL '3600' SECOND FOLLOWING) AS n FROM e) t WHERE event_type = 'click' AND n > 0""",
+    "SELECT a.event_id, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase' GROUP BY a.event_id")
+add("join_self_dups", "SELECT d.doc_id, c.class_id, c.copies FROM documents d JOIN (SELECT md5(text) AS h, min(doc_id) AS class_id, count(*) AS copies FROM documents GROUP BY md5(text) HAVING count(*) > 1) c ON md5(d.text) = c.h")
 add("join_salted",
     "SELECT e.event_type, count(*) AS n, round(sum(e.value * w.weight), 4) AS weighted FROM (SELECT *, pmod(event_id, 4) AS salt FROM events) e JOIN (SELECT event_type, weight, explode(sequence(0, 3)) AS salt FROM (SELECT event_type, count(*) / 1000.0D AS weight FROM events GROUP BY event_type) x) w ON e.event_type = w.event_type AND e.salt = w.salt GROUP BY e.event_type",
     "SELECT e.event_type, count(*) AS n, round(sum(e.value * w.weight), 4) AS weighted FROM events e JOIN (SELECT event_type, count(*) / 1000.0::DOUBLE AS weight FROM events GROUP BY event_type) w USING (event_type) GROUP BY e.event_type")

@@ -10,12 +10,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import measures
-from ..functions.hashing import portable_hash
+from ..functions.hashing import portable_hash, portable_sql
 from ..functions.stopping import Rule, bayes_final_prob, bayes_final_prob_primes, bayes_leads
 from ..operators import committee as committees
 from ..operators import features as fx
 from ..operators.blocks import assign_blocks
-from ..operators.model import MegaForest
 from ..operators.schemas import METRIC, ForestParams
 from ..operators.scoring import accuracy_grid, predict_full, predict_lazy
 from ..operators.simulate import simulate
@@ -224,8 +223,9 @@ def lazy_real(spark, sf_dir, workload="weblang", ms=(50, 100, 200), alphas=(0.05
     for m in ms:
         part = forest.restrict(local_size=max(1, m // params.n_blocks))
         size = params.n_blocks * max(1, m // params.n_blocks)
+        full = _kept(predict_full(part, test).select("row_id", F.col("prediction").alias("full_prediction")).join(test.select("row_id", "label"), "row_id"))
         for alpha in alphas:
-            lazy = predict_lazy(part, test, rule, alpha, also_full=True).join(test.select("row_id", "label"), "row_id")
+            lazy = predict_lazy(part, test, rule, alpha).join(full, "row_id")
             r = lazy.agg(F.avg("votes_used").alias("v"), F.avg((F.col("prediction") == F.col("label")).cast("double")).alias("l"), F.avg((F.col("full_prediction") == F.col("label")).cast("double")).alias("f"), F.avg((F.col("prediction") != F.col("full_prediction")).cast("double")).alias("d")).first()
             at = {"m": size, "alpha": alpha}
             rows += [(workload, "eval_fraction", r.v / size, at), (workload, "relative_error", 1 - r.l / r.f, at), (workload, "disagreement", r.d, at), (workload, "savings", size / r.v, at)]
@@ -283,15 +283,27 @@ def threshold_times(spark, ms=(100, 1000, 10_000, 100_000, 200_000, 1_000_000),
 
 def clean_birds(spark, sf_dir) -> DataFrame:
     """The preprocessing chain on line items with injected gaps: limit, recode, monthly value, tokens, sentinels, 0/1."""
+    key = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"]
     df = star(spark, sf_dir).where("l_quantity <= 45")
-    gap = lambda c, s: F.when(portable_hash(s, F.col("row_id")) < 0.05 * 2**32, F.lit(None)).otherwise(F.col(c))
+    gap = lambda c, s: F.when(portable_hash(s, F.concat_ws("|", *key)) < 0.05 * 2**32, F.lit(None)).otherwise(F.col(c))
     df = df.withColumn("l_tax", gap("l_tax", "tax")).withColumn("c_mktsegment", gap("c_mktsegment", "segment"))
     df = fx.recode(df, "o_orderpriority", {"4-NOT SPECIFIED": "5-LOW"})
     monthly = df.groupBy("n_name").pivot("ship_month", list(range(1, 13))).agg(F.avg("l_extendedprice")).select(F.col("n_name").alias("nm"), *[F.col(str(i)).alias(f"m{i}") for i in range(1, 13)])
     df = df.join(F.broadcast(monthly), F.col("n_name") == F.col("nm")).withColumn("month_price", fx.pick_by_month(F.col("ship_month"), [F.col(f"m{i}") for i in range(1, 13)]))
     df = fx.fill_missing(df, ["l_tax"], ["c_mktsegment"])
-    df = fx.one_hot(df, {"o_orderpriority": fx.domain(df, "o_orderpriority")})
-    return df.select("row_id", "l_quantity", "l_tax", "c_mktsegment", "month_price", *[c for c in df.columns if c.startswith("o_orderpriority_")])
+    df = fx.one_hot(df, {"o_orderpriority": [p for p in fx.domain(load(spark, sf_dir, "orders"), "o_orderpriority") if p != "4-NOT SPECIFIED"]})
+    return df.select(*key, "l_quantity", "l_tax", "c_mktsegment", F.round("month_price", 6).alias("month_price"), *[c for c in df.columns if c.startswith("o_orderpriority_")])
+
+
+_KEY = "concat_ws('|', l_orderkey, l_linenumber, l_partkey, l_suppkey)"
+CLEAN_BIRDS_SQL = f"""
+WITH s AS (SELECT l.*, {_KEY} AS k, CASE o_orderpriority WHEN '4-NOT SPECIFIED' THEN '5-LOW' ELSE o_orderpriority END AS priority, c_mktsegment AS segment, n_name, month(l_shipdate) AS m
+  FROM lineitem l JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE l_quantity <= 45),
+p AS (SELECT n_name, m, avg(l_extendedprice) AS price FROM s GROUP BY n_name, m)
+SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, CASE WHEN {portable_sql('tax', 'k')} < 0.05 * 4294967296 THEN -9999.0::DOUBLE ELSE l_tax END AS l_tax,
+  CASE WHEN {portable_sql('segment', 'k')} < 0.05 * 4294967296 THEN 'missing' ELSE segment END AS c_mktsegment, round(price, 6) AS month_price,
+  (priority = '1-URGENT')::INT AS o_orderpriority_1_urgent, (priority = '2-HIGH')::INT AS o_orderpriority_2_high, (priority = '3-MEDIUM')::INT AS o_orderpriority_3_medium, (priority = '5-LOW')::INT AS o_orderpriority_5_low
+FROM s JOIN p USING (n_name, m)"""
 
 
 @experiment
