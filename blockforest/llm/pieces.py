@@ -25,37 +25,39 @@ _MARK = MARKER.encode()
 UNKNOWN_PENALTY = 10.0
 
 
-def read_model(path: str) -> list[tuple[str, float, int]]:
-    """(piece, score, type) from a model file's protocol buffer: field 1 of the message, fields 1-3 of each piece."""
-    raw = open(path, "rb").read()
+def _varint(raw: bytes, at: int) -> tuple[int, int]:
+    value = shift = 0
+    while True:
+        b = raw[at]
+        value |= (b & 0x7F) << shift
+        at, shift = at + 1, shift + 7
+        if b < 0x80:
+            return value, at
+
+
+def _fields(raw: bytes, at: int, stop: int):
+    """(number, value) of the fields of a protocol buffer message: an integer, or the place of the bytes."""
+    while at < stop:
+        key, at = _varint(raw, at)
+        if key & 7 == 0:
+            value, at = _varint(raw, at)
+        else:
+            n, at = _varint(raw, at) if key & 7 == 2 else (4 if key & 7 == 5 else 8, at)
+            value, at = (at, at + n), at + n
+        yield key >> 3, value
+
 
-    def varint(at):
-        value = shift = 0
-        while True:
-            b = raw[at]
-            value |= (b & 0x7F) << shift
-            at, shift = at + 1, shift + 7
-            if b < 0x80:
-                return value, at
-
-    def fields(at, stop):
-        while at < stop:
-            key, at = varint(at)
-            if key & 7 == 0:
-                value, at = varint(at)
-            elif key & 7 == 2:
-                n, at = varint(at)
-                value, at = (at, at + n), at + n
-            else:
-                n = 4 if key & 7 == 5 else 8
-                value, at = (at, at + n), at + n
-            yield key >> 3, value
-
-    out = []
-    for number, value in fields(0, len(raw)):
+def read_model(path: str) -> tuple[list[tuple[str, float, int]], dict[str, bool]]:
+    """(piece, score, type) of a model file, and its settings: a space in front (``prefix``), and blanks cut (``squeeze``).
+
+    Pieces are field 1 of the file's message, the normaliser is field 3; one that maps characters is refused.
+    """
+    raw = open(path, "rb").read()
+    out, settings = [], {"prefix": True, "squeeze": True}
+    for number, value in _fields(raw, 0, len(raw)):
         if number == 1:
             piece, score, kind = "", 0.0, 1
-            for n, v in fields(*value):
+            for n, v in _fields(raw, *value):
                 if n == 1:
                     piece = raw[v[0] : v[1]].decode()
                 elif n == 2:
@@ -63,7 +65,13 @@ def read_model(path: str) -> list[tuple[str, float, int]]:
                 elif n == 3:
                     kind = v
             out.append((piece, score, kind))
-    return out
+        elif number == 3:
+            for n, v in _fields(raw, *value):
+                if n == 2 and v[1] > v[0]:
+                    raise ValueError("the model's normaliser maps characters: such files are not supported")
+                if n in (3, 4):
+                    settings["prefix" if n == 3 else "squeeze"] = bool(v)
+    return out, settings
 
 
 class Trie:
@@ -119,7 +127,10 @@ class Trie:
 class PieceModel:
     """Pieces, log scores and the trie; ids are the file's."""
 
-    def __init__(self, pieces: list[tuple[str, float, int]]):
+    def __init__(self, pieces: list[tuple[str, float, int]], prefix: bool = True, squeeze: bool = False):
+        if squeeze:
+            raise ValueError("the model drops blanks: texts would not come back")
+        self.prefix = prefix
         normal = [(p.encode(), i) for i, (p, _, kind) in enumerate(pieces) if kind == 1 and p]
         if any(MARKER in p.lstrip(MARKER) for p, _, kind in pieces if kind == 1):
             raise ValueError("a piece has a marker behind another character: segments can't be cut apart")
@@ -204,7 +215,7 @@ class PieceModel:
         """Flat ids and the number of ids of each row of a run of texts."""
         rows = len(offsets) - 1
         # a space in front of every text that isn't empty, then markers for spaces
-        filled = np.flatnonzero(np.diff(offsets) > 0)
+        filled = np.flatnonzero(np.diff(offsets) > 0) if self.prefix else np.zeros(0, np.int64)
         text = np.insert(data, offsets[filled], 32)
         moved = offsets + np.searchsorted(filled, np.arange(rows + 1), "left")
         blank = text == 32
@@ -232,11 +243,12 @@ class PieceModel:
     def decode(self, ids) -> str:
         """Text of ids: byte pieces joined, markers as spaces, the space in front taken off."""
         raw = b"".join(map(self.piece_bytes.__getitem__, ids))
-        return (raw[1:] if raw[:1] == b" " else raw).decode("utf-8", "replace")
+        return (raw[1:] if self.prefix and raw[:1] == b" " else raw).decode("utf-8", "replace")
 
 
 def load_model(name: str = "piece_bpe_32k.model") -> PieceModel:
-    return PieceModel(read_model(vocabulary_path(name)))
+    pieces, settings = read_model(vocabulary_path(name))
+    return PieceModel(pieces, **settings)
 
 
 def _encode(batches, model, checks: bool):
@@ -252,7 +264,7 @@ def _encode(batches, model, checks: bool):
                 ids, raw = flat.tolist(), data.tobytes()
                 for r in range(len(n)):
                     piece = b"".join(map(m.piece_bytes.__getitem__, ids[bounds[r] : bounds[r + 1]]))
-                    same.append(piece[1:] == raw[offsets[r] : offsets[r + 1]])
+                    same.append(piece[m.prefix :] == raw[offsets[r] : offsets[r + 1]])
         n = np.concatenate(counts) if counts else np.zeros(0, np.int64)
         flat = np.concatenate(parts) if parts else np.zeros(0, np.int32)
         lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(n)]), pa.int32()), pa.array(flat))
@@ -275,7 +287,12 @@ def _decode(batches, model):
 
 
 def encode_pieces(docs: DataFrame, model: PieceModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``id_col, pieces array<int>`` for every row. Null and empty texts have no pieces; ids are passed through."""
+    """``id_col, pieces array<int>`` for every row.
+
+    Null and empty texts have no pieces; ids are passed through, null ones too; repeated rows get equal pieces. Of cuts with
+    equal scores the one found first stays, the same in every run. An empty table gives an empty result; texts of any length
+    are cut whole. Extra columns are ignored, whatever their names.
+    """
     kind = docs.schema[id_col].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(model)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
