@@ -81,15 +81,21 @@ def likeness(a: Column, b: Column, size: int = SIZE) -> Column:
     return F.when((a == "") | (b == ""), (a == b).cast("double")).otherwise(same / float(size))
 
 
-def with_next(docs: DataFrame, id_col: str, text_col: str, buckets: int = 512) -> DataFrame:
+#: Rows of a range of ids, and the least and most ranges.
+RANGE_ROWS, RANGES = 16_384, (512, 16_384)
+
+
+def with_next(docs: DataFrame, id_col: str, text_col: str, buckets: int | None = None) -> DataFrame:
     """Each document with the next one in descending id (after the last: the first): ``bucket, rn, id, text, next_id, next_text``.
 
-    Ids are cut into ranges of about equal counts; order is by (id, text), ``rn`` is the place in the range. A
-    range ends at its smallest row, whose next is the largest row of the range below; only these rows, one for each
-    range, meet in one task and are broadcast (at most ``buckets`` of them).
+    Ids are cut into ranges of about equal counts, whose number follows the number of rows; order is by (id, text), ``rn`` is
+    the place in the range. A range ends at its smallest row, whose next is the largest row of the range below; only these
+    rows, one for each range, meet in one task and are broadcast (at most ``buckets`` of them).
     """
+    if buckets is None:
+        buckets = min(max(docs.count() // RANGE_ROWS, RANGES[0]), RANGES[1])
     source = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    edges = sorted(set(source.agg(F.percentile_approx("id", [i / buckets for i in range(1, buckets)], 20 * buckets)).first()[0] or []))
+    edges = sorted(set(source.agg(F.percentile_approx("id", [i / buckets for i in range(1, buckets)], min(20 * buckets, 100_000))).first()[0] or []))
     ranged = source.withColumn("bucket", _count_not_above(edges, F.col("id")))
     down = Window.partitionBy("bucket").orderBy(F.col("id").desc_nulls_last(), F.col("text").desc())
     here = ranged.select("bucket", F.row_number().over(down).alias("rn"), "id", "text", F.lead(F.struct("id", "text")).over(down).alias("follower"))
@@ -127,8 +133,10 @@ def edited_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     """Fingerprints of every text and of its edited text, and how alike they and the next document's are.
 
     Columns: ``id_col, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next``. A null
-    text is empty. A text without a letter or digit has the empty fingerprint. Rows with equal ids are ordered by
-    their texts; equal rows stay apart. Null ids come last. Extra columns are ignored.
+    text is empty. A text without a letter or digit has the empty fingerprint, so two different ones of them have equal
+    fingerprints and a likeness of 1. Rows with equal ids are ordered by their texts; equal rows stay apart. Null ids come
+    last. An empty table gives an empty result; texts of any length are taken whole. Extra columns are ignored, whatever
+    their names.
     """
     rows = with_next(docs, id_col, text_col).withColumn("edited", edited_text(F.col("text"), F.col("next_text")))
     facts = rows.select("bucket", "rn", "id", "next_id", F.xxhash64("text").alias("hash"), F.xxhash64("next_text").alias("next_hash"), F.char_length("text").cast("long").alias("n_chars"), F.sha2("edited", 256).alias("edited_sha256"))
