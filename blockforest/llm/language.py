@@ -219,7 +219,9 @@ def label_languages(docs: DataFrame, model: Model, id_col: str = "doc_id", text_
     """One row per document: ``id_col, lang_pred, score`` and, if asked for, ``spans`` (code points, end exclusive).
 
     ``score`` is the share of letters in spans of the predicted language. Texts that are null or have no letter are
-    ``und`` with score 0 and no spans. Ids are passed through, repeated rows get equal results, extra columns are ignored.
+    ``und`` with score 0 and no spans. Ids are passed through, null ones too; repeated rows get equal results. An empty table
+    gives an empty result; texts of any length are labelled whole; of equal languages the first by name wins. Extra columns are
+    ignored, whatever their names.
     """
     kind = docs.schema[id_col].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(model)

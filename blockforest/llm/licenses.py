@@ -174,8 +174,9 @@ def _scan(batches, templates: Templates):
 def find_licenses(docs: DataFrame, templates: dict[str, str] | None = None, id_col: str = "doc_id", text_col: str = "text", percent: int = CONTAINED) -> DataFrame:
     """``id_col, licenses array<string>``: templates of which a stretch of text holds ``percent`` of the shingles.
 
-    A template whose shingles there all belong to another template that is held to a larger share is left out. The names are sorted. Null and empty texts have none; ids are passed through, repeated rows get equal results,
-    extra columns are ignored.
+    A template whose shingles there all belong to another template that is held to a larger share is left out. The names are
+    sorted. Null and empty texts have none; ids are passed through, null ones too; repeated rows get equal results. An empty
+    table gives an empty result; texts of any length are scanned whole. Extra columns are ignored, whatever their names.
     """
     kind = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))

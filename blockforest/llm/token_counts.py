@@ -102,7 +102,8 @@ def token_counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     No begin, end or added special tokens, no truncation or padding; a special string inside a text is the one
     token that the library takes it for. ``vocabulary`` is a public file's name or a path that every worker
-    can open. Null and empty texts have 0 bytes and tokens; ids are passed through, null and repeated ones too.
+    can open. Null and empty texts have 0 bytes and tokens; ids are passed through, null and repeated ones too. An empty
+    table gives an empty result; texts of any length are counted whole. Extra columns are ignored, whatever their names.
     """
     kind = docs.schema[id_col].dataType.simpleString()
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
