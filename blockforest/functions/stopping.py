@@ -332,6 +332,15 @@ def thresholds(spark: SparkSession, rule: Rule) -> DataFrame:
     return spark.range(1, rule.m + 1).select(n.alias("n"), lead_column(rule, n).alias("min_lead"))
 
 
+def stored_thresholds(spark: SparkSession, rule: Rule, folder: str) -> DataFrame:
+    """``thresholds`` kept as Parquet: built by the first session that asks for them, read by all others."""
+    path = f"{folder.rstrip('/')}/{rule.name}_m{rule.m}_a{rule.alpha!r}_v{rule.least}"
+    place = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    if not place.getFileSystem(spark._jsc.hadoopConfiguration()).exists(place):
+        thresholds(spark, rule).coalesce(1).write.mode("overwrite").parquet(path)
+    return spark.read.parquet(path)
+
+
 def gaussian_stop(lead: Column, n: Column, rule: Rule) -> Column:
     return F.coalesce(lead >= lead_column(rule, n), F.lit(False))
 

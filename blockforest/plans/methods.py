@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from ..functions import measures
 from ..functions.hashing import PortableRng, portable_hash, portable_sql
-from ..functions.stopping import Rule, correction_column, thresholds, thresholds_sql
+from ..functions.stopping import Rule, correction_column, stored_thresholds, thresholds, thresholds_sql
 from ..operators import blocks, committee, sampling, scoring, splits, tree
 from ..operators import features as fx
 from ..operators.model import MegaForest
@@ -50,6 +50,7 @@ add("char_proportions_docs", lambda s, d: load(s, d, "documents").select("doc_id
 add("char_proportions_pages", lambda s, d: load(s, d, "pages").select("page_id", F.regexp_replace("html", "<[^>]*>", " ").alias("text")).select("page_id", *fx.char_proportions(F.col("text"), 8)), f"SELECT page_id, {_SHARES} FROM (SELECT page_id, regexp_replace(html, '<[^>]*>', ' ', 'g') AS text FROM pages)")
 add("char_histogram_arrow", lambda s, d: fx.char_histograms(load(s, d, "documents"), "doc_id").select(F.col("row_id").alias("doc_id"), *[F.round(F.col("features")[i], 8).alias(n) for i, n in enumerate(fx.CHAR_FEATURES)]), f"SELECT doc_id, {_SHARES} FROM documents")
 add("html_lang_label", lambda s, d: load(s, d, "pages").select("page_id", fx.html_lang(F.col("html")).alias("lang")).withColumn("label", (F.col("lang") == "en").cast("int")), """SELECT page_id, regexp_extract(html, '<html[^>]*lang="([a-z]+)"', 1) AS lang, (regexp_extract(html, '<html[^>]*lang="([a-z]+)"', 1) = 'en')::INT AS label FROM pages""")
+add("html_text_pages", lambda s, d: load(s, d, "pages").select("page_id", F.md5(fx.html_text(F.col("html"))).alias("text_md5"), F.length(fx.html_text(F.col("html"))).alias("n")), "SELECT page_id, md5(t) AS text_md5, length(t)::INT AS n FROM (SELECT page_id, regexp_replace(regexp_replace(html, '(?is)<(script|style)[^>]*>.*?</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g') AS t FROM pages)")
 _SEGMENTS = ["AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"]
 add("one_hot_customers", lambda s, d: fx.one_hot(load(s, d, "customer"), {"c_mktsegment": _SEGMENTS}).select("c_custkey", *[f"c_mktsegment_{x.lower()}" for x in _SEGMENTS]), "SELECT c_custkey, " + ", ".join(f"(c_mktsegment = '{x}')::INT AS c_mktsegment_{x.lower()}" for x in _SEGMENTS) + " FROM customer")
 
@@ -159,6 +160,7 @@ for _name, _rule in _LAZY_RULES.items():
 for _name, _m, _alpha in (("g1_fpc", 1000, 0.01), ("g1", 1000, 0.01), ("g2_fpc", 1000, 1e-3), ("g2", 1000, 1e-4), ("chebyshev", 500, 0.01), ("chernoff", 500, 0.01), ("certain", 101, 0.01), ("bayes", 50, 0.01)):
     add(f"thresholds_{_name}", lambda s, d, r=Rule(_name, _m, _alpha): thresholds(s, r), thresholds_sql(Rule(_name, _m, _alpha)))
 _LEVELS = (0.05, 0.01, 0.005, 0.001, 0.0001)
+add("thresholds_stored", lambda s, d: stored_thresholds(s, Rule("g1_fpc", 300, 0.001), shared_path(s, "thresholds")), thresholds_sql(Rule("g1_fpc", 300, 0.001)))
 add("min_votes_table", lambda s, d: s.createDataFrame([(a, Rule("g1_fpc", 1000, a).least) for a in _LEVELS], "alpha double, votes int"), "SELECT a::DOUBLE AS alpha, v::INT AS votes FROM (VALUES (0.05, 15), (0.01, 15), (0.005, 30), (0.001, 30), (0.0001, 45)) t(a, v)")
 add("fpc_table", lambda s, d: s.range(1, 201).select(F.col("id").cast("int").alias("n"), F.round(correction_column(F.col("id"), 200), 10).alias("factor")), "SELECT n::INT AS n, round(CASE WHEN n > 10 THEN sqrt((200.0::DOUBLE - n) / 199.0::DOUBLE) ELSE 1.0::DOUBLE END, 10) AS factor FROM range(1, 201) t(n)")
 add("vote_tally", lambda s, d: scoring.tally_votes(hash_votes(s, d)), f"SELECT row_id, vote, count(*) AS n FROM {_VOTES} GROUP BY 1, 2")
@@ -497,6 +499,8 @@ add("stump_forest_importance", lambda s, d: _stump_rows(stump_forest(s, d, STEER
 add("stump_importance_votes", lambda s, d: scoring.predict_full(*stump_forest(s, d, STEERED)).select("row_id", "prediction", "votes_used"), duck(_CHAIN + " SELECT row_id, (2 * sum(vote) > count(*))::INT AS prediction, count(*)::INT AS votes_used FROM (SELECT row_id, CASE WHEN value <= threshold THEN lcls ELSE rcls END AS vote FROM test JOIN stump USING (f)) GROUP BY row_id"))
 add("stump_importance_oob", lambda s, d: stump_forest(s, d, STEERED)[0].trees.select("block", "iter", F.round("oob_error", 8).alias("oob_error")), duck(_CHAIN + " " + _ERRORS))
 
+add("forest_prune", lambda s, d: stump_forest(s, d, STEERED)[0].prune(5).trees.select("block", "iter"), duck(_CHAIN + ' SELECT block, "iter" FROM (' + _ERRORS.replace("round(", "(").replace(", 8)", ")") + ') ORDER BY oob_error, block * 1000000 + "iter" LIMIT 5'))
+
 # -- what is left: metadata, storage, times -------------------------------------------------------------------------
 
 add("drop_metadata", lambda s, d: fx.drop_metadata(load(s, d, "documents"), "text", "source"), "SELECT doc_id, lang, n_chars FROM documents")

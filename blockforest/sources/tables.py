@@ -75,3 +75,8 @@ def block_storage(spark: SparkSession, path: str) -> DataFrame:
     rows = spark.read.parquet(path).select("block", "_metadata.file_path", "_metadata.file_size")
     files = rows.groupBy("block", "file_path").agg(F.count(F.lit(1)).alias("rows"), F.max("file_size").alias("bytes"))
     return files.groupBy("block").agg(F.sum("rows").alias("rows"), F.count(F.lit(1)).alias("files"), F.sum("bytes").alias("bytes"))
+
+
+def append_metrics(df: DataFrame, path: str) -> None:
+    """Rows of ``workload, metric, value, params`` to a growing table with a folder for each workload."""
+    write(df.select("workload", "metric", "value", "params"), path, partition_by=("workload",), mode="append")

@@ -59,6 +59,11 @@ def votes_by_window(predictions: DataFrame, width: str = "1 hour") -> DataFrame:
     return means.select(F.col("w.start").cast("timestamp_ntz").alias("start"), "votes", "early")
 
 
+def late_rows(query) -> int:
+    """Rows that a query dropped because they came behind its watermark, as far as its progress reports go back."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
+
+
 def deduplicated(events: DataFrame) -> DataFrame:
     """Repeats of an event inside the watermark go."""
     return events.dropDuplicatesWithinWatermark(["event_id"])

@@ -282,3 +282,9 @@ def test_bayes_over_several_classes():
     assert (pairs == exact).mean() > 0.7
     with pytest.raises(ValueError):
         Rule("bayes", 20, multi="else")
+
+
+def test_map_only_union_has_the_same_trees(rows, forest):
+    here = model.merge_ensembles(train.train_blocks(assign_blocks(rows, 4), PARAMS), PARAMS, mode="map")
+    key = lambda trees: sorted((r.tree_id, r.ens_part, tuple(r.threshold)) for r in trees.collect())
+    assert key(here.trees) == key(forest.trees)

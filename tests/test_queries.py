@@ -125,3 +125,34 @@ def test_readers_and_sinks(spark, tmp_path):
     assert tables.block_storage(spark, f"{tmp_path}/blocks").count() == 2
     assert tables.read_stream(spark, "parquet", f"{tmp_path}/parquet", "block int, v string").isStreaming
     assert tables.read_stream(spark, "rate").isStreaming
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    import os
+
+    from blockforest.streaming import streams
+
+    def put(name, at, times):
+        rows = ", ".join(f"({i}, timestamp_ntz'2024-01-01 {t}', 1L, 'click', 0D, '')" for i, t in enumerate(times))
+        spark.sql(f"SELECT cast(col1 AS long) AS event_id, col2 AS ts, col3 AS user_id, col4 AS event_type, col5 AS value, col6 AS props FROM VALUES {rows}").coalesce(1).write.parquet(f"{tmp_path}/{name}")
+        file = tmp_path / f"events_{name}.parquet"
+        next((tmp_path / name).glob("*.parquet")).rename(file)
+        os.utime(file, (at, at))
+
+    put("a", 1_700_000_000, ["10:00:00", "12:00:00"])
+    put("b", 1_700_000_100, ["15:00:00"])
+    put("c", 1_700_000_200, ["10:30:00", "14:30:00"])
+    counted = streams.tumbling(streams.events_stream(spark, str(tmp_path)), "1 hour")
+    query = counted.writeStream.format("memory").queryName("late").outputMode("append").option("checkpointLocation", f"{tmp_path}/ck").trigger(availableNow=True).start()
+    query.awaitTermination()
+    assert streams.late_rows(query) == 1
+
+
+def test_metrics_grow(spark, tmp_path):
+    from blockforest.plans.workloads import metric_rows
+    from blockforest.sources.tables import append_metrics
+
+    for k in range(2):
+        append_metrics(metric_rows(spark, [("w", "accuracy", 0.5 + k, {"m": k}), ("v", "ms", 1, {})]), f"{tmp_path}/metrics")
+    got = spark.read.parquet(f"{tmp_path}/metrics")
+    assert got.count() == 4 and got.where("workload = 'w'").agg(F.sum("value")).first()[0] == 2.0
