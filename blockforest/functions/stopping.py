@@ -306,6 +306,11 @@ def correction_column(n: Column, m: int) -> Column:
     return F.when(n > 0.05 * m, F.sqrt((float(m) - n) / float(max(m - 1, 1)))).otherwise(F.lit(1.0))
 
 
+def table_literal(rule: Rule) -> Column:
+    """The table of a rule as one folded literal: entry n (from 1) is the threshold after n votes."""
+    return F.split(F.lit(",".join(map(str, _leads(rule)[1:].tolist()))), ",").cast("array<int>")
+
+
 def lead_column(rule: Rule, n: Column) -> Column:
     """Threshold after n votes as a column expression (null where the vote can't stop)."""
     kind, _, fpc = RULES[rule.name]
@@ -317,8 +322,7 @@ def lead_column(rule: Rule, n: Column) -> Column:
     elif kind == "chernoff":
         lead = F.floor(x * (0.5 + F.sqrt(F.lit(math.log(1 / rule.alpha)) / (2.0 * x)))) + 1
     elif kind == "bayes":
-        table = F.array(*[F.lit(int(v)) for v in _leads(rule)[1:]])
-        lead = F.element_at(table, n.cast("int")).cast("long")
+        lead = F.element_at(table_literal(rule), n.cast("int")).cast("long")
     else:
         rho = correction_column(n, rule.m) if fpc else F.lit(1.0)
         c = F.lit(rule.square()) * rho * rho / x

@@ -61,13 +61,12 @@ def partition_by_block(df: DataFrame, n_blocks: int, column: str = "block") -> D
 
 def block_balance(df: DataFrame, label: str = "label") -> DataFrame:
     """Per block: rows, share of each class minus the overall share (largest), chi-square against equal shares."""
-    cells = df.groupBy("block", label).agg(F.count(F.lit(1)).alias("n"))
+    cells, rows = df.groupBy("block", label).agg(F.count(F.lit(1)).alias("n")), df.count()
     blocks, classes = Window.partitionBy("block"), Window.partitionBy(label)
-    total = cells.agg(F.sum("n").alias("total"))
-    full = cells.select("block", label, "n", F.sum("n").over(blocks).alias("size"), F.sum("n").over(classes).alias("of_class")).join(F.broadcast(total))
-    expected = F.col("size") * F.col("of_class") / F.col("total")
+    full = cells.select("block", label, "n", F.sum("n").over(blocks).alias("size"), F.sum("n").over(classes).alias("of_class"))
+    expected = F.col("size") * F.col("of_class") / F.lit(rows)
     return full.groupBy("block").agg(
         F.max("size").cast("long").alias("rows"),
-        F.round(F.max(F.abs(F.col("n") / F.col("size") - F.col("of_class") / F.col("total"))), 8).alias("max_deviation"),
+        F.round(F.max(F.abs(F.col("n") / F.col("size") - F.col("of_class") / F.lit(rows))), 8).alias("max_deviation"),
         F.round(F.sum((F.col("n") - expected) * (F.col("n") - expected) / expected), 6).alias("chi_square"),
     )

@@ -34,12 +34,12 @@ class MegaForest:
         """Independently trained forests add up; numbers of the second are moved behind the first's."""
         if self.params.features != other.params.features or self.params.n_classes != other.params.n_classes:
             raise ValueError("forests over different features or classes can't be merged")
-        top = self.trees.agg(F.coalesce(F.max("block"), F.lit(-1)).alias("top"))
         clash = self.trees.select("tree_id").join(other.trees.select("tree_id"), "tree_id", "left_semi").limit(1).count()
         theirs = other.trees
         if clash:
-            moved = theirs.join(F.broadcast(top)).withColumn("block", (F.col("block") + F.col("top") + 1).cast("int"))
-            theirs = moved.withColumn("tree_id", F.col("block").cast("long") * 1_000_000 + F.col("iter")).drop("top")
+            behind = self.trees.agg(F.coalesce(F.max("block"), F.lit(-1)) + 1).first()[0]
+            moved = theirs.withColumn("block", (F.col("block") + behind).cast("int"))
+            theirs = moved.withColumn("tree_id", F.col("block").cast("long") * 1_000_000 + F.col("iter"))
         params = replace(self.params, n_blocks=self.params.n_blocks + other.params.n_blocks, n_trees=max(self.params.n_trees, other.params.n_trees), n_parts=max(self.params.n_parts, other.params.n_parts))
         return MegaForest(self.trees.unionByName(theirs), params)
 

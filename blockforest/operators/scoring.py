@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import derive_seed, fast_hash, portable_hash
-from ..functions.stopping import RULES, Rule, threshold_table
+from ..functions.stopping import RULES, Rule, table_literal, threshold_table
 from .model import MegaForest, Packed, pack
 from .schemas import PREDICTION
 from .train import matrix
@@ -213,8 +213,7 @@ def stop_column(rule: Rule, top: Column, second: Column, n: Column) -> Column:
     if kind == "certain":
         stop = top > second + (rule.m - n)
     elif kind == "bayes":
-        leads = threshold_table(rule)
-        stop = top >= F.element_at(F.array(*[F.lit(int(v)) for v in leads[1:]]), n.cast("int"))
+        stop = top >= F.element_at(table_literal(rule), n.cast("int"))
     elif kind == "full":
         stop = F.lit(False)
     else:

@@ -125,9 +125,8 @@ _PLACE = f"(({portable_sql('permute', 'tree_id')} % 1000003) * 64 + tree_id)"
 
 def hash_votes(s, d, m: int = M) -> DataFrame:
     """Votes of m members on the ids of documents: a member says 1 if its hash is below the document's share."""
-    t = s.range(m).select(F.col("id").cast("int").alias("tree_id"))
-    docs = load(s, d, "documents").select(F.col("doc_id").alias("row_id"))
-    return docs.join(F.broadcast(t)).select("row_id", "tree_id", (portable_hash("v", F.concat_ws(":", F.col("tree_id").cast("string"), F.col("row_id").cast("string"))) < portable_hash("p", F.col("row_id"))).cast("int").alias("vote"))
+    docs = load(s, d, "documents").select(F.col("doc_id").alias("row_id"), F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("tree_id"))
+    return docs.select("row_id", "tree_id", (portable_hash("v", F.concat_ws(":", F.col("tree_id").cast("string"), F.col("row_id").cast("string"))) < portable_hash("p", F.col("row_id"))).cast("int").alias("vote"))
 
 
 def truth(s, d) -> DataFrame:
