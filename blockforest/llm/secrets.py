@@ -165,16 +165,17 @@ class Field:
         return tags[::-1]
 
 
-def train(windows: list[tuple[np.ndarray, np.ndarray]], epochs: int = 40, rate: float = 0.3, ridge: float = 1e-3) -> Field:
-    """Maximum likelihood by forward-backward over windows (slots, tags) and adaptive gradient steps."""
+def train(slots: np.ndarray, tags: np.ndarray, epochs: int = 40, rate: float = 0.3, ridge: float = 1e-3) -> Field:
+    """Maximum likelihood by forward-backward over windows and adaptive gradient steps.
+
+    ``slots`` [window, token, feature] and ``tags`` [window, token], -1 behind a window's end.
+    """
     field = Field()
-    if not windows:
+    if not len(tags):
         return field
-    width = max(len(y) for _, y in windows)
-    n, j = len(windows), windows[0][0].shape[1]
-    slots, tags, mask = np.zeros((n, width, j), np.int64), np.full((n, width), _O), np.zeros((n, width), bool)
-    for i, (x, y) in enumerate(windows):
-        slots[i, : len(y)], tags[i, : len(y)], mask[i, : len(y)] = x, y, True
+    mask = tags >= 0
+    slots, tags = slots.astype(np.int64), np.where(mask, tags, _O)
+    n, width, j = slots.shape
     flat = slots[mask].ravel()
     memory, tmemory = np.full((_SLOTS, 3), 1e-3), np.full((3, 3), 1e-3)
     weights = np.zeros((_SLOTS, 3))
@@ -258,9 +259,9 @@ def with_made_assignment(raw: bytes, rng: np.random.Generator, secret: bool, nam
 
 
 def _training_windows(batches):
-    """Stretches around pattern spans, around a made secret and a plain value, and one from elsewhere, of every document."""
+    """Stretches around pattern spans, around a made secret and a plain value, and one from elsewhere, of every document: tags, then slots."""
     for batch in batches:
-        slots, tags = [], []
+        out = []
         for first, end_row, data, offsets in chunks(batch.column(0)):
             raw, texts, made = data.tobytes(), [], []
             for r in range(end_row - first):
@@ -291,10 +292,17 @@ def _training_windows(batches):
                         centres = [*np.flatnonzero(y == _B)[:3].tolist(), int(mix64(np.array([b - a], np.uint64))[0] % np.uint64(b - a))]
                     for at in centres:
                         u, v = max(0, at - _AROUND), min(b - a, at + _AROUND)
-                        slots.append(x[a + u : a + v].ravel())
-                        tags.append(y[u:v])
-        lists = [pa.array([s.tolist() for s in k], pa.list_(pa.int32())) for k in (slots, tags)]
-        yield pa.RecordBatch.from_arrays(lists, names=["slots", "tags"])
+                        window, marks = np.zeros((2 * _AROUND, x.shape[1]), "<i2"), np.full(2 * _AROUND, -1, np.int8)
+                        window[: v - u], marks[: v - u] = x[a + u : a + v], y[u:v]
+                        out.append(marks.tobytes() + window.tobytes())
+        yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["window"])
+
+
+def windows_as_arrays(windows: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Slots and tags of training windows, in an order that does not depend on how they came."""
+    raw = np.frombuffer(b"".join(sorted(windows)), np.uint8).reshape(len(windows), -1) if windows else np.zeros((0, 2 * _AROUND), np.uint8)
+    tags = raw[:, : 2 * _AROUND].view(np.int8).astype(np.int64)
+    return raw[:, 2 * _AROUND :].copy().view("<i2").reshape(len(windows), 2 * _AROUND, -1) if windows else np.zeros((0, 2 * _AROUND, 1)), tags
 
 
 def _flag(batches):
@@ -318,10 +326,9 @@ def fit_field(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", b
     by_hash = lambda rows, n: rows.orderBy(F.xxhash64("id"), "id").limit(n).select(F.col("id").alias("sample_id"))
     chosen = by_hash(flags.where("has"), bound).unionAll(by_hash(flags.where("not has"), bound // 2))
     rows = source.join(F.broadcast(chosen), F.col("id") == F.col("sample_id"), "left_semi").groupBy("id").agg(F.min("text").alias("text"))
-    got = map_batches(rows.select("text"), _training_windows, "slots array<int>, tags array<int>").collect()
+    windows = map_batches(rows.select("text"), _training_windows, "window binary").toArrow()["window"].to_pylist()
     drop_cut(flags)
-    order = sorted(got, key=lambda r: (r.tags, r.slots))
-    return train([(np.array(r.slots).reshape(len(r.tags), -1), np.array(r.tags)) for r in order if r.tags])
+    return train(*windows_as_arrays(windows))
 
 
 def field_spans(field: Field, data: np.ndarray, offsets: np.ndarray):
