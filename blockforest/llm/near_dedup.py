@@ -171,19 +171,20 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     reps = known.groupBy("d1", "d2", "n_shingles").agg(F.min("id").alias("id"))
     nodes = known.join(reps, ["d1", "d2", "n_shingles", "id"], "left_semi").dropDuplicates(["id", "d1", "d2"])
     filed = nodes.select("id", "n_shingles", F.posexplode("bands").alias("band", "key")).select("id", "n_shingles", F.xxhash64("band", "key").alias("bucket"))
-    # Two pivots for a bucket: the smallest id and the smallest scattered id.
-    scattered = (F.xxhash64("id").bitwiseAND(0x7FFFFFFF)).alias("s")
-    pivots = filed.withColumn("s", scattered).groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("p1"), F.min("s").alias("s2")).where("n > 1 and p1 is not null")
-    shared = cut(filed.join(pivots.select("bucket", "p1", "s2"), "bucket"))
-    second = shared.where(scattered == F.col("s2")).groupBy("bucket").agg(F.min("id").alias("p2"))
-    stars = shared.join(second, "bucket").select("id", F.explode(F.array("p1", "p2")).alias("pivot")).where("id <> pivot")
-    stars = stars.select(F.greatest("id", "pivot").alias("member"), F.least("id", "pivot").alias("pivot")).distinct()
-    stars = cut(stars)
+    # Two pivots for a bucket: the smallest id, and the smallest after its bits are turned by the bucket's own hash. What joins meet
+    # by a hot key is written first: both sides are then plain exchanges, which adaptive execution splits.
+    turned = F.xxhash64("bucket")
+    pivots = filed.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("p1"), F.min(F.col("id").bitwiseXOR(turned)).alias("p2")).where("n > 1")
+    pivots = cut(pivots.select("bucket", "p1", F.col("p2").bitwiseXOR(turned).alias("p2")))
+    shared = cut(filed.join(pivots, "bucket"))
+    stars = shared.select("id", F.explode(F.array("p1", "p2")).alias("pivot")).where("id <> pivot")
+    stars = cut(stars.select(F.greatest("id", "pivot").alias("member"), F.least("id", "pivot").alias("pivot")).distinct())
     wanted = shared.select("id").distinct()
     sets = cut(map_batches(source.join(wanted, "id", "left_semi"), partial(_sets, k=k), "id long, shingles array<long>"))
 
     # 1st comparison: members against their pivots; a pivot of many members is copied to several tasks.
     load = stars.groupBy("pivot").agg(F.ceil(F.count(F.lit(1)) / 256).alias("blocks"))
+    load = cut(load)
     against = stars.join(load, "pivot").join(sets, stars.member == sets.id).select(F.col("pivot").alias("grp"), F.pmod(F.xxhash64("member"), "blocks").cast("int").alias("blk"), F.lit(1).alias("role"), F.col("member").alias("doc"), F.col("member").alias("comp"), "shingles")
     heads = load.join(sets, load.pivot == sets.id).select(F.col("pivot").alias("grp"), F.explode(F.sequence(F.lit(0), (F.col("blocks") - 1).cast("int"))).alias("blk"), F.lit(0).alias("role"), F.col("pivot").alias("doc"), F.col("pivot").alias("comp"), "shingles")
     first = cut(confirmed_links(against.unionByName(heads), percent))
@@ -193,7 +194,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     placed = shared.select("id", "bucket", "n_shingles").join(found, shared.id == found.node, "left").select("bucket", "id", "n_shingles", F.coalesce("component", "id").alias("comp"))
     sizes = placed.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("n"), F.sum("n_shingles").alias("load"))
     open_buckets = sizes.groupBy("bucket").agg(F.count(F.lit(1)).alias("comps"), F.max(F.struct("n", "comp")).alias("main"), F.sum("load").alias("load")).where("comps > 1")
-    open_buckets = open_buckets.select("bucket", F.col("main.comp").alias("main"), F.ceil(F.col("load") / BLOCK_SHINGLES).alias("blocks"))
+    open_buckets = cut(open_buckets.select("bucket", F.col("main.comp").alias("main"), F.ceil(F.col("load") / BLOCK_SHINGLES).alias("blocks")))
     rest = cut(placed.join(open_buckets, "bucket").select("bucket", "id", "comp", "main", "blocks"))
     block = F.pmod(F.xxhash64("id"), "blocks").cast("int")
     indexed = rest.select("bucket", block.alias("blk"), F.lit(0).alias("role"), "id", "comp")
@@ -203,7 +204,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     final = components(links)
 
     classes = cut(reps.join(final, reps.id == final.node, "left").select("d1", "d2", F.col("n_shingles").alias("n"), F.coalesce("component", "id").alias("component")))
-    for table in (shared, stars, sets, first, found, rest, final):
+    for table in (pivots, shared, stars, load, sets, first, found, open_buckets, rest, final):
         drop_cut(table)
     s = signed_docs.drop("bands")
     out = s.join(classes, (s.d1 == classes.d1) & (s.d2 == classes.d2) & (s.n_shingles == classes.n) & (s.n_shingles > 0), "left")
