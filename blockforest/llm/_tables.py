@@ -2,31 +2,17 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder in ``spark.checkpoint.dir``; a temporary one only where a local session names none (tests)."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
-            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
-        known = getattr(spark.sparkContext, "_own_shared_folder", None)
-        folder = known or tempfile.mkdtemp(prefix="shared_tables_")
-        spark.sparkContext._own_shared_folder = folder
-    return folder.rstrip("/")
+from ..sources.tables import shared_path
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Write ``df`` as Parquet to the shared folder and read it back: later stages restart from there."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/tables/{uuid.uuid4().hex}"
+    """Write ``df`` as Parquet to the session's shared folder and read it back: later stages restart from there."""
+    path = shared_path(df.sparkSession, "tables")
     df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._cut_path = path
     return out
 
