@@ -21,7 +21,7 @@ from ..operators import blocks, committee, sampling, scoring, splits, tree
 from ..operators import features as fx
 from ..operators.model import MegaForest
 from ..operators.schemas import TREE, ForestParams
-from ..operators.train import matrix, train_mega_forest
+from ..operators.train import matrix, train_in_waves, train_mega_forest, train_serial, train_until_plateau, tune_bite_size
 from ..sources.tables import block_storage, load, shared_path, views, write_blocks
 
 Q: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]] = {}
@@ -500,6 +500,81 @@ add("stump_importance_oob", lambda s, d: stump_forest(s, d, STEERED)[0].trees.se
 
 add("forest_prune", lambda s, d: stump_forest(s, d, STEERED)[0].prune(5).trees.select("block", "iter"), duck(_CHAIN + ' SELECT block, "iter" FROM (' + _ERRORS.replace("round(", "(").replace(", 8)", ")") + ') ORDER BY oob_error, block * 1000000 + "iter" LIMIT 5'))
 
+# -- the experiments in small, on forests of stumps: serial, waves, plateau, bite sizes, floors, lazy measures ------------------
+
+
+def _waves(s, d) -> DataFrame:
+    return _stump_rows(train_in_waves(stump_sets(s, d)[0], STUMPS, shared_path(s, "forests"), wave=3))
+
+
+def _plateau(s, d) -> DataFrame:
+    train, test = stump_sets(s, d)
+    _, seen = train_until_plateau(train.drop("block"), STUMPS, test, tolerance=-1.0)
+    return s.createDataFrame([(q, round(share, 8)) for q, share in seen], "blocks int, accuracy double")
+
+
+_TREE_ROWS = 'SELECT block, i::INT AS "iter", feature, round(threshold, 8) AS threshold, lcls, rcls FROM stump'
+add("stump_forest_serial", lambda s, d: _stump_rows(train_serial(stump_sets(s, d)[0], STUMPS)), duck(_STUMPS + _TREE_ROWS + " WHERE block = 0"))
+add("stump_forest_waves", _waves, duck(_STUMPS + _TREE_ROWS))
+add("stump_forest_plateau", _plateau, duck(_STUMPS + """, cell AS (SELECT q, row_id, label, sum(vote) AS ones, count(*) AS m FROM vote, (VALUES (1), (2), (4)) a(q) WHERE tree_id // 1000000 < q GROUP BY ALL)
+SELECT q AS blocks, round(avg(((2 * ones > m)::INT = label)::INT), 8) AS accuracy FROM cell GROUP BY q"""))
+#: The first block at two bite sizes: block numbers of the draws are the sizes' places in the list.
+_SIZES = (20, 60)
+_BY_SIZE = _STUMPS.replace("(SELECT DISTINCT block, row_id FROM train)", "(SELECT DISTINCT q AS block, row_id FROM train, range(2) z(q) WHERE block = 0)").replace("FROM trees, range(60) t(s))", f"FROM trees, range({max(_SIZES)}) t(s) WHERE s < CASE block WHEN 0 THEN {_SIZES[0]} ELSE {_SIZES[1]} END)")
+assert _BY_SIZE.count("z(q)") == 1 and _BY_SIZE.count("CASE block") == 1
+
+
+def _bite_sizes(s, d) -> DataFrame:
+    train, test = stump_sets(s, d)
+    return tune_bite_size(train, list(_SIZES), STUMPS, test).select("bite_size", F.round("accuracy", 8).alias("accuracy"), "nodes")
+
+
+add("stump_bite_sizes", _bite_sizes, duck(_BY_SIZE + f""", cell AS (SELECT tree_id // 1000000 AS block, row_id, label, sum(vote) AS ones, count(*) AS m FROM vote GROUP BY ALL)
+SELECT CASE block WHEN 0 THEN {_SIZES[0]} ELSE {_SIZES[1]} END::INT AS bite_size, round(avg(((2 * ones > m)::INT = label)::INT), 8) AS accuracy, (3 * max(m))::BIGINT AS nodes FROM cell GROUP BY block"""))
+_FLOOR = ForestParams(n_trees=1, bite_size=41, n_blocks=1, n_parts=1, sampler="bagging", learner="majority", draws="portable")
+
+
+def _floor(s, d) -> DataFrame:
+    train, test = stump_sets(s, d)
+    pred = scoring.predict_full(train_mega_forest(train.drop("block"), _FLOOR), test)
+    return measures.accuracy(pred, test).select(F.round("accuracy", 8).alias("accuracy"))
+
+
+add("floor_majority", _floor, duck(_LONG + """, train AS (SELECT row_id, label, row_number() OVER (ORDER BY row_id) - 1 AS rk, count(*) OVER () AS size FROM (SELECT DISTINCT row_id, label FROM x WHERE {h[split|row_id]} % 5 <> 0)),
+bite AS (SELECT label FROM (SELECT {h[choice-42|concat('0:0:', s)]} AS draw FROM range(41) t(s)) JOIN train ON rk = draw % size)
+SELECT round(avg((label = (SELECT (2 * sum(label) > count(*))::INT FROM bite))::INT), 8) AS accuracy FROM (SELECT DISTINCT row_id, label FROM x WHERE {h[split|row_id]} % 5 = 0)"""))
+_LEVELS_OF_STUMPS = (0.2, 0.05, 0.01)
+
+
+def _lazy_measures(s, d) -> DataFrame:
+    """Evaluation fraction, relative error and disagreement by level."""
+    forest, test = stump_forest(s, d)
+    full, out = scoring.predict_full(forest, test), None
+    for alpha in _LEVELS_OF_STUMPS:
+        lazy = scoring.predict_lazy(forest, test, "g1_fpc", alpha, min_votes=3, portable=True)
+        parts = [measures.eval_fraction(lazy, 20), measures.relative_error(lazy, full, test), measures.disagreement(lazy, full)]
+        values = [F.lit(v).cast("double").alias(c) for part in parts for c, v in part.first().asDict().items()]
+        one = s.range(1).select(F.lit(alpha).alias("alpha"), *values).select("alpha", *[F.round(c, 8).alias(c) for c in ("eval_fraction", "savings", "relative_error", "disagreement")])
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+_RING = _STUMPS + """, place AS (SELECT tree_id, row_number() OVER (ORDER BY {h[permute|tree_id]}, tree_id) - 1 AS nth FROM (SELECT DISTINCT tree_id FROM vote)),
+ring AS (SELECT row_id, vote, (nth - {h[offset-7|row_id]} % 20 + 20) % 20 + 1 AS pos FROM vote JOIN place USING (tree_id)),
+run AS (SELECT row_id, pos, sum(vote) OVER (PARTITION BY row_id ORDER BY pos) AS ones FROM ring)
+"""
+
+
+def _stops_sql(alpha: float) -> str:
+    rule = Rule("g1_fpc", 20, alpha, 3)
+    return f"SELECT {alpha!r}::DOUBLE AS alpha, row_id, (2 * ones > pos)::INT AS prediction, pos::INT AS votes_used FROM run JOIN (SELECT row_id, min(CASE WHEN pos = 20 OR greatest(ones, pos - ones) >= min_lead THEN pos END) AS used FROM run LEFT JOIN ({thresholds_sql(rule)}) t ON t.n = pos GROUP BY row_id) USING (row_id) WHERE pos = used"
+
+
+add("stump_lazy_measures", _lazy_measures, duck(_RING + ", lazy AS (" + " UNION ALL ".join(map(_stops_sql, _LEVELS_OF_STUMPS)) + """)
+SELECT alpha, round(avg(votes_used) / 20, 8) AS eval_fraction, round(20 / avg(votes_used), 8) AS savings, round(1 - avg((l.prediction = label)::INT) / avg((f.prediction = label)::INT), 8) AS relative_error, round(avg((l.prediction <> f.prediction)::INT), 8) AS disagreement
+FROM lazy l JOIN full_vote f USING (row_id) GROUP BY alpha"""))
+add("stump_stop_points", lambda s, d: measures.stop_histogram(scoring.predict_lazy(*stump_forest(s, d), "g1_fpc", 0.05, min_votes=3, portable=True)), duck(_RING + ", lazy AS (" + _stops_sql(0.05) + ") SELECT floor(log2(votes_used) + 1e-12)::INT AS bin, (2 ** floor(log2(votes_used) + 1e-12))::BIGINT AS low, count(*) AS n FROM lazy GROUP BY ALL"))
+
 # -- what is left: metadata, storage, times -------------------------------------------------------------------------
 
 add("drop_metadata", lambda s, d: fx.drop_metadata(load(s, d, "documents"), "text", "source"), "SELECT doc_id, lang, n_chars FROM documents")
