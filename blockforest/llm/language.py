@@ -20,6 +20,8 @@ from ._text import RollingHash, chunks, lower_ascii, map_batches
 PER_LANGUAGE_BOUND = 2000
 #: Cost, in log score, of changing the language between two words.
 SWITCH_PENALTY = 12.0
+#: Bytes of text whose documents step through Viterbi together: the more, the fewer steps.
+STEP_BYTES = 1 << 20
 _SLOTS = 1 << 15
 _RUNS = (2, 3, 4)
 UNKNOWN = "und"
@@ -188,7 +190,7 @@ def _label(batches, model, penalty: float, with_spans: bool):
     m: Model = model.value
     for batch in batches:
         preds, score, spans = [], [], []
-        for _, _, data, offsets in chunks(batch.column(1)):
+        for _, _, data, offsets in chunks(batch.column(1), STEP_BYTES):
             rows = len(offsets) - 1
             start, end, bound = letter_words(data, offsets)
             tags = viterbi(m.word_scores(data, start, end), bound, penalty) if m.languages else np.zeros(len(start), np.int64)
