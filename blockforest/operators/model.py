@@ -131,8 +131,13 @@ class Packed:
 
 
 def pack(forest: MegaForest, max_mb: float = 512) -> Packed:
-    """Collect a forest whose size is within ``max_mb``; larger ones are for committees."""
-    facts = forest.size().first()
-    if (facts.bytes or 0) > max_mb * 1e6:
-        raise ValueError(f"the forest has {facts.bytes / 1e6:.0f} MB: score it by committee")
-    return Packed(forest.trees.select(*tree_columns()).toArrow(), forest.params.n_classes)
+    """Collect a forest whose size is within ``max_mb``; larger ones are for committees. The forest keeps it for the next call."""
+    kept = forest.__dict__.get("_packed")
+    if kept is not None and kept[0] <= max_mb:
+        return kept[1]
+    mb = (forest.size().first().bytes or 0) / 1e6
+    if mb > max_mb:
+        raise ValueError(f"the forest has {mb:.0f} MB: score it by committee")
+    packed = Packed(forest.trees.select(*tree_columns()).toArrow(), forest.params.n_classes)
+    object.__setattr__(forest, "_packed", (mb, packed))
+    return packed
