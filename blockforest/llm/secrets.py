@@ -7,7 +7,8 @@ into the same texts, of made secrets under names of every kind and of plain valu
 looks like and where one stands rather than the patterns' few names, and adds spans that no pattern covers.
 
 Scoring is vectorised over all tokens. A token whose O score leads by more than any transitions could make up is
-O in every best tagging, so Viterbi runs exactly on the few stretches between such tokens.
+O in every best tagging, so Viterbi runs exactly on the few stretches between such tokens, and of these only on the ones in
+which a tag other than O can pay.
 """
 
 from __future__ import annotations
@@ -337,15 +338,20 @@ def field_spans(field: Field, data: np.ndarray, offsets: np.ndarray):
     if not len(start):
         return []
     e = field.emissions(token_features(data, offsets, start, end, bound))
-    unsure = e[:, _O] - np.maximum(e[:, _B], e[:, _I]) <= field.margin()
+    lead = np.maximum(e[:, _B], e[:, _I]) - e[:, _O]
+    unsure = lead >= -field.margin()
     row = np.searchsorted(bound, np.arange(len(start)), "right") - 1
     at = np.flatnonzero(unsure)
     if not len(at):
         return []
     cut = np.flatnonzero((np.diff(at) != 1) | (row[at[1:]] != row[at[:-1]])) + 1
-    out = []
-    for part in np.split(at, cut):
-        a, b, r = part[0], part[-1] + 1, row[part[0]]
+    first = np.concatenate([[0], cut])
+    # n tags other than O change at most n + 1 transitions, each by ``gain`` at best: one of them must lead by -2 gains at least.
+    gain = float(field.transitions.max() - field.transitions[_O, _O])
+    worth = np.flatnonzero(np.maximum.reduceat(lead[at], first) >= -2 * gain)
+    last, out = np.append(cut, len(at))[worth] - 1, []
+    for a, b in zip(at[first[worth]].tolist(), (at[last] + 1).tolist(), strict=True):
+        r = row[a]
         tags = field.viterbi(e[a:b], a > bound[r], b < bound[r + 1])
         open_at = None
         for k, tag in enumerate([*tags, _O]):
