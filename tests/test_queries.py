@@ -125,6 +125,16 @@ def test_streams_of_tables_in_folders(spark, tiny, tmp_path, name):
     assert got == rows and (rows or name == "stream_label_arrivals")
 
 
+@pytest.mark.parametrize("name", ["cte_recursive", "fpc_table", "min_votes_table", "model_size_nodes", *[n for n in methods.Q if n.startswith("thresholds_") and n != "thresholds_stored"]])
+def test_tables_of_methods_read_a_given_table(spark, tiny, name):
+    df = registry.QUERIES[name](spark, tiny)
+    want = "documents" if name == "model_size_nodes" else "orders" if name == "cte_recursive" else "events"
+    assert want in registry.ORACLES[name]
+    if name != "model_size_nodes":  # its forest reads documents while it is trained
+        assert any(f.endswith(f"{want}.parquet") for f in df.inputFiles()) or "Scan parquet" in df._jdf.queryExecution().executedPlan().toString()
+    test_against_duckdb(spark, tiny, name)
+
+
 def test_readers_and_sinks(spark, tmp_path):
     from blockforest.sources import tables
 
