@@ -33,6 +33,21 @@ def test_recovers_a_known_order():
     assert np.corrcoef(r.raw(x), true)[0, 1] > 0.995
 
 
+def test_all_labelled_documents_and_pairs_count(spark):
+    from blockforest.llm import quality
+
+    sf = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    rows = docs.join(labels, "doc_id").select("text", "quality").toArrow().combine_chunks()
+    x, y = quality.features(rows["text"].combine_chunks()), rows["quality"].to_numpy()
+    good, bad = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
+    want = fit_bradley_terry(x, np.repeat(good, len(bad)), np.tile(bad, len(good)))
+    got = fit_from_labels(docs, labels)
+    np.testing.assert_allclose(got.mean, want.mean, rtol=1e-9)
+    np.testing.assert_allclose(got.scale, want.scale, rtol=1e-6)
+    assert np.abs(got.weights - want.weights).max() < 0.01 * np.abs(want.weights).max()
+
+
 def test_edges(spark):
     docs = spark.createDataFrame([(1, "good words here", "q"), (2, "bad%%% bad%%% bad%%%", "q"), (3, None, "q"), (4, "", "q"), (None, "x", "q"), (1, "good words here", "q"), (5, "w " * 90_000, "q")], "doc_id long, text string, y string")
     labels = spark.createDataFrame([(1, 1), (2, 0), (None, 1), (3, None), (77, 0)], "doc_id long, quality int")
