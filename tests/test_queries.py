@@ -125,6 +125,18 @@ def test_streams_of_tables_in_folders(spark, tiny, tmp_path, name):
     assert got == rows and (rows or name == "stream_label_arrivals")
 
 
+def test_shares_at_a_half_are_rounded_as_in_sql(spark, tmp_path):
+    """41 of 640 letters are 0.064062 in DuckDB and 0.064063 in Spark's decimals, where they would be one with 146 of 2279."""
+    text = lambda c, n: "".join(x * c for x in methods.LETTERS).ljust(n, "x")
+    rows = [(i, text(41, 640) if i % 2 else text(146, 2279), "en" if i % 2 else "de") for i in range(200)]
+    file = f"{tmp_path}/documents.parquet"
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").withColumn("source", F.lit("")).withColumn("n_chars", F.length("text").cast("long")).coalesce(2).write.parquet(file)
+    want = duckdb.sql(registry.ORACLES["stream_lazy_scores"].replace("documents", f"read_parquet('{file}/*.parquet')"))
+    got = registry.QUERIES["stream_lazy_scores"](spark, str(tmp_path)).select(*want.columns)
+    expected = sorted(want.fetchall())
+    assert sorted(map(tuple, got.collect())) == expected and {r[1] for r in expected} == {0, 1}
+
+
 @pytest.mark.parametrize("name", ["cte_recursive", "fpc_table", "min_votes_table", "model_size_nodes", *[n for n in methods.Q if n.startswith("thresholds_") and n != "thresholds_stored"]])
 def test_tables_of_methods_read_a_given_table(spark, tiny, name):
     df = registry.QUERIES[name](spark, tiny)
